@@ -6,12 +6,24 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import line_dedup, media_ogg
+from . import decontaminate, line_dedup, media_ogg, mixing, token_ids
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op2_token_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_ids.token_ids(table(spark, sf_dir, "documents"))
+
+
+def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mixing_report(table(spark, sf_dir, "documents"))
+
+
+def op6_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.contamination_digests(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op7_media_ogg(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media_ogg.media_digests(table(spark, sf_dir, "documents"))
 
@@ -20,5 +32,5 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.line_digests(table(spark, sf_dir, "documents"))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op7_media_ogg, op10_line_dedup)}
-ORACLES: dict[str, str] = {"op10_line_dedup": line_dedup.ORACLE_SQL}
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op2_token_ids, op5_mixing, op6_decontaminate, op7_media_ogg, op10_line_dedup)}
+ORACLES: dict[str, str] = {"op5_mixing": mixing.ORACLE_SQL, "op6_decontaminate": decontaminate.ORACLE_SQL, "op10_line_dedup": line_dedup.ORACLE_SQL}
