@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontaminate, line_dedup, media_ogg, mixing, token_ids
+from . import decontaminate, line_dedup, media_ogg, mixing, suffix_dedup, token_ids
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -28,9 +28,13 @@ def op7_media_ogg(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media_ogg.media_digests(table(spark, sf_dir, "documents"))
 
 
+def op8_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.span_digests(table(spark, sf_dir, "documents"))
+
+
 def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.line_digests(table(spark, sf_dir, "documents"))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op2_token_ids, op5_mixing, op6_decontaminate, op7_media_ogg, op10_line_dedup)}
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op2_token_ids, op5_mixing, op6_decontaminate, op7_media_ogg, op8_suffix_dedup, op10_line_dedup)}
 ORACLES: dict[str, str] = {"op5_mixing": mixing.ORACLE_SQL, "op6_decontaminate": decontaminate.ORACLE_SQL, "op10_line_dedup": line_dedup.ORACLE_SQL}
