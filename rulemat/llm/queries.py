@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat_format, decontaminate, line_dedup, media_ogg, mixing, secret_scan, suffix_dedup, token_ids
+from . import chat_format, decontaminate, line_dedup, media_ogg, mixing, secret_scan, suffix_dedup, token_ids, toxicity
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -20,6 +20,10 @@ def op3_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secret_scan.secret_digests(table(spark, sf_dir, "documents"))
 
 
+def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.toxicity_digests(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mixing_report(table(spark, sf_dir, "documents"))
 
@@ -44,5 +48,5 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.line_digests(table(spark, sf_dir, "documents"))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op2_token_ids, op3_secret_scan, op5_mixing, op6_decontaminate, op7_media_ogg, op8_suffix_dedup, op9_chat_format, op10_line_dedup)}
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op2_token_ids, op3_secret_scan, op4_toxicity, op5_mixing, op6_decontaminate, op7_media_ogg, op8_suffix_dedup, op9_chat_format, op10_line_dedup)}
 ORACLES: dict[str, str] = {"op3_secret_scan": secret_scan.ORACLE_SQL, "op5_mixing": mixing.ORACLE_SQL, "op6_decontaminate": decontaminate.ORACLE_SQL, "op9_chat_format": chat_format.ORACLE_SQL, "op10_line_dedup": line_dedup.ORACLE_SQL}
