@@ -66,7 +66,8 @@ def _kinds() -> np.ndarray:
 class Encoder:
     """Encodes slices of texts; keeps the ids of words it has seen, up to a bound."""
 
-    MAX_WORDS = 2_000_000
+    MAX_WORDS = 1_500_000
+    MAX_PIECES = 150_000
     _own: dict[str, Encoder] = {}
 
     def __init__(self, path: str):
@@ -79,7 +80,6 @@ class Encoder:
         self.bpe = Tokenizer(self.full.model)
         self.bpe.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
         vocab = self.full.get_vocab(with_added_tokens=False)
-        self.size = self.full.get_vocab_size()
         self.ends = np.zeros(max(vocab.values()) + 1, bool)
         self.ends[[i for w, i in vocab.items() if w.endswith("</w>")]] = True
         self.kinds = _kinds()
@@ -128,6 +128,8 @@ class Encoder:
         joined = "".join(texts)
         owner = own[np.array(bounds[:-1], np.int64)].tolist() if len(points) else []
         pieces = [joined[a:b].lower() for a, b in zip(bounds, bounds[1:], strict=False)]
+        if len(self.pieces) > self.MAX_PIECES:
+            self.pieces = {}
         fresh = list({p for p, o in zip(pieces, owner, strict=True) if p not in self.pieces and plain[o]})
         if fresh:
             mapped = " ".join([p if p.isascii() else p.encode().decode("latin1").translate(self.alphabet) for p in fresh])
@@ -293,7 +295,14 @@ def _bounds(docs: DataFrame, parts: int) -> list[int]:
     return sorted(set(got or []))
 
 
-def stage_ids(docs: DataFrame, path: str, parts: int | None = None) -> DataFrame:
+def _width(path: str) -> type:
+    """Type that holds every id of a vocabulary."""
+    from tokenizers import Tokenizer
+
+    return np.uint16 if Tokenizer.from_file(path).get_vocab_size() <= 1 << 16 else np.uint32
+
+
+def stage_ids(docs: DataFrame, path: str, dtype: type, parts: int | None = None) -> DataFrame:
     """Encode all texts and lay the ids down in ascending doc_id order, packed by about a
     million ids.  Ranges of doc_id go to one task each; a task sends its ids compressed."""
     spark = docs.sparkSession
@@ -328,7 +337,7 @@ def stage_ids(docs: DataFrame, path: str, parts: int | None = None) -> DataFrame
             key, valid = int_column(batch.column(0))
             for t in slices(batch.column(1), SLICE_BYTES):
                 ids, n = enc.encode(t)
-                full = np.empty(len(ids) + t.n, np.uint16 if enc.size <= 1 << 16 else np.uint32)
+                full = np.empty(len(ids) + t.n, dtype)
                 stop = np.cumsum(n + 1)
                 is_end = np.zeros(len(full), bool)
                 is_end[stop - 1] = True
@@ -344,7 +353,6 @@ def stage_ids(docs: DataFrame, path: str, parts: int | None = None) -> DataFrame
 
     def settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         z, zc = zstandard.ZstdDecompressor(), zstandard.ZstdCompressor(level=1)
-        dtype = np.uint16 if Encoder.of(path).size <= 1 << 16 else np.uint32
         now, held = None, []
 
         def lay(part: int) -> Iterator[pa.RecordBatch]:
@@ -382,8 +390,8 @@ def write_ids(docs: DataFrame, out_dir: str, path: str | None = None) -> DataFra
     """Write the corpus in the block format below ``out_dir`` (``blocks`` and ``table``)."""
     spark = docs.sparkSession
     path = path or vocabulary()
-    staged = persisted(stage_ids(docs, path), "token-ids")
-    dtype = np.uint16 if Encoder.of(path).size <= 1 << 16 else np.uint32
+    dtype = _width(path)
+    staged = persisted(stage_ids(docs, path, dtype), "token-ids")
 
     def tally(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         z, counts = zstandard.ZstdDecompressor(), np.zeros(0, np.int64)
