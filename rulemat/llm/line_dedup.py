@@ -75,6 +75,7 @@ def dedup_lines(docs: DataFrame, min_chars: int = 20, min_docs: int = 3) -> Data
     """(doc_id, n_lines, n_dropped, text) of every document after line deduplication."""
     lines = persisted(line_hashes(docs, min_chars), "lines")
     common = lines.groupBy("h1", "h2").agg(F.count("*").alias("n"), F.max("doc_id").alias("keeper")).where(F.col("n") >= min_docs).select("h1", "h2", "keeper")
+    common = persisted(common, "common-lines")  # so that the join may split the partition of a frequent line
     gone = lines.join(common, ["h1", "h2"]).where(F.col("keeper").isNotNull() & ~F.col("doc_id").eqNullSafe(F.col("keeper")))
     per_doc = gone.groupBy("doc_id").agg(F.collect_set(F.struct("h1", "h2")).alias("gone")).select(F.col("doc_id").alias("gone_id"), "gone")
     joined = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(per_doc, F.col("doc_id").eqNullSafe(F.col("gone_id")), "left").select("doc_id", "text", F.col("gone.h1").alias("h1"), F.col("gone.h2").alias("h2"))
