@@ -14,6 +14,7 @@ from collections.abc import Callable, Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 U64 = np.uint64
 #: Bytes of text worked on at once; bounds the temporaries of a task.
@@ -59,6 +60,16 @@ def shuffle_width(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
+def keyed_documents(docs: DataFrame) -> DataFrame:
+    """(doc_id, text, key): a key that orders documents and is never null or repeated: doc_id,
+    or a number in (doc_id, text) order where some doc_id is missing or repeated."""
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    odd = docs.groupBy("doc_id").count().where((F.col("count") > 1) | F.col("doc_id").isNull()).limit(1).count()
+    if not odd:
+        return docs.withColumn("key", F.col("doc_id"))
+    return persisted(docs.orderBy("doc_id", "text").withColumn("key", F.monotonically_increasing_id()), "ordered")
+
+
 # --------------------------------------------------------------------- hashing
 
 
@@ -313,3 +324,30 @@ def int_column(col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """Values and validity of an integer column."""
     valid = np.asarray(col.is_valid())
     return np.asarray(col.fill_null(0)).astype(np.int64), valid
+
+
+# ------------------------------------------------------------- bounded bitmaps
+
+_CHUNK = 32768
+
+
+def hash_bitmap(df: DataFrame, column: str, max_bits: int = 1 << 27) -> tuple[np.ndarray, int]:
+    """A bitmap over the long column's values and its number of bits.  Its size is bounded;
+    beyond the bound it lets more values through, never fewer."""
+    n = df.count()
+    bits = 1 << 16
+    while bits < min(max_bits, 64 * n):
+        bits *= 2
+    slot = F.pmod(F.col(column), F.lit(bits)) + 1  # the bitmap functions count positive values from 1
+    got = df.groupBy(F.bitmap_bucket_number(slot).alias("b")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(slot)).alias("m")).collect()
+    out = np.zeros(bits // 8 + _CHUNK // 8, np.uint8)
+    for r in got:  # at most max_bits / 32768 rows of 4 KB
+        part = np.frombuffer(r["m"], np.uint8)
+        at = (r["b"] - 1) * _CHUNK // 8
+        out[at : at + len(part)] |= part
+    return out, bits
+
+
+def in_bitmap(values: np.ndarray, bitmap: np.ndarray, bits: int) -> np.ndarray:
+    s = values.view(np.int64) % np.int64(bits)
+    return (bitmap[s >> 3] >> (s & 7).astype(np.uint8)) & 1 == 1

@@ -24,13 +24,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ALNUM, exchange, groups, int_column, mix, persisted, record, runs, slices, word_hashes
+from .common import ALNUM, exchange, groups, hash_bitmap, in_bitmap, int_column, mix, persisted, record, runs, slices, word_hashes
 
 U64 = np.uint64
 WINDOW = 10
 GRAM = 5
 MAX_BITS = 1 << 27
-_CHUNK = 32768
 
 
 def _minima(h: np.ndarray, doc: np.ndarray, gram: int, window: int) -> tuple[np.ndarray, np.ndarray]:
@@ -93,22 +92,6 @@ def test_fingerprints(bench: DataFrame, window: int = WINDOW, gram: int = GRAM)
     return bench.select(F.col("item_id").cast("long").alias("item_id"), "text").mapInArrow(run, _TEST)
 
 
-def _bitmap(prints: DataFrame) -> tuple[np.ndarray, int]:
-    """A bitmap over hashes, at most MAX_BITS, and its number of bits."""
-    n = prints.count()
-    bits = 1 << 16
-    while bits < min(MAX_BITS, 64 * n):
-        bits *= 2
-    slot = F.pmod(F.col("hash"), F.lit(bits)) + 1  # the bitmap functions count positive values from 1
-    got = prints.groupBy(F.bitmap_bucket_number(slot).alias("b")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(slot)).alias("m")).collect()
-    out = np.zeros(bits // 8 + _CHUNK // 4, np.uint8)
-    for r in got:  # MAX_BITS bounds these rows: 4 KB each
-        part = np.frombuffer(r["m"], np.uint8)
-        at = (r["b"] - 1) * _CHUNK // 8
-        out[at : at + len(part)] |= part
-    return out, bits
-
-
 _FOUND = [("rid", "i8"), ("doc", "i8"), ("valid", "?"), ("words", "i8"), ("item", "i8"), ("item_valid", "?"), ("start", "i4"), ("end", "i4")]
 _RESULT = "row_id long, doc_id long, n_words long, n_hit long, items array<long>"
 
@@ -118,7 +101,7 @@ def decontaminate(docs: DataFrame, bench: DataFrame, window: int = WINDOW, gram:
     lie in an occurrence of a benchmark window, and the items concerned."""
     spark = docs.sparkSession
     prints = persisted(test_fingerprints(bench, window, gram), "benchmark-prints")
-    bitmap, bits = _bitmap(prints)
+    bitmap, bits = hash_bitmap(prints, "hash", MAX_BITS)
     shared = spark.sparkContext.broadcast(bitmap)
     short = sorted(r[0] for r in prints.where(F.col("size") < window).select("size").distinct().collect())  # below ``window`` values
     width, left = 2 * window - gram, window - gram
@@ -128,10 +111,6 @@ def decontaminate(docs: DataFrame, bench: DataFrame, window: int = WINDOW, gram:
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         may = shared.value
 
-        def present(g: np.ndarray) -> np.ndarray:
-            s = (g.view(np.int64) % np.int64(bits)).astype(np.int64)
-            return (may[s >> 3] >> (s & 7).astype(np.uint8)) & 1 == 1
-
         def rows(rid: pa.Array, ids: pa.Array, n: pa.Array, g: pa.Array, size: int, pos: pa.Array, ctx: pa.Array) -> pa.RecordBatch:
             return pa.RecordBatch.from_arrays([rid, ids, n, g, pa.array(np.full(len(rid), size, np.int32)), pos, ctx], names=names)
 
@@ -151,7 +130,7 @@ def decontaminate(docs: DataFrame, bench: DataFrame, window: int = WINDOW, gram:
                         g = g[at]
                     else:
                         continue
-                    hit = present(g)
+                    hit = in_bitmap(g, may, bits)
                     at, g = at[hit], g[hit]
                     if len(at):
                         ctx = _around(h, doc, at, left, width, 0) if size == window else h[at[:, None] + np.arange(size)]

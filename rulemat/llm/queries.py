@@ -6,12 +6,16 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat_format, decontaminate, line_dedup, media_ogg, mixing, secret_scan, suffix_dedup, token_ids, toxicity
+from . import chat_format, decontaminate, line_dedup, media_ogg, mixing, ngram_join, secret_scan, suffix_dedup, token_ids, toxicity
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op1_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.join_digests(table(spark, sf_dir, "documents"))
+
+
 def op2_token_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_ids.token_ids(table(spark, sf_dir, "documents"))
 
@@ -48,5 +52,5 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.line_digests(table(spark, sf_dir, "documents"))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op2_token_ids, op3_secret_scan, op4_toxicity, op5_mixing, op6_decontaminate, op7_media_ogg, op8_suffix_dedup, op9_chat_format, op10_line_dedup)}
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_ngram_join, op2_token_ids, op3_secret_scan, op4_toxicity, op5_mixing, op6_decontaminate, op7_media_ogg, op8_suffix_dedup, op9_chat_format, op10_line_dedup)}
 ORACLES: dict[str, str] = {"op3_secret_scan": secret_scan.ORACLE_SQL, "op5_mixing": mixing.ORACLE_SQL, "op6_decontaminate": decontaminate.ORACLE_SQL, "op9_chat_format": chat_format.ORACLE_SQL, "op10_line_dedup": line_dedup.ORACLE_SQL}

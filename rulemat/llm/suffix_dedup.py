@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Texts, exchange, groups, int_column, mix, pair_name, persisted, record, slices, span_hashes
+from .common import Texts, exchange, groups, int_column, keyed_documents, mix, pair_name, record, persisted, slices, span_hashes
 
 U64 = np.uint64
 LENGTH = 100
@@ -103,16 +103,6 @@ def _within_task(x: np.ndarray) -> np.ndarray:
     return x
 
 
-def _keyed(docs: DataFrame) -> DataFrame:
-    """A key that orders documents: doc_id, or a number in (doc_id, text) order where doc_ids
-    are missing or repeated."""
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    odd = docs.groupBy("doc_id").count().where((F.col("count") > 1) | F.col("doc_id").isNull()).limit(1).count()
-    if not odd:
-        return docs.withColumn("key", F.col("doc_id"))
-    return persisted(docs.orderBy("doc_id", "text").withColumn("key", F.monotonically_increasing_id()), "ordered")
-
-
 def repeated_spans(keyed: DataFrame) -> DataFrame:
     """(key, lo, hi): byte ranges to remove; they may overlap."""
 
@@ -175,7 +165,7 @@ def repeated_spans(keyed: DataFrame) -> DataFrame:
 
 def dedup_strings(docs: DataFrame) -> DataFrame:
     """(doc_id, n_bytes, n_removed, spans, kept) of every document."""
-    keyed = _keyed(docs)
+    keyed = keyed_documents(docs)
     spans = repeated_spans(keyed).groupBy("key").agg(F.collect_list(F.struct("lo", "hi")).alias("s"))
     joined = keyed.select("key", "doc_id", "text").join(spans, "key", "left").select("doc_id", "text", F.col("s.lo").alias("lo"), F.col("s.hi").alias("hi"))
     schema = "doc_id long, n_bytes long, n_removed long, spans array<struct<start:long,stop:long>>, kept binary"
