@@ -351,3 +351,24 @@ def hash_bitmap(df: DataFrame, column: str, max_bits: int = 1 << 27) -> tuple[np
 def in_bitmap(values: np.ndarray, bitmap: np.ndarray, bits: int) -> np.ndarray:
     s = values.view(np.int64) % np.int64(bits)
     return (bitmap[s >> 3] >> (s & 7).astype(np.uint8)) & 1 == 1
+
+
+# ------------------------------------------------------------------ whole rows
+
+
+def fresh_name(df: DataFrame, base: str) -> str:
+    """A column name that ``df`` does not have in any case."""
+    taken = {c.lower() for c in df.columns}
+    while base.lower() in taken:
+        base += "_"
+    return base
+
+
+def row_keyed(docs: DataFrame) -> tuple[DataFrame, str]:
+    """``docs`` with a column that identifies and orders its rows, and that column's name:
+    doc_id itself, or a number in (doc_id, text) order where some are missing or repeated."""
+    name = fresh_name(docs, "row_key")
+    odd = docs.groupBy("doc_id").count().where((F.col("count") > 1) | F.col("doc_id").isNull()).limit(1).count()
+    if not odd:
+        return docs.withColumn(name, F.col("doc_id").cast("long")), name
+    return persisted(docs.orderBy("doc_id", "text").withColumn(name, F.monotonically_increasing_id()), "ordered"), name

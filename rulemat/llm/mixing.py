@@ -24,6 +24,8 @@ import math
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import fresh_name
+
 #: Blocks of a source: 16**3.
 BLOCK_DIGITS = 3
 MAX_EPOCHS = 1.5
@@ -114,11 +116,14 @@ def mix(docs: DataFrame, max_epochs: float = MAX_EPOCHS, target_entropy: float |
 
 def mixture(docs: DataFrame, **limits: float) -> DataFrame:
     """The mixture itself: each document as often as the budgets read it, with its epoch and
-    the sort key that realises the permuted block order."""
-    columns = docs.columns
-    mixed = mix(docs, **limits).withColumn("mix_epoch", F.explode(F.sequence(F.lit(0).cast("long"), F.col("mix_copies") - 1)))
+    the sort key that realises the permuted block order, beside the columns of ``docs``."""
+    used = ("doc_id", "text", "source")
+    rest = [c for c in docs.columns if c not in used]
+    slim = docs.select(*used, F.struct(*[F.col(f"`{c}`").alias(f"c{k}") for k, c in enumerate(rest)], F.lit(0).alias("none")).alias("mix_rest"))
+    mixed = mix(slim, **limits).withColumn("mix_epoch", F.explode(F.sequence(F.lit(0).cast("long"), F.col("mix_copies") - 1)))
     order = _digest(SEED, F.coalesce(F.col("source"), F.lit("")), F.col("mix_epoch").cast("string"), F.col("mix_block"))
-    return mixed.select(*columns, "mix_epoch", order.alias("mix_order"))
+    back = [F.col(c) if c in used else F.col(f"mix_rest.c{rest.index(c)}").alias(c) for c in docs.columns]
+    return mixed.select(*back, F.col("mix_epoch").alias(fresh_name(docs, "mix_epoch")), order.alias(fresh_name(docs, "mix_order")))
 
 
 def mixing_report(docs: DataFrame) -> DataFrame:
