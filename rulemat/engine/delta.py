@@ -108,7 +108,14 @@ class Maintainer:
         neg = {p: x.frame for p, x in self.change.plus.items()}
         own = dict(self.start.relations)
         gone: dict[str, Relation] = {}
+        rounds, limit = 0, self.ctx.linear_after
         while pos or neg:
+            rounds += 1
+            if limit is not None and rounds > limit and not neg and (far := self.before.jump(pos)) is not None:
+                for pred, part in self._written(far, own, gone).items():
+                    gone[pred] = gone.get(pred, EMPTY).plus(part)
+                    self.ctx.log.counts["over_deleted"] += part.rows
+                break
             found = self._written(self._heads(self.before, self.old_rules, pos, neg), own, gone)
             for pred, part in found.items():
                 gone[pred] = gone.get(pred, EMPTY).plus(part)

@@ -3,12 +3,12 @@
 from __future__ import annotations
 
 from collections.abc import Callable
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..lang.syntax import Atom, Rule
+from ..lang.syntax import Atom, Rule, Var
 from ..plans.compile import Compiler, Resolver, union
 from ..plans.order import Stats
 from .metrics import UpdateLog
@@ -26,6 +26,8 @@ class Context:
     max_rounds: int | None = None
     evaluation: str = "semi_naive"
     compact_parts: int = 6
+    #: Rounds after which a linear node is finished by path doubling; None never.
+    linear_after: int | None = 10
 
 
 def minus(df: DataFrame, other: DataFrame | None) -> DataFrame:
@@ -110,6 +112,9 @@ class Node:
             if self.ctx.max_rounds and rounds > self.ctx.max_rounds:
                 raise RuntimeError(f"no fixpoint within {self.ctx.max_rounds} rounds")
             self.ctx.log.counts["rounds"] += 1
+            if self.ctx.evaluation != "naive" and self.ctx.linear_after is not None and rounds > self.ctx.linear_after and (far := self.jump(fresh)) is not None:
+                self.add(far)
+                break
             if self.ctx.evaluation == "naive":
                 fresh = self.add(self.evaluate(self.rules))
                 continue
@@ -123,10 +128,8 @@ class Node:
             fresh = self.add(found)
             if max(len(x.parts) for x in self.own.relations.values()) > 2 * self.ctx.compact_parts:
                 self.compact()
-                if fresh:  # the last part is what the next round must leave out
-                    self.ctx.log.counts["compactions"] += 1
-                    fresh = {p: f for p, f in fresh.items()}
-                    self._whole_before()
+                self.ctx.log.counts["compactions"] += 1
+                self._whole_before()
         self.compact()
 
     def _whole_before(self) -> None:
@@ -136,6 +139,60 @@ class Node:
             self.own = self.own.put(p, Relation((*rel.parts, _NOTHING)))
 
 
+    def jump(self, fresh: dict[str, DataFrame]) -> dict[str, list[DataFrame]] | None:
+        """All consequences of facts in a node whose recursion is linear on one column: steps
+        (predicate, value) to (predicate, value) are closed by doubling, so a chain of n steps
+        takes log2(n) rounds, and one join carries the facts along the closed steps."""
+        if (way := linear(self.rules, self.heads)) is None:
+            return None
+        keep, rules = way
+        kinds = {self.ctx.compiler.types[p][1 - keep] for p in self.heads}
+        if len(kinds) != 1 or any(len(self.ctx.compiler.types[p]) != 2 for p in self.heads):
+            return None
+        steps = []
+        for r, k in rules:
+            rest = replace(r, positives=tuple(a for i, a in enumerate(r.positives) if i != k))
+            b = self.ctx.compiler.bindings(rest, lambda i, a, n: self.visible(a.pred), self.ctx.stats)
+            steps.append(b.select(F.lit(r.positives[k].pred).alias("c0"), F.col(f"v_{r.positives[k].args[1 - keep].name}").alias("c1"), F.lit(r.head.pred).alias("c2"), F.col(f"v_{r.head.args[1 - keep].name}").alias("c3")))
+        base = self.ctx.storage.write(union(steps).distinct())
+        if base.rows > 4 * max(1000, self.own.rows):
+            return None
+        path = Atom("t", tuple(map(Var, ("g", "y", "h", "z")))), Atom("t", tuple(map(Var, ("h", "z", "k", "w"))))
+        rule = Rule("doubling", Atom("t", tuple(map(Var, ("g", "y", "k", "w")))), path)
+        types = {"t": ["string", *kinds, "string", *kinds]}
+        ctx = replace(self.ctx, compiler=self.ctx.compiler.typed(types), linear_after=None)
+        own = run_node(ctx, [rule], lambda p: base.frame)
+        whole = base.frame if not own.rows else base.frame.unionByName(own.get("t").frame()).distinct()
+        facts = union([df.select(F.lit(p).alias("c0"), F.col(f"c{1 - keep}").alias("c1"), F.col(f"c{keep}").alias("x")) for p, df in fresh.items()])
+        far = self.ctx.storage.write(facts.join(whole, ["c0", "c1"]).select("c2", "x", "c3").distinct()).frame
+        order = ["x", "c3"] if keep == 0 else ["c3", "x"]
+        return {p: [far.where(F.col("c2") == p).select(F.col(order[0]).alias("c0"), F.col(order[1]).alias("c1"))] for p in self.heads}
+
+
+def linear(rules: list[Rule], heads: set[str]) -> tuple[int, list[tuple[Rule, int]]] | None:
+    """The column that every recursive rule passes on unchanged from its only recursive atom,
+    and those rules with the position of that atom; None if there is no such column."""
+    for keep in (0, 1):
+        out = []
+        for r in rules:
+            at = [k for k, a in enumerate(r.positives) if a.pred in heads]
+            if not at:
+                continue
+            if len(at) > 1 or r.agg or len(r.head.args) != 2:
+                break
+            a = r.positives[at[0]]
+            rest = [t for i, x in enumerate(r.positives) if i != at[0] for t in x.args] + [t for x in r.negatives for t in x.args]
+            used = {t.name for t in rest if isinstance(t, Var)} | {v for b in r.binds for v in (*b.expr.vars(), b.var)} | {v for c in r.comps for v in c.vars()}
+            names = [getattr(t, "name", "_") for t in (*a.args, *r.head.args)]
+            if len(a.args) != 2 or "_" in names or names[keep] != names[2 + keep] or names[keep] in used or names[1 - keep] not in used or names[3 - keep] not in used or names[keep] in (names[1 - keep], names[3 - keep]):
+                break
+            out.append((r, at[0]))
+        else:
+            if out:
+                return keep, out
+    return None
+
+
 class _Nothing:
     rows, path, frame = 0, None, None
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import copy
 import itertools
 import json
 import time
@@ -48,6 +49,7 @@ class Config:
     scc: str = "two_pass"  # two_pass, low_link
     cut: str = "parquet"  # parquet, checkpoint
     max_rounds: int | None = None
+    linear_after: int | None = 10
     parallel_nodes: int = 1
     allow_cross: bool = False
     sketches: bool = False  # distinct values of explicit columns for the cost order
@@ -165,6 +167,12 @@ class Reasoner:
                     self.ndv |= {(pred, k): n for k, n in enumerate(distinct_values(rel.frame()))}
         self.state = State(rules, graph, hyper, explicit)
 
+    def fork(self) -> Reasoner:
+        """An independent engine on the same immutable state; no data is copied."""
+        out = copy.copy(self)
+        out.types, out.declared, out.batches = dict(self.types), dict(self.declared), set(self.batches)
+        return out
+
     # loading
 
     def _load(self, pred: str, df: DataFrame) -> object:
@@ -195,7 +203,7 @@ class Reasoner:
         bag = state.bag()
         stats = Stats({p: bag.rows(p) for p in bag.index}, self.ndv)
         compiler = Compiler(self.spark, self.types, c.order, c.eager_filters, c.bound_aware, c.allow_cross, c.agg_over, c.median)
-        return Context(self.storage, compiler, stats, log, c.max_rounds, c.evaluation)
+        return Context(self.storage, compiler, stats, log, c.max_rounds, c.evaluation, linear_after=c.linear_after)
 
     def _ext(self, state: State, own: Iterable[str]) -> object:
         """Visible relations of a state without a node's own stores."""

@@ -6,6 +6,7 @@ variables are equi-join keys, negated atoms are left anti joins.
 
 from __future__ import annotations
 
+import copy
 from collections.abc import Callable
 from functools import reduce
 
@@ -76,6 +77,11 @@ class Compiler:
         self.spark, self.types, self.order, self.eager, self.bound_aware = spark, types, order, eager, bound_aware
         self.allow_cross, self.agg_over, self.median = allow_cross, agg_over, median
 
+    def typed(self, more: dict[str, list[str]]) -> Compiler:
+        out = copy.copy(self)
+        out.types = self.types | more
+        return out
+
     def empty(self, pred: str) -> DataFrame:
         return self.spark.createDataFrame([], ", ".join(f"c{k} {t}" for k, t in enumerate(self.types[pred])))
 
