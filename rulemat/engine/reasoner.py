@@ -45,7 +45,7 @@ class Config:
     bound_aware: bool = True
     agg_over: str = "bindings"  # bindings, pairs
     median: str = "exact"  # exact, approx
-    pattern_closure: str = "off"  # off, auto
+    pattern_closure: str = "auto"  # auto, off
     scc: str = "two_pass"  # two_pass, low_link
     cut: str = "parquet"  # parquet, checkpoint
     max_rounds: int | None = None

@@ -8,6 +8,7 @@ update leaves the old state whole.
 
 from __future__ import annotations
 
+import itertools
 import uuid
 from dataclasses import dataclass, field
 
@@ -25,17 +26,16 @@ class Storage:
         self.spark, self.cut = spark, cut
         base = root or spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/.scratch"
         self.root = f"{base.rstrip('/')}/facts-{uuid.uuid4().hex[:12]}"
-        self.written = 0
+        self.written = itertools.count(1)  # its steps are atomic, so nodes may run in threads
 
     def write(self, df: DataFrame) -> Part:
         """Materialise a frame and count its rows in the same job."""
         seen = Observation()
         watched = df.observe(seen, F.count(F.lit(1)).alias("n"))
-        self.written += 1
         if self.cut == "checkpoint":
             made = watched.checkpoint(eager=True)
             return Part(made, made.count(), None)
-        path = f"{self.root}/{self.written:06d}"
+        path = f"{self.root}/{next(self.written):06d}"
         watched.write.parquet(path)
         return Part(self.spark.read.schema(df.schema).parquet(path), int(seen.get["n"]), path)
 

@@ -28,3 +28,55 @@ def components(edges: DataFrame, cut: Callable[[DataFrame, str], DataFrame], max
         if not changed:
             break
     return labels
+
+
+def bfs_levels(edges: DataFrame, sources: DataFrame, max_depth: int, cut: Callable[[DataFrame, str], DataFrame]) -> DataFrame:
+    """(node, level): fewest steps along edges (a, b) from any source, up to a depth."""
+    seen = cut(sources.select("node").distinct().withColumn("level", F.lit(0)), "level")
+    front = seen
+    for depth in range(1, max_depth + 1):
+        step = front.join(edges, F.col("node") == F.col("a")).select(F.col("b").alias("node")).distinct()
+        front = cut(step.join(seen, "node", "left_anti").withColumn("level", F.lit(depth)), "level")
+        if front.isEmpty():
+            break
+        seen = seen.unionByName(front)
+    return seen
+
+
+def degree(edges: DataFrame) -> DataFrame:
+    """(node, degree) over both ends of edges (a, b)."""
+    ends = edges.select(F.col("a").alias("node")).unionByName(edges.select(F.col("b").alias("node")))
+    return ends.groupBy("node").agg(F.count("*").alias("degree"))
+
+
+def scc(edges: DataFrame, cut: Callable[[DataFrame, str], DataFrame], max_rounds: int = 50) -> DataFrame:
+    """(node, component): strongly connected components of a data relation by repeated
+    forward and backward colouring: the nodes that reach and are reached by a colour's root
+    form a component and leave."""
+    left = cut(edges.where(F.col("a") != F.col("b")).select("a", "b").distinct(), "edges")
+    nodes = cut(edges.select(F.col("a").alias("node")).unionByName(edges.select(F.col("b").alias("node"))).distinct(), "nodes")
+    done = None
+    for _ in range(max_rounds):
+        colour = cut(nodes.withColumn("colour", F.col("node")), "colour")
+        while True:
+            near = left.join(colour.select(F.col("node").alias("a"), "colour"), "a").groupBy(F.col("b").alias("node")).agg(F.min("colour").alias("c2"))
+            nxt = cut(colour.join(near, "node", "left").select("node", F.col("colour").alias("old"), F.least("colour", F.coalesce("c2", "colour")).alias("colour")), "colour")
+            moved = not nxt.where(F.col("old") != F.col("colour")).isEmpty()
+            colour = nxt.select("node", "colour")
+            if not moved:
+                break
+        back = cut(colour.where(F.col("node") == F.col("colour")), "back")
+        inside = left.join(colour.select(F.col("node").alias("a"), F.col("colour").alias("ca")), "a").join(colour.select(F.col("node").alias("b"), F.col("colour").alias("cb")), "b").where(F.col("ca") == F.col("cb")).select("a", "b", F.col("ca").alias("colour"))
+        front = back
+        while not front.isEmpty():
+            step = inside.join(front.select(F.col("node").alias("b"), "colour"), ["b", "colour"]).select(F.col("a").alias("node"), "colour").distinct()
+            front = cut(step.join(back, ["node", "colour"], "left_anti"), "front")
+            back = back.unionByName(front)
+        part = cut(back.select("node", F.col("colour").alias("component")), "part")
+        done = part if done is None else done.unionByName(part)
+        nodes = cut(nodes.join(part, "node", "left_anti"), "nodes")
+        if nodes.isEmpty():
+            break
+        keep = lambda side: nodes.select(F.col("node").alias(side))  # noqa: E731, B023
+        left = cut(left.join(keep("a"), "a", "left_semi").join(keep("b"), "b", "left_semi"), "edges")
+    return done

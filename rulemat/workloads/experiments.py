@@ -19,6 +19,8 @@ QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 #: Nodes of the trade data set in queries.
 N2 = 800
+#: Independent nodes of the larger rule sets run side by side.
+WIDE = Config(parallel_nodes=4)
 _states: dict[tuple[str, str, str], Reasoner] = {}
 
 
@@ -37,11 +39,11 @@ def rs1(spark: SparkSession, sf_dir: str, n: int, rules: str = rulesets.RS1) ->
 
 
 def rs2(spark: SparkSession, sf_dir: str, n: int = N2) -> Reasoner:
-    return _kept(spark, sf_dir, f"rs2-{n}", lambda: Reasoner(spark, rulesets.RS2, datasets.trade(spark, sf_dir, n)))
+    return _kept(spark, sf_dir, f"rs2-{n}", lambda: Reasoner(spark, rulesets.RS2, datasets.trade(spark, sf_dir, n), WIDE))
 
 
 def rs3(spark: SparkSession, sf_dir: str, n: int = N2) -> Reasoner:
-    return _kept(spark, sf_dir, f"rs3-{n}", lambda: Reasoner(spark, rulesets.RS3, datasets.trade(spark, sf_dir, n)))
+    return _kept(spark, sf_dir, f"rs3-{n}", lambda: Reasoner(spark, rulesets.RS3, datasets.trade(spark, sf_dir, n), WIDE))
 
 
 def _pairs(spark: SparkSession, rows: list[tuple[int, int]]) -> DataFrame:
@@ -107,7 +109,7 @@ def _variant(config: Config) -> Query:
 _VARIANTS = {
     "naive": Config(evaluation="naive"), "stratum": Config(unit="stratum"), "merged_bag": Config(bag="merged"), "layout_c0": Config(layout="c0"), "order_text": Config(order="text"),
     "order_dp": Config(order="dp"), "order_heuristic": Config(order="heuristic"), "backward_forward": Config(deletion_method="backward_forward"), "downstream_redo": Config(downstream="redo"),
-    "low_link": Config(scc="low_link"), "pattern": Config(pattern_closure="auto"), "lazy_filters": Config(eager_filters=False),
+    "low_link": Config(scc="low_link"), "no_pattern": Config(pattern_closure="off"), "lazy_filters": Config(eager_filters=False),
 }
 for _name, _config in _VARIANTS.items():
     _add(f"variant_{_name}", _variant(_config), _near_sql("(a.c_custkey < 30) = (b.c_custkey < 30)", 60))
@@ -261,14 +263,14 @@ FARM = rulesets.JUDGE.replace("5000", "20")
 
 def farm_anomaly(spark: SparkSession, sf_dir: str) -> DataFrame:
     """An event fetches the judging rules; the suspects they find."""
-    r = _kept(spark, sf_dir, "farm", lambda: Reasoner(spark, rulesets.NEAR, datasets.farms(spark, sf_dir, 300), Config(pattern_closure="auto")))
+    r = _kept(spark, sf_dir, "farm", lambda: Reasoner(spark, rulesets.NEAR, datasets.farms(spark, sf_dir, 300)))
     r.insert_rules(FARM)
     return r.relation("suspect").select("c0", F.round("c1", 4).alias("c1"))
 
 
 def farm_anomaly_cycle(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The same, and afterwards the rules go again; what is left, by predicate."""
-    r = _kept(spark, sf_dir, "farm", lambda: Reasoner(spark, rulesets.NEAR, datasets.farms(spark, sf_dir, 300), Config(pattern_closure="auto")))
+    r = _kept(spark, sf_dir, "farm", lambda: Reasoner(spark, rulesets.NEAR, datasets.farms(spark, sf_dir, 300)))
     log = r.insert_rules(FARM)
     assert log.visited
     r.delete_rules(["r4", "r5", "r6"])
