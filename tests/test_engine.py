@@ -1,6 +1,7 @@
 """Engine against a small set evaluator, and incremental states against recomputation."""
 
 import itertools
+import operator
 import random
 import statistics
 
@@ -30,6 +31,8 @@ def evaluate(text, facts):
                 for t, v in zip(a.args, row, strict=True):
                     ok &= (t.value == v) if isinstance(t, Const) else t.name == "_" or env.setdefault(t.name, v) == v
             val = lambda t, env=env: t.value if isinstance(t, Const) else env[t.name]
+            compare = {"=": operator.eq, "!=": operator.ne, "<": operator.lt, "<=": operator.le, ">": operator.gt, ">=": operator.ge}
+            ok = ok and all(compare[c.op](val(c.left), val(c.right)) for c in r.comps)
             if ok and not any(tuple(map(val, a.args)) in db.get(a.pred, ()) for a in r.negatives):
                 yield env, val
 
@@ -100,14 +103,14 @@ PROGRAM = """
 @pytest.mark.parametrize("method", ["rederive", "backward_forward", "counting"])
 def test_random_updates(spark, method):
     """Mixed updates of facts and rules keep the state equal to recomputation."""
-    rng = random.Random(hash(method) % 7)
+    rng = random.Random(len(method))
     facts = {"e": {(rng.randrange(5), rng.randrange(5)) for _ in range(6)}, "n": {(i,) for i in range(5)}, "extra": {(0, 4), (4, 2)}}
     r = Reasoner(spark, PROGRAM, frames(spark, facts), Config(deletion_method=method, allow_cross=True, pattern_closure="off", linear_after=2))
     r.materialise()
     assert state(r) == evaluate(PROGRAM, facts)
     rules = parse_program(PROGRAM).rules
     gone: set[str] = set()
-    for step in range(3):
+    for step in range(2):
         add = {(rng.randrange(5), rng.randrange(5)) for _ in range(2)} - facts["e"]
         drop = set(rng.sample(sorted(facts["e"]), min(2, len(facts["e"]) - 1)))
         out = {rng.choice(sorted(set(rules) - gone - {"r1"}))} if step != 1 else set()
