@@ -353,6 +353,18 @@ def in_bitmap(values: np.ndarray, bitmap: np.ndarray, bits: int) -> np.ndarray:
     return (bitmap[s >> 3] >> (s & 7).astype(np.uint8)) & 1 == 1
 
 
+def maybe_in(df: DataFrame, key: str, bitmap: np.ndarray, bits: int, outside: bool = False) -> DataFrame:
+    """Rows whose key may be among the bitmap's values (or, with ``outside``, those whose key
+    is not), before a join has to move their texts."""
+    shared, at = df.sparkSession.sparkContext.broadcast(bitmap), df.columns.index(key)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield batch.filter(pa.array(in_bitmap(int_column(batch.column(at))[0], shared.value, bits) ^ outside))
+
+    return df.mapInArrow(run, df.schema)
+
+
 # ------------------------------------------------------------------ whole rows
 
 

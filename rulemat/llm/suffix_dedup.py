@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Texts, exchange, groups, int_column, keyed_documents, mix, pair_name, record, persisted, slices, span_hashes
+from .common import Texts, exchange, groups, hash_bitmap, int_column, keyed_documents, maybe_in, mix, pair_name, record, persisted, slices, span_hashes
 
 U64 = np.uint64
 LENGTH = 100
@@ -124,7 +124,8 @@ def repeated_spans(keyed: DataFrame) -> DataFrame:
 
     marks = persisted(exchange(keyed.select("key", "text"), find, "name", _ANCHOR, rank, _MARK, combine=_within_task), "marks")
     ends = marks.where(~F.col("repeat")).groupBy("key").agg(F.collect_list(F.struct("name", "lo", "more")).alias("ends"))
-    fetched = keyed.select("key", "doc_id", "text").join(ends, "key").select("key", "text", F.col("ends.name").alias("name"), F.col("ends.lo").alias("lo"), F.col("ends.more").alias("more"))
+    needed = hash_bitmap(marks.where(~F.col("repeat")).select("key").distinct(), "key")
+    fetched = maybe_in(keyed.select("key", "text"), "key", *needed).join(ends, "key").select("key", "text", F.col("ends.name").alias("name"), F.col("ends.lo").alias("lo"), F.col("ends.more").alias("more"))
 
     def fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[np.ndarray]:
         for batch in batches:
@@ -166,8 +167,12 @@ def repeated_spans(keyed: DataFrame) -> DataFrame:
 def dedup_strings(docs: DataFrame) -> DataFrame:
     """(doc_id, n_bytes, n_removed, spans, kept) of every document."""
     keyed = keyed_documents(docs)
-    spans = repeated_spans(keyed).groupBy("key").agg(F.collect_list(F.struct("lo", "hi")).alias("s"))
-    joined = keyed.select("key", "doc_id", "text").join(spans, "key", "left").select("doc_id", "text", F.col("s.lo").alias("lo"), F.col("s.hi").alias("hi"))
+    spans = persisted(repeated_spans(keyed).groupBy("key").agg(F.collect_list(F.struct("lo", "hi")).alias("s")), "spans")
+    some = hash_bitmap(spans, "key")
+    columns = ["doc_id", "text", F.col("s.lo").alias("lo"), F.col("s.hi").alias("hi")]
+    joined = maybe_in(keyed.select("key", "doc_id", "text"), "key", *some).join(spans, "key", "left").select(*columns)
+    nothing = F.lit(None).cast("array<bigint>")
+    untouched = maybe_in(keyed.select("key", "doc_id", "text"), "key", *some, outside=True).select("doc_id", "text", nothing.alias("lo"), nothing.alias("hi"))
     schema = "doc_id long, n_bytes long, n_removed long, spans array<struct<start:long,stop:long>>, kept binary"
     pair = pa.struct([("start", pa.int64()), ("stop", pa.int64())])
 
@@ -183,7 +188,7 @@ def dedup_strings(docs: DataFrame) -> DataFrame:
                 fresh = np.ones(len(lo), bool)
                 fresh[1:] = (lo[1:] > reach[:-1]) | (own[1:] != own[:-1])
                 i = np.flatnonzero(fresh)
-                j = np.append(i[1:], len(lo)) - 1
+                j = np.append(i[1:], len(lo))[: len(i)] - 1
                 own, lo, hi = own[i], lo[i], reach[j]
                 removed = np.bincount(own, weights=hi - lo, minlength=t.n).astype(np.int64)
                 size = np.diff(t.offs)
@@ -200,7 +205,7 @@ def dedup_strings(docs: DataFrame) -> DataFrame:
                 spans = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(count)]), pa.int32()), flat)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(t.first, t.n), pa.array(size), pa.array(removed), spans, pa.array(parts, pa.binary())], names=["doc_id", "n_bytes", "n_removed", "spans", "kept"])
 
-    return joined.mapInArrow(cut, schema)
+    return joined.unionByName(untouched).mapInArrow(cut, schema)
 
 
 def span_digests(docs: DataFrame) -> DataFrame:
