@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 
 U64 = np.uint64
 #: Bytes of text worked on at once; bounds the temporaries of a task.
-SLICE_BYTES = 2 << 20
+SLICE_BYTES = 1 << 20
 
 _ODD = 0x9E3779B97F4A7C15
 _BASE = (0xB5026F5AA96619E9, 0xD6E8FEB86659FD93)
@@ -95,7 +95,7 @@ def powers(n: int, which: int) -> tuple[np.ndarray, np.ndarray]:
     """base**i and base**-i modulo 2**64 for i < n."""
     have = _powers.get(which)
     if have is None or len(have[0]) < n:
-        size = max(n, SLICE_BYTES + (1 << 16))
+        size = 1 << max(16, n.bit_length())
         base = _BASE[which]
         inverse = pow(base, -1, 1 << 64)
         both = []

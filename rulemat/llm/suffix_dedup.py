@@ -35,6 +35,8 @@ from .common import Texts, exchange, groups, hash_bitmap, int_column, keyed_docu
 U64 = np.uint64
 LENGTH = 100
 GRAM = 32
+#: Bytes of text named at once: names take many times that.
+NAMED_BYTES = 1 << 19
 GRAMS = LENGTH - GRAM + 1
 CONTEXT = LENGTH + GRAMS - 1
 
@@ -109,7 +111,7 @@ def repeated_spans(keyed: DataFrame) -> DataFrame:
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[np.ndarray]:
         for batch in batches:
             keys, _ = int_column(batch.column(0))
-            for t in slices(batch.column(1)):
+            for t in slices(batch.column(1), NAMED_BYTES):
                 doc, name, context, lo, at, more = anchors(t)
                 yield record(_ANCHOR, name=name, context=context, key=keys[doc + t.first], lo=lo, at=at, more=more)
 
@@ -122,7 +124,7 @@ def repeated_spans(keyed: DataFrame) -> DataFrame:
         for part, repeat in ((done, True), (x[~first], True), (x[ends], False)):
             yield pa.RecordBatch.from_arrays([pa.array(part["key"]), *(pa.array(np.ascontiguousarray(part[c]).view(np.int64)) for c in ("name", "context")), pa.array(part["lo"].astype(np.int64)), pa.array(part["at"].astype(np.int32)), pa.array(part["more"].astype(np.int32)), pa.array(np.full(len(part), repeat))], names=[c.split()[0] for c in _MARK.split(", ")])
 
-    marks = persisted(exchange(keyed.select("key", "text"), find, "name", _ANCHOR, rank, _MARK, combine=_within_task), "marks")
+    marks = persisted(exchange(keyed.select("key", "text"), find, "name", _ANCHOR, rank, _MARK, flush_rows=1 << 19, combine=_within_task), "marks")
     ends = marks.where(~F.col("repeat")).groupBy("key").agg(F.collect_list(F.struct("name", "lo", "more")).alias("ends"))
     needed = hash_bitmap(marks.where(~F.col("repeat")).select("key").distinct(), "key")
     fetched = maybe_in(keyed.select("key", "text"), "key", *needed).join(ends, "key").select("key", "text", F.col("ends.name").alias("name"), F.col("ends.lo").alias("lo"), F.col("ends.more").alias("more"))
@@ -159,7 +161,7 @@ def repeated_spans(keyed: DataFrame) -> DataFrame:
             j = np.append(i[1:], len(k)) - 1
             yield pa.RecordBatch.from_arrays([pa.array(key[k[i]]), pa.array(start[k[i]]), pa.array(start[k[j]] + LENGTH)], names=["key", "lo", "hi"])
 
-    partly = exchange(fetched, fetch, "name", _END, settle, _SPAN, flush_rows=1 << 17)
+    partly = exchange(fetched, fetch, "name", _END, settle, _SPAN, flush_rows=1 << 16)
     fully = marks.where("repeat").select("key", "lo", (F.col("lo") + F.col("more") + LENGTH).alias("hi"))
     return fully.unionByName(partly)
 
