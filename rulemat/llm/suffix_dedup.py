@@ -37,6 +37,7 @@ LENGTH = 100
 GRAM = 32
 #: Bytes of text named at once: names take many times that.
 NAMED_BYTES = 1 << 19
+NAMED_ROWS = 2048
 GRAMS = LENGTH - GRAM + 1
 CONTEXT = LENGTH + GRAMS - 1
 
@@ -136,18 +137,21 @@ def repeated_spans(keyed: DataFrame) -> DataFrame:
                 cols = [batch.column(k).slice(t.first, t.n) for k in (2, 3, 4)]
                 own = np.repeat(np.arange(t.n), np.asarray(cols[0].value_lengths().fill_null(0)))
                 name, lo, more = (np.asarray(c.flatten()) for c in cols)
-                pos = (t.offs[own] + lo)[:, None] + np.arange(CONTEXT)
-                pos = np.minimum(pos, len(t.data) - 1)
-                raw = np.ascontiguousarray(t.data[pos]).view(f"V{CONTEXT}").ravel()
+                padded = np.concatenate([t.data, np.zeros(CONTEXT, np.uint8)])
+                raw = np.lib.stride_tricks.sliding_window_view(padded, CONTEXT)[t.offs[own] + lo].view(f"V{CONTEXT}").ravel()
                 yield record(_END, name=name.view(U64), key=keys[own + t.first], lo=lo, more=more, bytes=raw)
 
     def settle(x: np.ndarray) -> Iterator[pa.RecordBatch]:
-        raw = np.ascontiguousarray(x["bytes"]).view(np.uint8)
         n = x["more"].astype(np.int64) + 1
         own = np.repeat(np.arange(len(x)), n)
         off = np.arange(len(own)) - np.repeat(np.cumsum(n) - n, n)
-        at = own * CONTEXT + off
-        h1, h2 = names(raw, LENGTH)[at], names(raw, LENGTH, 1)[at]
+        first = np.concatenate([[0], np.cumsum(n)])
+        h1, h2 = np.empty(len(own), U64), np.empty(len(own), U64)
+        for k in range(0, len(x), NAMED_ROWS):  # names take many times the bytes they stand for
+            e = min(len(x), k + NAMED_ROWS)
+            raw, w = np.ascontiguousarray(x["bytes"][k:e]).view(np.uint8), slice(first[k], first[e])
+            at = (own[w] - k) * CONTEXT + off[w]
+            h1[w], h2[w] = names(raw, LENGTH)[at], names(raw, LENGTH, 1)[at]
         start, key = x["lo"][own].astype(np.int64) + off, x["key"][own]
         order = np.lexsort((start, key, h2, h1))
         again = np.zeros(len(own), bool)
