@@ -24,7 +24,19 @@ _ODD = 0x9E3779B97F4A7C15
 _BASE = (0xB5026F5AA96619E9, 0xD6E8FEB86659FD93)
 
 
+#: Documents in an Arrow batch: whole texts travel, so the default of 10,000 rows would hold
+#: tens of MB in the JVM and again in each Python worker.
+BATCH_ROWS = 1000
+
+
+def bounded_batches(spark: SparkSession) -> None:
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= BATCH_ROWS:
+        spark.conf.set(key, str(BATCH_ROWS))
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    bounded_batches(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
@@ -39,6 +51,7 @@ def shared_dir(spark: SparkSession, what: str) -> str:
 
 def persisted(df: DataFrame, what: str) -> DataFrame:
     """Write to the shared folder and read back: cuts lineage, survives lost executors."""
+    bounded_batches(df.sparkSession)
     path = shared_dir(df.sparkSession, what)
     df.write.parquet(path)
     out = df.sparkSession.read.schema(df.schema).parquet(path)
