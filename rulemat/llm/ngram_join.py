@@ -12,7 +12,9 @@ Any common order gives the same links.  Two sets that link share a gram of their
    of two sketches never exceeds the size of the sets' symmetric difference.
 2. Prefix grams of groups are dealt out; grams of one group drop out.
 3. Group pairs are filtered by size, by position in the prefix and by sketch, expanded to
-   their members, filtered again, and verified on the whole sets.
+   their members, filtered again, and verified on the whole sets.  A group stands there with
+   the sketch of its head and the most bits in which a member's sketch differs from it: two
+   members differ by at least the heads' difference less both of these, whoever they are.
 4. First every posting list and every group is compared with one member in its middle.  What
    links is joined to components, and afterwards only pairs of sets in different components
    are compared, all of them.  So no link between different components is lost, while groups
@@ -159,7 +161,7 @@ def postings(grouped: DataFrame) -> DataFrame:
     return exchange(grouped.select("gid", "n", "prefix"), send, "gram", _POST, keep, "gram long, gid long, n long, pos long")
 
 
-_CAND = [("gram", "u8"), ("gid", "i8"), ("n", "u4"), ("pos", "u4"), ("comp", "i8"), ("bits", f"({_SKETCH},)u8")]
+_CAND = [("gram", "u8"), ("gid", "i8"), ("n", "u4"), ("pos", "u4"), ("comp", "i8"), ("far", "u4"), ("bits", f"({_SKETCH},)u8")]
 
 
 def _differ(bits: np.ndarray, other: np.ndarray) -> np.ndarray:
@@ -167,7 +169,9 @@ def _differ(bits: np.ndarray, other: np.ndarray) -> np.ndarray:
 
 
 def _pairs(rows: DataFrame, percent: int, middle_only: bool) -> DataFrame:
-    """Candidate group pairs (a, b) of posting rows (gram, gid, n, pos, comp, sketch).
+    """Candidate group pairs (a, b) of posting rows (gram, gid, n, pos, comp, far, sketch).
+
+    ``far`` is how many bits of a sketch may differ in the rows that the posting row stands for.
 
     With ``middle_only`` each list's rows are compared with the row whose sketch is nearest
     to the list's majority; otherwise all rows of different components with each other.
@@ -175,11 +179,11 @@ def _pairs(rows: DataFrame, percent: int, middle_only: bool) -> DataFrame:
 
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[np.ndarray]:
         for batch in batches:
-            cols = [int_column(batch.column(k))[0] for k in range(5 + _SKETCH)]
+            cols = [int_column(batch.column(k))[0] for k in range(6 + _SKETCH)]
             out = np.empty(len(cols[0]), dtype=_CAND)
-            for name, c in zip(("gram", "gid", "n", "pos", "comp"), cols, strict=False):
+            for name, c in zip(("gram", "gid", "n", "pos", "comp", "far"), cols, strict=False):
                 out[name] = c.view(U64) if name == "gram" else c
-            out["bits"] = np.stack([c.view(U64) for c in cols[5:]], axis=1)
+            out["bits"] = np.stack([c.view(U64) for c in cols[6:]], axis=1)
             yield out
 
     def fit(x: np.ndarray, y: np.ndarray) -> np.ndarray:
@@ -191,7 +195,8 @@ def _pairs(rows: DataFrame, percent: int, middle_only: bool) -> DataFrame:
         if len(k):
             x, y = x[k] if len(x) == len(ok) else x, y[k] if len(y) == len(ok) else y
             a, b = x["n"].astype(np.int64), y["n"].astype(np.int64)
-            ok[k] = (a + b - _differ(x["bits"], y["bits"])) // 2 >= least_overlap(a, b, percent)
+            apart = np.maximum(_differ(x["bits"], y["bits"]) - x["far"].astype(np.int64) - y["far"].astype(np.int64), 0)
+            ok[k] = (a + b - apart) // 2 >= least_overlap(a, b, percent)
         return ok
 
     def settle(x: np.ndarray) -> Iterator[pa.RecordBatch]:
@@ -247,7 +252,7 @@ def _pairs(rows: DataFrame, percent: int, middle_only: bool) -> DataFrame:
         if size:
             yield emit()
 
-    return exchange(rows.select("gram", "gid", "n", "pos", "comp", *_B), send, "gram", _CAND, settle, "a long, b long", flush_rows=1 << 18).distinct()
+    return exchange(rows.select("gram", "gid", "n", "pos", "comp", "far", *_B), send, "gram", _CAND, settle, "a long, b long", flush_rows=1 << 18).distinct()
 
 
 def verify(keyed: DataFrame, pairs: DataFrame, width: int, percent: int) -> DataFrame:
@@ -302,11 +307,12 @@ def jaccard_components(docs: DataFrame, width: int = 4, percent: int = 85) -> Da
     full = persisted(_sets(keyed, width, percent, frequent), "sets")
     # documents with one set, sets with one prefix and size
     sets = full.groupBy("s1", "s2").agg(F.min("key").alias("key"), F.first("n").alias("n"), F.first("g").alias("g"), *[F.first(b).alias(b) for b in _B])
-    prefixes = full.groupBy("g", "n").agg(F.min("key").alias("gid"), F.first("prefix").alias("prefix"))
+    prefixes = full.groupBy("g", "n").agg(F.min("key").alias("gid"), F.first("prefix").alias("prefix"), F.min_by(F.struct(*_B), "key").alias("head"))
     prefixes = persisted(prefixes, "groups")
-    members = persisted(sets.join(prefixes.select("g", "n", "gid"), ["g", "n"]).select("key", "gid", "n", "s1", "s2", *_B), "members")
+    from_head = sum((F.bit_count(F.col(b).bitwiseXOR(F.col(f"head.{b}"))) for b in _B), F.lit(0))
+    members = persisted(sets.join(prefixes.select("g", "n", "gid", "head"), ["g", "n"]).select("key", "gid", "n", "s1", "s2", *_B, from_head.alias("from_head")), "members")
     post = persisted(postings(prefixes), "postings")
-    heads = members.where(F.col("key") == F.col("gid")).select("gid", *_B)
+    heads = prefixes.select("gid", "head.*")
 
     def expand(group_pairs: DataFrame, comp: DataFrame | None) -> DataFrame:
         m = members.select("key", "gid", "n", *_B)
@@ -319,14 +325,14 @@ def jaccard_components(docs: DataFrame, width: int = 4, percent: int = 85) -> Da
         return out.select(F.col("x_key").alias("a"), F.col("y_key").alias("b"))
 
     # first round: the middle of each posting list, the head of each group
-    first = _pairs(post.join(heads, "gid").withColumn("comp", F.col("gid")), percent, True)
+    first = _pairs(post.join(heads, "gid").withColumn("comp", F.col("gid")).withColumn("far", F.lit(0).cast("long")), percent, True)
     inside = members.where(F.col("key") != F.col("gid")).select(F.col("key").alias("a"), F.col("gid").alias("b"))
     links = persisted(verify(keyed, persisted(first.unionByName(inside), "pairs"), width, percent), "links")
     comp = persisted(components(links, persisted), "components")
     # second round: whatever is still apart.  A group in several components differs from all
-    state = members.select("key", "gid").join(comp, F.col("key") == F.col("node"), "left").groupBy("gid").agg(F.min(F.coalesce("component", "key")).alias("low"), F.max(F.coalesce("component", "key")).alias("high"))
-    state = persisted(state.select("gid", F.when(F.col("low") == F.col("high"), F.col("low")).otherwise(-1 - F.col("gid")).alias("comp"), (F.col("low") != F.col("high")).alias("mixed")), "group-state")
-    apart = _pairs(post.join(heads, "gid").join(state.select("gid", "comp"), "gid"), percent, False)
+    state = members.select("key", "gid", "from_head").join(comp, F.col("key") == F.col("node"), "left").groupBy("gid").agg(F.min(F.coalesce("component", "key")).alias("low"), F.max(F.coalesce("component", "key")).alias("high"), F.max("from_head").cast("long").alias("far"))
+    state = persisted(state.select("gid", F.when(F.col("low") == F.col("high"), F.col("low")).otherwise(-1 - F.col("gid")).alias("comp"), (F.col("low") != F.col("high")).alias("mixed"), "far"), "group-state")
+    apart = _pairs(post.join(heads, "gid").join(state.select("gid", "comp", "far"), "gid"), percent, False)
     own = state.where("mixed").select(F.col("gid").alias("a"), F.col("gid").alias("b"))
     more = persisted(expand(apart.unionByName(own), comp), "pairs")
     links = links.unionByName(persisted(verify(keyed, more, width, percent), "links"))

@@ -7,6 +7,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -90,6 +91,30 @@ def test_ngram_join(docs):
     assert rows(ngram_join.join_digests(docs)) == sorted(want, key=repr)
 
 
+def test_ngram_join_links_of_members_that_are_not_heads(spark):
+    """Sets of one prefix and size, of which only one that is no head links with another group."""
+    rng = np.random.default_rng(8)
+    texts = []
+    for family in range(6):
+        words = [f"f{family}w{k}" for k in range(400)]
+        hashed = {w: int(ngram_join.shingles(next(ngram_join.slices(pa.array([w]))), 1)[1][0]) for w in words}
+        words.sort(key=hashed.get)
+        head, spare = words[:100], words[100:]
+        prefix = int(ngram_join.prefix_size(np.array([100]), 85)[0])
+        drop = set(rng.choice(np.arange(prefix, 100), 8, replace=False).tolist())
+        member = [w for k, w in enumerate(head) if k not in drop] + spare[:8]
+        rest = [k for k in range(prefix, 92)]
+        gone = {int(rng.integers(prefix))} | set(rng.choice(rest, 6, replace=False).tolist())
+        other = [w for k, w in enumerate(member) if k not in gone] + spare[8:15]
+        texts += [" ".join(rng.permutation(x)) for x in (head, member, other)]
+    sets = [set(t.split()) for t in texts]
+    link = lambda a, b: 100 * len(sets[a] & sets[b]) >= 85 * len(sets[a] | sets[b])
+    assert all(link(k, k + 1) and link(k + 1, k + 2) and not link(k, k + 2) for k in range(0, len(sets), 3))
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r.doc_id: r.component_id for r in ngram_join.join_digests(docs, 1, 85).collect()}
+    assert got == {k: k - k % 3 for k in range(len(sets))}
+
+
 def test_token_ids(docs, spark, tmp_path):
     full = token_ids.Encoder.of(token_ids.vocabulary()).full
     got = token_ids.write_ids(docs, str(tmp_path / "ids"))
