@@ -7,6 +7,7 @@ import statistics
 
 import pytest
 
+from rulemat import graphops
 from rulemat.engine import Config, Reasoner
 from rulemat.engine.baselines import equal_state, from_scratch, with_recursive
 from rulemat.lang import RuleError, UnstratifiableError, parse_program
@@ -189,3 +190,19 @@ def test_goal_explain_save(spark, tmp_path):
 def test_recursive_query_baseline(spark):
     e = spark.createDataFrame([(i, i + 1) for i in range(6)], "c0 long, c1 long")
     assert with_recursive(e, 10).count() == 21
+
+
+def test_components_of_a_long_shuffled_path(spark, tmp_path):
+    n = 2000
+    ids = list(range(n))
+    random.Random(3).shuffle(ids)
+    edges = spark.createDataFrame(list(zip(ids, ids[1:], strict=False)) + [(n + 1, n), (n + 2, n + 1), (n + 5, n + 5)], "a long, b long")
+    at = iter(range(10**6))
+
+    def cut(df, name):
+        path = str(tmp_path / f"{name}{next(at)}")
+        df.write.parquet(path)
+        return spark.read.parquet(path)
+
+    got = {r.node: r.component for r in graphops.components(edges, cut).collect()}
+    assert got == {k: 0 for k in range(n)} | {k: n for k in (n, n + 1, n + 2)}
