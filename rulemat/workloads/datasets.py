@@ -24,22 +24,36 @@ def chain(spark: SparkSession, sf_dir: str, n: int) -> dict[str, DataFrame]:
     return {"hasNeighbour": links, "temp": c.select("c_custkey", "c_acctbal")}
 
 
-def farms(spark: SparkSession, sf_dir: str, n: int) -> dict[str, DataFrame]:
-    """A chain per nation; readings are the mean event values of the users of the same key."""
-    c = read(spark, sf_dir, "customer").where(F.col("c_custkey") < n)
+def nations(spark: SparkSession, sf_dir: str) -> dict[str, DataFrame]:
+    """A chain per nation over all customers with a reading each."""
+    c = read(spark, sf_dir, "customer")
+    order = Window.partitionBy("c_nationkey").orderBy("c_custkey")
+    links = c.select("c_custkey", F.lead("c_custkey").over(order).alias("next")).where(F.col("next").isNotNull())
+    return {"hasNeighbour": links, "temp": c.select("c_custkey", "c_acctbal")}
+
+
+def _below(df: DataFrame, key: str, n: int | None) -> DataFrame:
+    return df if n is None else df.where(F.col(key) < n)
+
+
+def farms(spark: SparkSession, sf_dir: str, n: int | None = None) -> dict[str, DataFrame]:
+    """A chain per nation; readings are the mean event values of the users of the same key.
+
+    All customers and events, or those of keys below n."""
+    c = _below(read(spark, sf_dir, "customer"), "c_custkey", n)
     order = Window.partitionBy("c_nationkey").orderBy("c_custkey")
     links = c.select("c_custkey", F.lead("c_custkey").over(order).alias("next")).where(F.col("next").isNotNull())
-    readings = read(spark, sf_dir, "events").where(F.col("user_id") < n).groupBy("user_id").agg(F.round(F.avg("value"), 6).alias("reading"))
+    readings = _below(read(spark, sf_dir, "events"), "user_id", n).groupBy("user_id").agg(F.round(F.avg("value"), 6).alias("reading"))
     return {"hasNeighbour": links, "temp": readings}
 
 
-def trade(spark: SparkSession, sf_dir: str, n: int) -> dict[str, DataFrame]:
-    """Five relations between customers, suppliers, nations and regions."""
-    c = read(spark, sf_dir, "customer").where(F.col("c_custkey") < n).select("c_custkey", "c_nationkey")
+def trade(spark: SparkSession, sf_dir: str, n: int | None = None) -> dict[str, DataFrame]:
+    """Five relations between customers, suppliers, nations and regions; all customers, or those of keys below n."""
+    c = _below(read(spark, sf_dir, "customer"), "c_custkey", n).select("c_custkey", "c_nationkey")
     nation = read(spark, sf_dir, "nation").select("n_nationkey", "n_regionkey")
     order = Window.partitionBy("n_regionkey").orderBy("c_custkey")
     placed = c.join(nation, F.col("c_nationkey") == F.col("n_nationkey")).select("c_custkey", F.lead("c_custkey").over(order).alias("next"))
-    orders = read(spark, sf_dir, "orders").where(F.col("o_custkey") < n).select("o_orderkey", "o_custkey")
+    orders = _below(read(spark, sf_dir, "orders"), "o_custkey", n).select("o_orderkey", "o_custkey")
     lines = read(spark, sf_dir, "lineitem").select("l_orderkey", "l_suppkey")
     bought = orders.join(lines, F.col("o_orderkey") == F.col("l_orderkey")).join(c, F.col("o_custkey") == F.col("c_custkey"), "left_semi")
     return {

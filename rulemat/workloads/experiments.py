@@ -284,3 +284,53 @@ m AS (SELECT n, median(v) AS m FROM f JOIN t USING (k) WHERE size > 1 GROUP BY n
 """
 _add("farm_anomaly", farm_anomaly, _FARM + "SELECT f.k AS c0, round(v - m, 4) AS c1 FROM f JOIN t USING (k) JOIN m USING (n) WHERE size > 1 AND v - m > 20")
 _add("farm_anomaly_cycle", farm_anomaly_cycle, _FARM + "SELECT 'near' AS predicate, CAST(sum(CASE WHEN a.size > 1 THEN 1 ELSE 0 END) AS BIGINT) AS rows FROM f a JOIN f b ON a.n = b.n")
+
+# ------------------------------------------- the same rule sets on whole tables
+
+
+def _rs1_all(spark: SparkSession, sf_dir: str) -> Reasoner:
+    return _kept(spark, sf_dir, "rs1-all", lambda: Reasoner(spark, rulesets.RS1, datasets.nations(spark, sf_dir)))
+
+
+def _rs2_all(spark: SparkSession, sf_dir: str) -> Reasoner:
+    return _kept(spark, sf_dir, "rs2-all", lambda: Reasoner(spark, rulesets.RS2, datasets.trade(spark, sf_dir), WIDE))
+
+
+def _rs3_all(spark: SparkSession, sf_dir: str) -> Reasoner:
+    return _kept(spark, sf_dir, "rs3-all", lambda: Reasoner(spark, rulesets.RS3, datasets.trade(spark, sf_dir), WIDE))
+
+
+def farm_anomaly_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The suspects among all customers by all events."""
+    r = _kept(spark, sf_dir, "farm-all", lambda: Reasoner(spark, rulesets.NEAR, datasets.farms(spark, sf_dir)))
+    r.insert_rules(FARM)
+    return r.relation("suspect").select("c0", F.round("c1", 4).alias("c1"))
+
+
+_NATIONS = """
+WITH f AS (SELECT c_custkey AS k, c_nationkey AS n, c_acctbal AS v, count(*) OVER (PARTITION BY c_nationkey) AS size FROM customer),
+m AS (SELECT n, median(v) AS m FROM f WHERE size > 1 GROUP BY n)
+"""
+_add("rs1_all_near", lambda s, d: _rs1_all(s, d).relation("near"), _NATIONS + "SELECT a.k AS c0, b.k AS c1 FROM f a JOIN f b ON a.n = b.n WHERE a.size > 1")
+_add("rs1_all_near_count", lambda s, d: _rs1_all(s, d).relation("nearCount"), _NATIONS + "SELECT k AS c0, size AS c1 FROM f WHERE size > 1")
+_add("rs1_all_median", lambda s, d: _rs1_all(s, d).relation("medTemp").select("c0", F.round("c1", 4).alias("c1")), _NATIONS + "SELECT k AS c0, round(m, 4) AS c1 FROM f JOIN m USING (n)")
+_add("rs1_all_suspect", lambda s, d: _rs1_all(s, d).relation("suspect").select("c0", F.round("c1", 4).alias("c1")), _NATIONS + "SELECT k AS c0, round(v - m, 4) AS c1 FROM f JOIN m USING (n) WHERE v - m > 5000")
+_add("farm_anomaly_all", farm_anomaly_all, _FARM.replace(" WHERE c_custkey < 300", "").replace(" WHERE user_id < 300", "") + "SELECT f.k AS c0, round(v - m, 4) AS c1 FROM f JOIN t USING (k) JOIN m USING (n) WHERE size > 1 AND v - m > 20")
+
+_TRADE_ALL = _TRADE.replace(f" WHERE c_custkey < {N2}", "").replace(f" WHERE o_custkey < {N2}", "")
+
+
+def _trade_all_sql(select: str) -> str:
+    return f"{_TRADE_ALL} SELECT c0, c1 FROM ({select})"
+
+
+for _q in range(1, 11):
+    _add(f"rs2_all_q{_q}", lambda s, d, q=_q: _rs2_all(s, d).relation(f"q{q}"), _trade_all_sql(f"SELECT * FROM q{_q}"))
+for _name, _ids in rulesets.UPDATES.items():
+    _pred, _sql = _DELETED[_name]
+    _add(f"rs2_all_delete_{_name}", _after_delete(_rs2_all, _ids, _pred), _trade_all_sql(_sql))
+    _add(f"rs2_all_insert_{_name}", _after_insert(_rs2_all, rulesets.RS2, _ids, _pred), _trade_all_sql(f"SELECT * FROM {_pred}"))
+_add("rs3_all_delete_r6", _after_delete(_rs3_all, ["r6"], "q7"), _trade_all_sql("SELECT * FROM q3"))
+_add("rs3_all_delete_r10n", _after_delete(_rs3_all, ["r10n"], "q9"), _trade_all_sql("SELECT * FROM q4"))
+_add("rs3_all_insert_r6", _after_insert(_rs3_all, rulesets.RS3, ["r6"], "q7"), _trade_all_sql("SELECT * FROM q7"))
+_add("rs3_all_insert_r10n", _after_insert(_rs3_all, rulesets.RS3, ["r10n"], "q9"), _trade_all_sql("SELECT * FROM q9"))

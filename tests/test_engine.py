@@ -1,5 +1,6 @@
 """Engine against a small set evaluator, and incremental states against recomputation."""
 
+import collections
 import itertools
 import operator
 import random
@@ -13,7 +14,7 @@ from rulemat.engine.baselines import equal_state, from_scratch, with_recursive
 from rulemat.lang import RuleError, UnstratifiableError, parse_program
 from rulemat.lang.syntax import Const
 from rulemat.plans.depgraph import build_rule_graph, condense
-from rulemat.workloads import rulesets
+from rulemat.workloads import datasets, experiments, rulesets
 
 
 def evaluate(text, facts):
@@ -206,3 +207,13 @@ def test_components_of_a_long_shuffled_path(spark, tmp_path):
 
     got = {r.node: r.component for r in graphops.components(edges, cut).collect()}
     assert got == {k: 0 for k in range(n)} | {k: n for k in (n, n + 1, n + 2)}
+
+
+def test_whole_table_queries_cover_all_customers(spark, sf):
+    """Queries named rs1_all_ and the facts of rs2_all_ reach every customer, not only low ids."""
+    customers = {r.c_custkey: r.c_nationkey for r in datasets.read(spark, sf, "customer").collect()}
+    size = collections.Counter(customers.values())
+    got = {r.c0: r.c1 for r in experiments.QUERIES["rs1_all_near_count"](spark, sf).collect()}
+    assert got == {k: size[n] for k, n in customers.items() if size[n] > 1}
+    assert max(got) > 100
+    assert datasets.trade(spark, sf)["p2"].count() == len(customers)
