@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -51,14 +52,34 @@ def degree(edges: DataFrame) -> DataFrame:
     return ends.groupBy("node").agg(F.count("*").alias("degree"))
 
 
-def scc(edges: DataFrame, cut: Callable[[DataFrame, str], DataFrame], max_rounds: int = 50) -> DataFrame:
+def scc(edges: DataFrame, cut: Callable[[DataFrame, str], DataFrame]) -> DataFrame:
     """(node, component): strongly connected components of a data relation by repeated
     forward and backward colouring: the nodes that reach and are reached by a colour's root
-    form a component and leave."""
+    form a component and leave.  Before each colouring, nodes without an edge in or without an
+    edge out leave as components of their own.  Ends when no node is left."""
     left = cut(edges.where(F.col("a") != F.col("b")).select("a", "b").distinct(), "edges")
     nodes = cut(edges.select(F.col("a").alias("node")).unionByName(edges.select(F.col("b").alias("node"))).distinct(), "nodes")
-    done = None
-    for _ in range(max_rounds):
+    parts: list[DataFrame] = []
+
+    def settle(part: DataFrame) -> None:
+        parts.append(part)
+        if len(parts) == 16:  # plans stay short
+            parts[:] = [cut(reduce(DataFrame.unionByName, parts), "part")]
+
+    def within(e: DataFrame) -> DataFrame:
+        keep = lambda side: nodes.select(F.col("node").alias(side))
+        return cut(e.join(keep("a"), "a", "left_semi").join(keep("b"), "b", "left_semi"), "edges")
+
+    while True:
+        inner = cut(left.select(F.col("a").alias("node")).intersect(left.select(F.col("b").alias("node"))), "nodes")
+        ends = cut(nodes.join(inner, "node", "left_anti").select("node", F.col("node").alias("component")), "part")
+        if not ends.isEmpty():
+            settle(ends)
+            nodes = inner
+            left = within(left)
+            continue
+        if nodes.isEmpty():
+            break
         colour = cut(nodes.withColumn("colour", F.col("node")), "colour")
         while True:
             near = left.join(colour.select(F.col("node").alias("a"), "colour"), "a").groupBy(F.col("b").alias("node")).agg(F.min("colour").alias("c2"))
@@ -75,10 +96,7 @@ def scc(edges: DataFrame, cut: Callable[[DataFrame, str], DataFrame], max_rounds
             front = cut(step.join(back, ["node", "colour"], "left_anti"), "front")
             back = back.unionByName(front)
         part = cut(back.select("node", F.col("colour").alias("component")), "part")
-        done = part if done is None else done.unionByName(part)
+        settle(part)
         nodes = cut(nodes.join(part, "node", "left_anti"), "nodes")
-        if nodes.isEmpty():
-            break
-        keep = lambda side: nodes.select(F.col("node").alias(side))  # noqa: E731, B023
-        left = cut(left.join(keep("a"), "a", "left_semi").join(keep("b"), "b", "left_semi"), "edges")
-    return done
+        left = within(left)
+    return reduce(DataFrame.unionByName, parts) if parts else nodes.select("node", F.col("node").alias("component"))

@@ -217,3 +217,18 @@ def test_whole_table_queries_cover_all_customers(spark, sf):
     assert got == {k: size[n] for k, n in customers.items() if size[n] > 1}
     assert max(got) > 100
     assert datasets.trade(spark, sf)["p2"].count() == len(customers)
+
+
+def test_scc_of_a_path_and_cycles(spark, tmp_path):
+    path = [(k, k + 1) for k in range(1, 60)]
+    rings = [(100, 101), (101, 102), (102, 100), (102, 110), (110, 111), (111, 110), (60, 100), (111, 200), (300, 300)]
+    at = iter(range(10**6))
+
+    def cut(df, name):
+        to = str(tmp_path / f"{name}{next(at)}")
+        df.write.parquet(to)
+        return spark.read.parquet(to)
+
+    got = sorted(map(tuple, graphops.scc(spark.createDataFrame(path + rings, "a long, b long"), cut).collect()))
+    alone = [*range(1, 61), 200, 300]
+    assert got == sorted([(k, k) for k in alone] + [(k, 100) for k in (100, 101, 102)] + [(k, 110) for k in (110, 111)])
