@@ -16,16 +16,27 @@ from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 
+def shared_root(spark: SparkSession) -> str:
+    """The folder that driver and executors share: ``spark.checkpoint.dir``.  Only a session in
+    local mode, where all is one machine, may name none; then it lies below the warehouse."""
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if root:
+        return root.rstrip("/")
+    if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-"):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    return spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/.scratch"
+
+
 class Storage:
-    """Where parts are written.  ``cut`` is ``parquet`` or ``checkpoint``; both go to the folder
-    that the session names in spark.checkpoint.dir (below the warehouse where it names none)."""
+    """Where parts are written: below ``shared_root``.  ``cut`` is ``parquet`` or ``checkpoint``."""
 
     def __init__(self, spark: SparkSession, cut: str = "parquet", root: str | None = None):
         if cut not in ("parquet", "checkpoint"):
             raise ValueError(f"unknown cut {cut}")
         self.spark, self.cut = spark, cut
-        base = root or spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/.scratch"
-        self.root = f"{base.rstrip('/')}/facts-{uuid.uuid4().hex[:12]}"
+        self.root = f"{(root or shared_root(spark)).rstrip('/')}/facts-{uuid.uuid4().hex[:12]}"
+        if cut == "checkpoint" and spark.sparkContext.getCheckpointDir() is None:
+            spark.sparkContext.setCheckpointDir(f"{self.root}/checkpoints")
         self.written = itertools.count(1)  # its steps are atomic, so nodes may run in threads
 
     def write(self, df: DataFrame) -> Part:

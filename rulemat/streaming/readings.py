@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..engine import Reasoner
+from ..engine.store import shared_root
 from ..workloads import rulesets
 from ..workloads.datasets import read
 from .updates import run_fact_updates
@@ -18,8 +19,7 @@ Query = Callable[[SparkSession, str], DataFrame]
 
 
 def _scratch(spark: SparkSession) -> str:
-    root = spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/.scratch"
-    return f"{root.rstrip('/')}/stream-{uuid.uuid4().hex[:12]}"
+    return f"{shared_root(spark)}/stream-{uuid.uuid4().hex[:12]}"
 
 
 def stream_of(spark: SparkSession, sf_dir: str, name: str, per_batch: int = 1) -> DataFrame:
