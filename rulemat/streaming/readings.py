@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..engine import Reasoner
-from ..engine.store import shared_root
+from ..sharing import shared_root
 from ..workloads import rulesets
 from ..workloads.datasets import read
 from .updates import run_fact_updates
