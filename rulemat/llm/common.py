@@ -8,6 +8,7 @@ words, shingles and k-grams of a whole slice are found and hashed with array ope
 
 from __future__ import annotations
 
+import ctypes
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -16,12 +17,30 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sharing import shared_root
+
 U64 = np.uint64
 #: Bytes of text worked on at once; bounds the temporaries of a task.
-SLICE_BYTES = 1 << 20
+SLICE_BYTES = 1 << 18
 
 _ODD = 0x9E3779B97F4A7C15
-_BASE = (0xB5026F5AA96619E9, 0xD6E8FEB86659FD93)
+_SEED = (0xB5026F5AA96619E9, 0xD6E8FEB86659FD93)
+_lean = False
+
+
+def lean_heap() -> None:
+    """Make a worker give large buffers back as soon as they are free: by default the C library
+    keeps blocks of up to 32 MB and Arrow's pool keeps more, in every idle worker."""
+    global _lean
+    if _lean:
+        return
+    _lean = True
+    pa.set_memory_pool(pa.system_memory_pool())
+    mallopt = getattr(ctypes.CDLL(None), "mallopt", None)
+    if mallopt is not None:  # a C library without it has other habits
+        mallopt(-3, 1 << 18)  # M_MMAP_THRESHOLD
+        mallopt(-1, 1 << 20)  # M_TRIM_THRESHOLD
+        mallopt(-8, 2)  # M_ARENA_MAX
 
 
 #: Documents in an Arrow batch: whole texts travel, so the default of 10,000 rows would hold
@@ -41,12 +60,8 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession, what: str) -> str:
-    """A fresh folder that driver and executors share: below ``spark.checkpoint.dir``, or
-    below the warehouse where the session names none."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        root = spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/.scratch"
-    return f"{root.rstrip('/')}/{what}-{uuid.uuid4().hex[:12]}"
+    """A fresh folder that driver and executors share."""
+    return f"{shared_root(spark)}/{what}-{uuid.uuid4().hex[:12]}"
 
 
 def persisted(df: DataFrame, what: str) -> DataFrame:
@@ -101,31 +116,36 @@ def pair_name(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return mix(a * U64(0xC2B2AE3D27D4EB4F) + (b ^ U64(0x165667B19E3779F9)))
 
 
-_powers: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+#: Keeps the first k bytes of eight.
+BYTE_MASK = np.array([(1 << 8 * k) - 1 for k in range(9)], dtype=U64)
 
 
-def powers(n: int, which: int) -> tuple[np.ndarray, np.ndarray]:
-    """base**i and base**-i modulo 2**64 for i < n."""
-    have = _powers.get(which)
-    if have is None or len(have[0]) < n:
-        size = 1 << max(16, n.bit_length())
-        base = _BASE[which]
-        inverse = pow(base, -1, 1 << 64)
-        both = []
-        for x in (base, inverse):
-            p = np.full(size, x, dtype=U64)
-            p[0] = 1
-            both.append(np.multiply.accumulate(p))
-        have = _powers[which] = (both[0], both[1])
-    return have[0][:n], have[1][:n]
+def unaligned(values: np.ndarray) -> np.ndarray:
+    """The eight bytes from every position on as one number; zeros follow the end."""
+    padded = np.zeros(len(values) + 8, np.uint8)
+    padded[: len(values)] = values
+    return np.ndarray((len(values) + 1,), "<u8", padded, strides=(1,))
 
 
 def span_hashes(values: np.ndarray, starts: np.ndarray, ends: np.ndarray, which: int = 0) -> np.ndarray:
-    """64-bit hash of each span of ``values`` (small integers), equal for equal content."""
-    up, down = powers(len(values) + 1, which)
-    total = np.zeros(len(values) + 1, dtype=U64)
-    np.cumsum((values.astype(U64) + U64(1)) * up[: len(values)], out=total[1:])
-    return mix((total[ends] - total[starts]) * down[starts] + (ends - starts).astype(U64) * U64(_ODD))
+    """64-bit hash of each span of a byte array, equal for equal content.
+
+    A span's pieces of eight bytes are mixed with their place in it before they are added up,
+    so that no arrangement of equal pieces cancels out, as it can in a polynomial."""
+    if not len(starts):
+        return np.zeros(0, U64)
+    n = ends - starts
+    count = np.maximum(1, (n + 7) >> 3)
+    stop = np.cumsum(count)
+    first, eight, seed = stop - count, unaligned(values), U64(_SEED[which])
+    if int(stop[-1]) == len(n):
+        total = mix((eight[starts] & BYTE_MASK[n]) ^ mix(np.full(1, seed, U64)))
+    else:
+        place = np.arange(int(stop[-1])) - np.repeat(first, count)
+        at = np.repeat(starts, count) + 8 * place
+        left = np.minimum(np.repeat(ends, count) - at, 8)
+        total = np.add.reduceat(mix((eight[at] & BYTE_MASK[left]) ^ mix(place.astype(U64) * U64(_ODD) + seed)), first)
+    return mix(total + n.astype(U64) * U64(_ODD))
 
 
 # ----------------------------------------------------------------------- texts
@@ -175,6 +195,7 @@ def byte_column(col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
 
 def slices(col: pa.Array, budget: int = SLICE_BYTES) -> Iterator[Texts]:
     """Cut a column into slices of about ``budget`` bytes, at document borders."""
+    lean_heap()
     buf, offs = byte_column(col)
     n, k = len(offs) - 1, 0
     while k < n:
@@ -204,9 +225,30 @@ def words(t: Texts, member: np.ndarray, lower: bool = True) -> tuple[np.ndarray,
 
 
 def word_hashes(t: Texts, member: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(hash, doc) of every word of the slice, in text order."""
-    values, starts, ends, doc = words(t, member)
-    return span_hashes(values, starts, ends), doc
+    """(hash, doc) of every word of the slice, in text order; a very long text goes in pieces."""
+    hashes, docs = [], []
+    for p in pieces(t, member) if len(t.data) > 8 * SLICE_BYTES else (t,):
+        values, starts, ends, doc = words(p, member)
+        hashes.append(span_hashes(values, starts, ends))
+        docs.append(doc if p is t else doc + p.first)
+    return np.concatenate(hashes), np.concatenate(docs)
+
+
+def pieces(t: Texts, member: np.ndarray, budget: int = 4 * SLICE_BYTES) -> Iterator[Texts]:
+    """Parts of single documents that end between words; ``first`` is the document's number."""
+    for k in range(t.n):
+        at, stop = int(t.offs[k]), int(t.offs[k + 1])
+        while at < stop:
+            end = min(stop, at + budget)
+            while end < stop:  # on to the next byte that is in no word
+                gap = np.flatnonzero(~member[LOWER[t.data[end : end + 4096]]])
+                if len(gap):
+                    end = min(stop, end + int(gap[0]))
+                    break
+                end += 4096
+            end = min(end, stop)
+            yield Texts(t.data[at:end], np.array([0, end - at]), k)
+            at = end
 
 
 def runs(h: np.ndarray, n: int) -> np.ndarray:
@@ -269,60 +311,73 @@ def unpack(blob: bytes, dtype: list[tuple[str, str]]) -> np.ndarray:
 PACKED = "bucket int, rows binary"
 
 
-def packed_batches(parts: list[np.ndarray], key: str, buckets: int) -> Iterator[pa.RecordBatch]:
+Deal = str | Callable[[np.ndarray], np.ndarray]
+
+
+def bucket_count(spark: SparkSession) -> int:
+    """Buckets outnumber partitions by far, so that partitions stay even."""
+    return max(1024, 8 * shuffle_width(spark))
+
+
+def packed_batches(rows: np.ndarray, deal: Deal, buckets: int) -> Iterator[pa.RecordBatch]:
     """Deal structured rows into buckets by a hash column; one output row per bucket."""
-    if not parts:
-        return
-    rows = np.concatenate(parts)
     if not len(rows):
         return
-    b = (mix(rows[key].astype(U64).copy()) % U64(buckets)).astype(np.int32)
+    by = rows[deal].astype(U64) if isinstance(deal, str) else deal(rows)
+    b = (mix(by) % U64(buckets)).astype(np.int32)
     order = np.argsort(b, kind="stable")
     rows, b = rows[order], b[order]
-    at = np.flatnonzero(np.concatenate([[True], b[1:] != b[:-1]]))
-    stop = np.append(at[1:], len(b))
+    at, stop = groups(b)
     yield pa.RecordBatch.from_arrays([pa.array(b[at], pa.int32()), pa.array([pack(rows[i:j]) for i, j in zip(at, stop, strict=True)], pa.binary())], names=["bucket", "rows"])
 
 
-def exchange(df: DataFrame, produce: Callable[[Iterator[pa.RecordBatch]], Iterator[np.ndarray]], key: str, dtype: list[tuple[str, str]], consume: Callable[[np.ndarray], Iterator[pa.RecordBatch]], schema: str, flush_rows: int = 1 << 20, combine: Callable[[np.ndarray], np.ndarray] | None = None) -> DataFrame:
-    """Shuffle structured rows by a hash column in packed form.
+def exchange(df: DataFrame, produce: Callable[[Iterator[pa.RecordBatch]], Iterator[np.ndarray]], deal: Deal, dtype: list[tuple[str, str]], consume: Callable[[np.ndarray], Iterator[pa.RecordBatch]], schema: str, flush_rows: int = 1 << 18, combine: Callable[[np.ndarray], np.ndarray] | None = None) -> DataFrame:
+    """Shuffle structured rows by a hash column (or a function of the rows) in packed form.
 
     ``produce`` turns a partition into structured arrays.  They travel as one blob per map
-    task and bucket, so the JVM moves few rows; ``combine`` may shrink what a task sends.
-    Buckets outnumber partitions by far, so that partitions stay even; each reducer sees one
-    bucket at a time (sorted within its partition, which can spill), never the whole partition.
-    """
-    buckets = max(1024, 8 * shuffle_width(df.sparkSession))
-    d = np.dtype(dtype)
+    task and bucket, so the JVM moves few rows; ``combine`` may shrink what a task sends."""
+    buckets = bucket_count(df.sparkSession)
 
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[np.ndarray] = []
         n = 0
         for part in produce(batches):
-            if len(part):
-                held.append(part)
-                n += len(part)
-            if n >= flush_rows:
-                rows = np.concatenate(held)
-                yield from packed_batches([combine(rows) if combine else rows], key, buckets)
-                held, n = [], 0
+            for k in range(0, len(part), flush_rows):
+                held.append(part[k : k + flush_rows])
+                n += len(held[-1])
+                if n >= flush_rows:
+                    rows = np.concatenate(held)
+                    held, n = [], 0
+                    yield from packed_batches(combine(rows) if combine else rows, deal, buckets)
         if held:
             rows = np.concatenate(held)
-            yield from packed_batches([combine(rows) if combine else rows], key, buckets)
+            yield from packed_batches(combine(rows) if combine else rows, deal, buckets)
+
+    return dealt(df.mapInArrow(send, PACKED), dtype, consume, schema)
+
+
+def dealt(packed: DataFrame, dtype: list[tuple[str, str]], consume: Callable[[np.ndarray], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
+    """Bring the blobs of a bucket together.  A reducer sees one bucket at a time (sorted within
+    its partition, which can spill), never the whole partition."""
+    d = np.dtype(dtype)
 
     def receive(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lean_heap()
         now, held = None, []
         for batch in batches:
             for b, blob in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 if b != now and held:
-                    yield from consume(np.concatenate(held))
+                    rows = np.concatenate(held)
                     held = []
+                    yield from consume(rows)
                 now = b
                 held.append(unpack(blob.as_buffer(), d))
         if held:
-            yield from consume(np.concatenate(held))
+            rows = np.concatenate(held)
+            held = []
+            yield from consume(rows)
 
-    return df.mapInArrow(send, PACKED).repartition("bucket").sortWithinPartitions("bucket").mapInArrow(receive, schema)
+    return packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(receive, schema)
 
 
 def groups(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
