@@ -3,7 +3,8 @@
 ``Encoder`` gives the ids of whole texts exactly as the tokenizers library does for the
 whole text.  Texts are cut at ASCII white space, every distinct word is encoded once per
 worker (the vocabulary's pre-tokenizer never joins text across white space), and ids of a
-slice are gathered with array operations.  Words of plain letters, digits and signs go
+slice are gathered with array operations.  Words are found by a hash and then compared byte
+by byte, so no collision can give a word another word's ids.  Words of plain letters, digits and signs go
 through the library's BPE model directly; any other word (apostrophes, special-token
 strings, characters outside Latin) goes through the library's full chain.
 
@@ -28,7 +29,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import NOT_SPACE, SLICE_BYTES, Texts, discard, int_column, persisted, shared_dir, shuffle_width, slices, span_hashes, words
+from .common import BYTE_MASK, NOT_SPACE, SLICE_BYTES, Texts, discard, int_column, persisted, pieces, shared_dir, shuffle_width, slices, span_hashes, unaligned, words
 
 U64 = np.uint64
 SCALE_BITS = 20
@@ -66,8 +67,9 @@ def _kinds() -> np.ndarray:
 class Encoder:
     """Encodes slices of texts; keeps the ids of words it has seen, up to a bound."""
 
-    MAX_WORDS = 1_500_000
-    MAX_PIECES = 150_000
+    MAX_WORDS = 400_000
+    MAX_POOL = 1 << 24
+    MAX_PIECES = 100_000
     _own: dict[str, Encoder] = {}
 
     def __init__(self, path: str):
@@ -99,7 +101,9 @@ class Encoder:
     def clear(self) -> None:
         self.pieces: dict[str, tuple[int, ...]] = {}
         self.keys = np.zeros(0, U64)  # sorted
-        self.check = np.zeros(0, U64)
+        self.place = np.zeros(0, np.int64)  # of a known word's bytes in the pool, and their number
+        self.size = np.zeros(0, np.int64)
+        self.pool = np.zeros(8, np.uint8)  # ends in eight zeros
         self.at = np.zeros(0, np.int64)
         self.count = np.zeros(0, np.int64)
         self.ids = np.zeros(0, np.uint32)
@@ -152,34 +156,42 @@ class Encoder:
 
     def encode(self, t: Texts) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all documents one after another, number of ids of each document)."""
+        if len(t.data) > 8 * SLICE_BYTES:  # a very long text, piece by piece
+            parts = [(p.first, self._encode(p)[0]) for p in pieces(t, NOT_SPACE)]
+            n = np.bincount([k for k, _ in parts], weights=[len(x) for _, x in parts], minlength=t.n).astype(np.int64)
+            return np.concatenate([x for _, x in parts]), n
+        return self._encode(t)
+
+    def _learn(self, where: np.ndarray, keys: np.ndarray, ws: list[bytes]) -> None:
+        """Put words in at their places among the sorted keys."""
+        got = self._new_words(ws)
+        n = np.fromiter(map(len, got), np.int64, len(got))
+        size = np.fromiter(map(len, ws), np.int64, len(ws))
+        self.keys = np.insert(self.keys, where, keys)
+        self.at, self.count = np.insert(self.at, where, len(self.ids) + np.cumsum(n) - n), np.insert(self.count, where, n)
+        self.place, self.size = np.insert(self.place, where, len(self.pool) - 8 + np.cumsum(size) - size), np.insert(self.size, where, size)
+        self.ids = np.concatenate([self.ids, np.fromiter((i for x in got for i in x), np.uint32, int(n.sum()))])
+        self.pool = np.concatenate([self.pool[:-8], np.frombuffer(b"".join(ws) + bytes(8), np.uint8)])
+
+    def _encode(self, t: Texts) -> tuple[np.ndarray, np.ndarray]:
         values, starts, ends, doc = words(t, NOT_SPACE, lower=False)
         if not len(starts):
             return np.zeros(0, np.uint32), np.zeros(t.n, np.int64)
-        h1, h2 = span_hashes(values, starts, ends, 0), span_hashes(values, starts, ends, 1)
-        uniq, sample, back = np.unique(h1, return_index=True, return_inverse=True)
+        uniq, sample, back = np.unique(span_hashes(values, starts, ends), return_index=True, return_inverse=True)
         where = np.searchsorted(self.keys, uniq)
         known = np.zeros(len(uniq), bool)
         inside = where < len(self.keys)
         known[inside] = self.keys[where[inside]] == uniq[inside]
         if not known.all():
-            if len(self.keys) > self.MAX_WORDS:
+            if len(self.keys) > self.MAX_WORDS or len(self.pool) > self.MAX_POOL:
                 self.clear()
-                known[:] = False
+                known[:], where[:] = False, 0
             new = sample[~known]
             raw = values.tobytes()
-            got = self._new_words([raw[a:b] for a, b in zip(starts[new].tolist(), ends[new].tolist(), strict=True)])
-            n = np.fromiter(map(len, got), np.int64, len(got))
-            flat = np.fromiter((i for x in got for i in x), np.uint32, int(n.sum()))
-            at = len(self.ids) + np.concatenate([[0], np.cumsum(n)[:-1]])
-            keys = np.concatenate([self.keys, uniq[~known]])
-            order = np.argsort(keys, kind="stable")
-            self.keys = keys[order]
-            self.check = np.concatenate([self.check, h2[new]])[order]
-            self.at, self.count = np.concatenate([self.at, at])[order], np.concatenate([self.count, n])[order]
-            self.ids = np.concatenate([self.ids, flat])
+            self._learn(where[~known], uniq[~known], [raw[a:b] for a, b in zip(starts[new].tolist(), ends[new].tolist(), strict=True)])
             where = np.searchsorted(self.keys, uniq)
         slot = where[back]
-        if (self.check[slot] != h2).any():  # two words share a hash: take the plain way
+        if not self._same(values, starts, ends, slot):  # two words share a hash: take the plain way
             got = self._whole([t.bytes_of(k).decode() for k in range(t.n)])
             n = np.fromiter(map(len, got), np.int64, len(got))
             return np.fromiter((i for x in got for i in x), np.uint32, int(n.sum())), n
@@ -188,6 +200,18 @@ class Encoder:
         pick = np.repeat(self.at[slot] - (stop - n), n) + np.arange(int(stop[-1]))
         return self.ids[pick], np.bincount(doc, weights=n, minlength=t.n).astype(np.int64)
 
+    def _same(self, values: np.ndarray, starts: np.ndarray, ends: np.ndarray, slot: np.ndarray) -> bool:
+        """Whether every word's bytes are those of the known word that it is taken for."""
+        n = ends - starts
+        if (self.size[slot] != n).any():
+            return False
+        count = (n + 7) >> 3
+        stop = np.cumsum(count)
+        step = 8 * (np.arange(int(stop[-1])) - np.repeat(stop - count, count))
+        bits = BYTE_MASK[np.minimum(np.repeat(n, count) - step, 8)]
+        pool = np.ndarray((len(self.pool) - 7,), "<u8", self.pool, strides=(1,))
+        return not (((unaligned(values)[np.repeat(starts, count) + step] ^ pool[np.repeat(self.place[slot], count) + step]) & bits) != 0).any()
+
 
 # --------------------------------------------------------- asymmetric numerals
 
@@ -290,9 +314,28 @@ _STAGED = "part int, seq int, before long, n_ids long, doc_ids binary, null_ids
 _BLOCK = "part int, seq int, before long, n_ids long, lanes int, states binary, mark_steps array<int>, mark_words array<int>, mark_states binary, words binary, crc long, doc_ids binary, null_ids binary, lens binary"
 
 
-def _bounds(docs: DataFrame, parts: int) -> list[int]:
-    got = docs.agg(F.percentile_approx("doc_id", [k / parts for k in range(1, parts)], 10_000).alias("q")).first()["q"] if parts > 1 else None
-    return sorted(set(got or []))
+_LOWEST = -(2**63)
+
+
+class Ranges:
+    """Ranges of doc_id of about equal numbers of rows.  A doc_id (or its lack) that fills
+    several of them is split further by the digest that orders its rows."""
+
+    def __init__(self, docs: DataFrame, parts: int):
+        at = [k / parts for k in range(1, parts)]
+        got = docs.agg(F.percentile_approx(F.coalesce("doc_id", F.lit(_LOWEST).cast("long")), at, 10_000).alias("q")).first()["q"] if at else None
+        self.bounds, times = np.unique(np.array(got or [], np.int64), return_counts=True)
+        self.times = np.append(times, 1)
+        self.first = np.cumsum(self.times) - self.times
+        self.count = int(self.times.sum())
+
+    def of(self, key: np.ndarray, valid: np.ndarray, digest: np.ndarray) -> np.ndarray:
+        key = np.where(valid, key, _LOWEST)
+        at = np.searchsorted(self.bounds, key, side="left")
+        same = np.append(self.bounds, 0)[at] == key
+        same &= at < len(self.bounds)
+        within = ((digest >> U64(32)) * self.times[at].astype(U64) >> U64(32)).astype(np.int64)
+        return self.first[at] + np.where(same, within, 0)
 
 
 def _width(path: str) -> type:
@@ -308,7 +351,7 @@ def stage_ids(docs: DataFrame, path: str, dtype: type, parts: int | None = None)
     spark = docs.sparkSession
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     parts = parts or max(8, shuffle_width(spark))
-    bounds = _bounds(docs, parts)
+    ranges = Ranges(docs, parts)
 
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc, z = Encoder.of(path), zstandard.ZstdCompressor(level=1)
@@ -317,8 +360,7 @@ def stage_ids(docs: DataFrame, path: str, dtype: type, parts: int | None = None)
         def flush() -> Iterator[pa.RecordBatch]:
             key, valid, digest, n = (np.concatenate([h[k] for h in held]) for k in range(4))
             ids = np.concatenate([h[4] for h in held])
-            to = np.searchsorted(bounds, key, side="left")
-            to[~valid] = 0
+            to = ranges.of(key, valid, digest)
             first = np.concatenate([[0], np.cumsum(n)])
             order = np.argsort(to, kind="stable")
             at = np.flatnonzero(np.concatenate([[True], to[order][1:] != to[order][:-1]]))
@@ -335,7 +377,7 @@ def stage_ids(docs: DataFrame, path: str, dtype: type, parts: int | None = None)
         total = 0
         for batch in batches:
             key, valid = int_column(batch.column(0))
-            for t in slices(batch.column(1), SLICE_BYTES):
+            for t in slices(batch.column(1), 4 * SLICE_BYTES):
                 ids, n = enc.encode(t)
                 full = np.empty(len(ids) + t.n, dtype)
                 stop = np.cumsum(n + 1)
@@ -345,7 +387,7 @@ def stage_ids(docs: DataFrame, path: str, dtype: type, parts: int | None = None)
                 digest = span_hashes(t.data, t.offs[:-1], t.offs[1:])  # orders rows that repeat a doc_id
                 held.append((key[t.first : t.first + t.n], valid[t.first : t.first + t.n], digest, n + 1, full))
                 total += len(full)
-                if total >= 8 * BLOCK_IDS:
+                if total >= 4 * BLOCK_IDS:
                     yield from flush()
                     held, total = [], 0
         if held:
@@ -383,7 +425,7 @@ def stage_ids(docs: DataFrame, path: str, dtype: type, parts: int | None = None)
             yield from lay(now)
 
     sent = docs.mapInArrow(send, "part int, k binary, v binary, d binary, n binary, ids binary")
-    return sent.repartitionById(len(bounds) + 1, "part").sortWithinPartitions("part").mapInArrow(settle, _STAGED)
+    return sent.repartitionById(ranges.count, "part").sortWithinPartitions("part").mapInArrow(settle, _STAGED)
 
 
 def write_ids(docs: DataFrame, out_dir: str, path: str | None = None) -> DataFrame:
