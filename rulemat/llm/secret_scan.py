@@ -21,7 +21,8 @@ from re import _parser as _p
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import persisted
+from .common import discard, fresh_name, persisted
+
 
 @dataclass(frozen=True)
 class Rule:
@@ -32,6 +33,8 @@ class Rule:
     group: int = 0
     #: A quick necessary test for rules that no trigram can narrow.
     guard: str | None = None
+    #: An expression with just those matches of ``pattern`` that are long enough.
+    fast: str | None = None
 
 
 def _either(word: str) -> str:
@@ -42,8 +45,8 @@ def _either(word: str) -> str:
 _KEYWORDS = "|".join([*map(_either, ("password", "passwd", "secret", "token")), "[Aa][Pp][Ii]_?[Kk][Ee][Yy]"])
 BASE = (
     Rule("assign", rf"""({_KEYWORDS})["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", 12, 2),
-    Rule("access", r"AKIA[A-Z0-9]+", 18),
-    Rule("hex", r"[0-9a-f]+", 16, 0, r"[0-9a-f]{16}"),
+    Rule("access", r"AKIA[A-Z0-9]+", 18, fast=r"AKIA[A-Z0-9]{14,}"),
+    Rule("hex", r"[0-9a-f]+", 16, 0, r"[0-9a-f]{16}", r"(?<![0-9a-f])[0-9a-f]{16,}"),
 )
 #: Further rules, whose spans come on top of the base ones.
 MORE = (
@@ -192,38 +195,56 @@ def candidates(index: DataFrame, rules: tuple[Rule, ...], trigrams: list[str]) -
 # ---------------------------------------------------------------- verification
 
 
-def _spans(rule: Rule, rank: int) -> Column:
+#: Matches whose positions are added up together.
+_BLOCK = 64
+
+
+def _spans(rule: Rule, rank: int, text: Column) -> Column:
     """Array of (start, stop, rank) of the matches that stay: lengths of the pieces between
-    the matches and of the matches themselves add up to positions."""
-    pattern = F.lit(rule.pattern)
-    every = F.regexp_extract_all("text", pattern, F.lit(0))
-    parts = F.arrays_zip(F.slice(F.split("text", rule.pattern, -1), 1, F.size(every)).alias("gap"), every.alias("hit"), F.regexp_extract_all("text", pattern, F.lit(rule.group)).alias("value"))
-    nothing = "array<struct<start:int,stop:int,size:int>>"
-    walked = F.aggregate(
-        parts,
-        F.struct(F.lit(0).alias("at"), F.array().cast(nothing).alias("out")),
-        lambda acc, x: F.struct(
-            (acc["at"] + F.length(x["gap"]) + F.length(x["hit"])).alias("at"),
-            F.concat(acc["out"], F.array(F.struct((acc["at"] + F.length(x["gap"])).alias("start"), (acc["at"] + F.length(x["gap"]) + F.length(x["hit"])).alias("stop"), F.length(x["value"]).alias("size")))).alias("out"),
-        ),
-        lambda acc: acc["out"],
-    )
+    the matches and of the matches themselves add up to positions.  They are added up in blocks,
+    as an array that grows with every match of a long text would be copied as often."""
+    expression = rule.fast or rule.pattern
+    every = F.regexp_extract_all(text, F.lit(expression), F.lit(0))
+    value = F.regexp_extract_all(text, F.lit(expression), F.lit(rule.group)) if rule.group else every
+    lengths = lambda x: F.transform(x, lambda y: F.length(y))
+    pieces = F.arrays_zip(lengths(F.slice(F.split(text, expression, -1), 1, F.size(every))).alias("gap"), lengths(every).alias("hit"), lengths(value).alias("size"))
+    empty = "array<struct<start:int,stop:int,size:int>>"
+
+    def walk(block: Column, at: Column) -> Column:
+        one = lambda acc, x: F.struct((acc["at"] + x["gap"]).alias("start"), (acc["at"] + x["gap"] + x["hit"]).alias("stop"), x["size"].alias("size"))
+        step = lambda acc, x: F.struct((acc["at"] + x["gap"] + x["hit"]).alias("at"), F.concat(acc["out"], F.array(one(acc, x))).alias("out"))
+        return F.aggregate(block, F.struct(at.alias("at"), F.array().cast(empty).alias("out")), step, lambda acc: acc["out"])
+
+    def far(p: Column) -> Column:
+        cut = F.transform(F.sequence(F.lit(0), F.floor((F.size(p) - 1) / _BLOCK).cast("int")), lambda b: F.slice(p, b * _BLOCK + 1, F.lit(_BLOCK)))
+        ahead = F.aggregate(
+            cut,
+            F.struct(F.lit(0).alias("at"), F.array().cast("array<int>").alias("out")),
+            lambda acc, x: F.struct(F.aggregate(x, acc["at"], lambda n, y: n + y["gap"] + y["hit"]).alias("at"), F.concat(acc["out"], F.array(acc["at"])).alias("out")),
+            lambda acc: acc["out"],
+        )
+        return F.flatten(F.transform(F.arrays_zip(cut.alias("block"), ahead.alias("at")), lambda x: walk(x["block"], x["at"])))
+
+    # through an array of one, so that the pieces are found once
+    walked = F.flatten(F.transform(F.array(pieces), lambda p: F.when(F.size(p) == 0, F.array().cast(empty)).when(F.size(p) <= _BLOCK, walk(p, F.lit(0))).otherwise(far(p))))
     return F.transform(F.filter(walked, lambda x: x["size"] >= rule.least), lambda x: F.struct(x["start"].alias("start"), F.lit(rank).alias("rank"), x["stop"].alias("stop")))
 
 
-def scan(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
-    """Columns of ``docs`` and ``secrets``: array of (start, rank of the rule, stop), sorted."""
+def scan(docs: DataFrame, rules: tuple[Rule, ...] = RULES, column: str = "secrets") -> DataFrame:
+    """Columns of ``docs`` as they are and ``column`` (with underscores after it where ``docs``
+    has that name): array of (start, rank of the rule, stop), sorted; it comes last."""
     trigrams = vocabulary(rules)
     index = persisted(build_index(docs, trigrams).distinct(), "trigram-index")
     found = persisted(candidates(index, rules, trigrams), "secret-candidates")
-    keyed = docs.withColumns({"text": F.coalesce("text", F.lit("")), "secret_key": text_key(F.col("text"))})
-    narrowed = keyed.join(found.select(F.col("key").alias("secret_key"), F.col("rules").alias("secret_rules")), "secret_key", "left")
-    none = F.array().cast("array<struct<start:int,rank:int,stop:int>>")
+    discard(index)
+    key, which, column = fresh_name(docs, "secret_key"), fresh_name(docs, "secret_rules"), fresh_name(docs, column)
+    narrowed = docs.withColumn(key, text_key(F.col("text"))).join(found.select(F.col("key").alias(key), F.col("rules").alias(which)), key, "left")
+    none, text = F.array().cast("array<struct<start:int,rank:int,stop:int>>"), F.coalesce(F.col("text"), F.lit(""))
     columns = []
     for k, r in enumerate(rules):
-        may = F.coalesce(F.col("secret_rules"), F.lit(0)).bitwiseAND(F.lit(1 << k)) != 0 if trigram_query(r.pattern) is not None else F.col("text").rlike(r.guard) if r.guard else F.lit(True)
-        columns.append(F.when(may, _spans(r, k)).otherwise(none))
-    return narrowed.withColumn("secrets", F.array_sort(F.concat(*columns))).drop("secret_key", "secret_rules")
+        may = F.coalesce(F.col(which), F.lit(0)).bitwiseAND(F.lit(1 << k)) != 0 if trigram_query(r.pattern) is not None else text.rlike(r.guard) if r.guard else F.lit(True)
+        columns.append(F.when(may, _spans(r, k, text)).otherwise(none))
+    return narrowed.select(*[F.col(f"`{c}`") for c in docs.columns], F.array_sort(F.concat(*columns)).alias(column))
 
 
 def _joined(spans: Column, rules: tuple[Rule, ...]) -> Column:
