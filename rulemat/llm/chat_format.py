@@ -11,7 +11,8 @@ Template: every turn is ``<|`` role ``|>`` text ``</s>`` and a line feed.  In ro
 role as ``~3`` and ``~4``), so that no control string can occur; unescaping gives them back.
 
 Defined cases: null text or role is empty; a null conversation is a conversation of its own;
-a node whose parent is missing is a root; equal rows each stay; an empty table gives no rows.
+a node whose parent is missing is a root; replies in a circle have their smallest node as root;
+equal rows each stay; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -19,7 +20,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import persisted
+from .common import discard, persisted
 
 # Marks of the template, and the escapes in the order in which they are applied.
 OPEN, CLOSE, STOP = "<|", "|>", "</s>\n"
@@ -39,20 +40,49 @@ def unescape(text: Column, table: tuple[tuple[str, str], ...] = ESCAPES) -> Colu
     return text
 
 
+def _replies(nodes: DataFrame) -> DataFrame:
+    """(conv, node, above): the replies whose parent is there."""
+    ids = nodes.select("conv", F.col("node").alias("above"))
+    jump = nodes.where(F.col("parent").isNotNull()).select("conv", "node", F.col("parent").alias("above"))
+    return jump.join(ids, ["conv", "above"], "left_semi").select("conv", "node", "above")
+
+
+def _doubled(jump: DataFrame, carry: str | None = None) -> DataFrame:
+    """Pointers twice as far; ``carry`` is a column whose least value along the way is kept."""
+    upper = jump.select("conv", F.col("node").alias("above"), F.col("above").alias("top"), *([F.col(carry).alias("other")] if carry else []))
+    kept = [F.least(carry, "other").alias(carry)] if carry else []
+    return persisted(jump.join(upper, ["conv", "above"]).select("conv", "node", F.col("top").alias("above"), *kept), "replies")
+
+
+def opened(nodes: DataFrame, jump: DataFrame, longest: int) -> DataFrame:
+    """``nodes`` with every cycle of replies opened at its smallest node, which becomes a root.
+    ``jump`` points further than any path without a cycle is long, so it ends on cycles."""
+    on = jump.select("conv", F.col("above").alias("node")).distinct()
+    ring = persisted(_replies(nodes).join(on, ["conv", "node"], "left_semi").withColumn("low", F.col("node")), "ring")
+    span = 1
+    while span < longest:
+        ring, old, span = _doubled(ring, "low"), ring, 2 * span
+        discard(old)
+    roots = ring.where(F.col("node") == F.col("low")).select("conv", "node", F.lit(True).alias("opens"))
+    return persisted(nodes.join(roots, ["conv", "node"], "left").withColumn("parent", F.when(F.col("opens").isNull(), F.col("parent"))).select(*nodes.columns), "nodes")
+
+
 def leaf_paths(nodes: DataFrame) -> DataFrame:
     """(conv, leaf, node, up): every leaf's ancestors, ``up`` replies above it."""
     ids = nodes.select("conv", "node")
-    jump = nodes.where(F.col("parent").isNotNull()).select("conv", "node", F.col("parent").alias("above")).join(ids.select("conv", F.col("node").alias("above")), ["conv", "above"], "left_semi")
-    jump = persisted(jump.select("conv", "node", "above"), "replies")
+    jump = persisted(_replies(nodes), "replies")
     leaves = ids.join(jump.select("conv", F.col("above").alias("node")), ["conv", "node"], "left_anti")
     paths = persisted(leaves.select("conv", F.col("node").alias("leaf"), "node", F.lit(0).cast("long").alias("up")), "paths")
+    longest = ids.groupBy("conv").count().agg(F.max("count")).first()[0] or 0
     span = 1
     while not jump.isEmpty():
+        if span >= longest:  # further than any path reaches: replies go in circles
+            return leaf_paths(opened(nodes, jump, longest))
         further = paths.join(jump, ["conv", "node"]).select("conv", "leaf", F.col("above").alias("node"), (F.col("up") + span).alias("up"))
-        paths = persisted(paths.unionByName(further), "paths")
-        upper = jump.select("conv", F.col("node").alias("above"), F.col("above").alias("top"))
-        jump = persisted(jump.join(upper, ["conv", "above"]).select("conv", "node", F.col("top").alias("above")), "replies")
-        span *= 2
+        paths, old = persisted(paths.unionByName(further), "paths"), paths
+        discard(old)
+        jump, old, span = _doubled(jump), jump, 2 * span
+        discard(old)
     return paths
 
 

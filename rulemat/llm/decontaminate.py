@@ -137,8 +137,12 @@ def decontaminate(docs: DataFrame, bench: DataFrame, window: int = WINDOW, gram:
                         own = pa.array(doc[at])
                         yield rows(rid.take(own), ids.take(own), pa.nulls(len(at), pa.int64()), pa.array(g.view(np.int64)), size, pa.array((at - first[doc[at]]).astype(np.int32)), _blobs(ctx))
 
-    found = docs.select(F.monotonically_increasing_id().alias("row_id"), F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(scan, schema)
-    joined = found.join(prints.select("hash", "size", "item_id", "context"), ["hash", "size"], "left").select("row_id", "doc_id", "n_words", "size", "pos", "around", "item_id", "context").where(F.col("n_words").isNotNull() | F.col("context").isNotNull())
+    # written once: row numbers stay, and rows that are in no join never share a key
+    found = persisted(docs.select(F.monotonically_increasing_id().alias("row_id"), F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(scan, schema), "found")
+    columns = ["row_id", "doc_id", "n_words", "size", "pos", "around", "item_id", "context"]
+    hits = found.where(F.col("hash").isNotNull()).join(prints.select("hash", "size", "item_id", "context"), ["hash", "size"]).select(*columns)
+    rows = found.where(F.col("hash").isNull()).select(*columns[:-2], F.lit(None).cast("long").alias("item_id"), F.lit(None).cast("binary").alias("context"))
+    joined = rows.unionByName(hits)
 
     def extend(batches: Iterator[pa.RecordBatch]) -> Iterator[np.ndarray]:
         for batch in batches:

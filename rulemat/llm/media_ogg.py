@@ -26,6 +26,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import lean_heap
+
 RATE = 8000
 PACKET = 4096
 _AUDIO, _NOTES = b"PCMU8\0\0\1", b"NOTES\0\0\1"
@@ -157,9 +159,9 @@ def describe(media: bytes) -> tuple[int, bytes, str]:
         if s.packets and s.packets[0][0].startswith(_AUDIO):
             (rate, _) = struct.unpack_from("<IB", s.packets[0][0], len(_AUDIO))
             payload = b"".join(p for p, _, _ in s.packets[1:])
-            x = np.frombuffer(payload, np.uint8).astype(np.int64) - 128
+            x = np.frombuffer(payload, np.uint8).astype(np.int32) - 128
             t = times(s, rate)
-            feature = f"pages={s.pages};packets={len(s.packets) - 1};streams={len(streams)};ms={round(1000 * t[-1]) if t else 0};power={int((x * x).sum()) // max(1, len(x))};crossings={int(((x[1:] < 0) != (x[:-1] < 0)).sum())};bad={bad + s.bad};end={int(s.end)}"
+            feature = f"pages={s.pages};packets={len(s.packets) - 1};streams={len(streams)};ms={round(1000 * t[-1]) if t else 0};power={int((x * x).sum(dtype=np.int64)) // max(1, len(x))};crossings={int(((x[1:] < 0) != (x[:-1] < 0)).sum())};bad={bad + s.bad};end={int(s.end)}"
     return raw, payload, feature
 
 
@@ -167,6 +169,7 @@ def encode_media(docs: DataFrame) -> DataFrame:
     """(doc_id, media): each text's bytes in their stored form."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lean_heap()
         for batch in batches:
             texts = batch.column(1)
             step = max(1, min(len(texts), 2000))
@@ -184,6 +187,7 @@ def decode_media(media: DataFrame) -> DataFrame:
     """Features of a media column, computed from the stored bytes alone."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lean_heap()
         for batch in batches:
             rows = []
             for x in batch.column(1):

@@ -86,9 +86,29 @@ def _digest(*parts: Column | str) -> Column:
     return F.md5(F.concat_ws("|", *(F.lit(p) if isinstance(p, str) else p for p in parts)).cast("binary"))
 
 
+_USED = ("doc_id", "text", "source")
+_REST = "mix_rest"
+
+
+def _slim(docs: DataFrame) -> DataFrame:
+    """The columns that mixing reads, and all others in one, so that no name can clash."""
+    rest = [c for c in docs.columns if c not in _USED]
+    return docs.select(*_USED, F.struct(*[F.col(f"`{c}`").alias(f"c{k}") for k, c in enumerate(rest)], F.lit(0).alias("none")).alias(_REST))
+
+
+def _back(docs: DataFrame) -> list[Column]:
+    rest = [c for c in docs.columns if c not in _USED]
+    return [F.col(c) if c in _USED else F.col(f"{_REST}.c{rest.index(c)}").alias(c) for c in docs.columns]
+
+
 def mix(docs: DataFrame, max_epochs: float = MAX_EPOCHS, target_entropy: float | None = None) -> DataFrame:
     """All columns of ``docs`` and mix_tokens, mix_weight, mix_copies (how often the mixture
-    reads the document), mix_block."""
+    reads the document), mix_block; these get underscores after them where ``docs`` has them."""
+    made = [F.col(c).alias(fresh_name(docs, c)) for c in ("mix_tokens", "mix_weight", "mix_copies", "mix_block")]
+    return _mix(_slim(docs), max_epochs, target_entropy).select(*_back(docs), *made)
+
+
+def _mix(docs: DataFrame, max_epochs: float = MAX_EPOCHS, target_entropy: float | None = None) -> DataFrame:
     spark = docs.sparkSession
     base = docs.withColumns({"mix_source": F.coalesce(F.col("source"), F.lit("")), "mix_block": block_of(F.col("doc_id")), "mix_tokens": token_count(F.col("text"))})
     blocks = base.groupBy("mix_source", "mix_block").agg(F.sum("mix_tokens").alias("block_tokens"))
@@ -117,13 +137,9 @@ def mix(docs: DataFrame, max_epochs: float = MAX_EPOCHS, target_entropy: float |
 def mixture(docs: DataFrame, **limits: float) -> DataFrame:
     """The mixture itself: each document as often as the budgets read it, with its epoch and
     the sort key that realises the permuted block order, beside the columns of ``docs``."""
-    used = ("doc_id", "text", "source")
-    rest = [c for c in docs.columns if c not in used]
-    slim = docs.select(*used, F.struct(*[F.col(f"`{c}`").alias(f"c{k}") for k, c in enumerate(rest)], F.lit(0).alias("none")).alias("mix_rest"))
-    mixed = mix(slim, **limits).withColumn("mix_epoch", F.explode(F.sequence(F.lit(0).cast("long"), F.col("mix_copies") - 1)))
+    mixed = _mix(_slim(docs), **limits).withColumn("mix_epoch", F.explode(F.sequence(F.lit(0).cast("long"), F.col("mix_copies") - 1)))
     order = _digest(SEED, F.coalesce(F.col("source"), F.lit("")), F.col("mix_epoch").cast("string"), F.col("mix_block"))
-    back = [F.col(c) if c in used else F.col(f"mix_rest.c{rest.index(c)}").alias(c) for c in docs.columns]
-    return mixed.select(*back, F.col("mix_epoch").alias(fresh_name(docs, "mix_epoch")), order.alias(fresh_name(docs, "mix_order")))
+    return mixed.select(*_back(docs), F.col("mix_epoch").alias(fresh_name(docs, "mix_epoch")), order.alias(fresh_name(docs, "mix_order")))
 
 
 def mixing_report(docs: DataFrame) -> DataFrame:

@@ -3,9 +3,9 @@
 A document is its set of distinct word n-grams; two documents link when their sets' Jaccard
 similarity reaches a threshold given in percent.
 
-Grams are ordered from rare to frequent: a bounded list of the most frequent ones (counted
-over all documents) comes last in the order of its counts, all others before it by hash.
-Any common order gives the same links.  Two sets that link share a gram of their prefixes, so:
+Grams are ordered from rare to frequent: a bounded list of the most frequent ones comes last in
+the order of its counts, all others before it by hash.  The counts cover all documents, but for
+grams that a task meets only once in a million; any common order gives the same links.  Two sets that link share a gram of their prefixes, so:
 
 1. Documents with the same set collapse into one set, sets with the same prefix and size
    into one group.  A set also carries a 512-bit parity sketch: the number of differing bits
@@ -83,7 +83,7 @@ def frequent_grams(keyed: DataFrame, width: int) -> np.ndarray:
             for t in slices(batch.column(0)):
                 held.append(shingles(t, width)[1])
                 n += len(held[-1])
-                if n > 1 << 22:
+                if n > 1 << 20:
                     yield flush()
                     held, n = [], 0
         if held:
@@ -252,7 +252,7 @@ def _pairs(rows: DataFrame, percent: int, middle_only: bool) -> DataFrame:
         if size:
             yield emit()
 
-    return exchange(rows.select("gram", "gid", "n", "pos", "comp", "far", *_B), send, "gram", _CAND, settle, "a long, b long", flush_rows=1 << 18).distinct()
+    return exchange(rows.select("gram", "gid", "n", "pos", "comp", "far", *_B), send, "gram", _CAND, settle, "a long, b long", flush_rows=1 << 17).distinct()
 
 
 def verify(keyed: DataFrame, pairs: DataFrame, width: int, percent: int) -> DataFrame:
