@@ -10,7 +10,8 @@ from pyspark.sql import functions as F
 
 from ..graphops import components
 from ..lang.syntax import Rule, Var
-from .store import FactStore, Relation
+from .delta import Change
+from .store import FactStore, Part, Relation
 
 
 @dataclass(frozen=True)
@@ -44,18 +45,85 @@ def labels(base: DataFrame, cut: object) -> DataFrame:
     return components(base.select(F.col("c0").alias("a"), F.col("c1").alias("b")), cut)
 
 
-def expand_labels(ctx: object, rules: list[Rule], pattern: Closure, ext: object) -> FactStore:
-    """The node's store by way of labels: pairs of equal label, by an equi-join on the label.
+def label_part(ctx: object, lab: DataFrame) -> Part:
+    """A part that stands for the pairs of a label table: n rows at rest for n**2 facts."""
+    at = ctx.storage.write(lab)
+    sizes = at.frame.groupBy("component").agg(F.count("*").alias("n")).agg(F.sum(F.col("n") * F.col("n"))).first()[0]
+    pairs = at.frame.select(F.col("node").alias("c0"), "component").join(at.frame.select(F.col("node").alias("c1"), "component"), "component").select("c0", "c1")
+    return Part(pairs, int(sizes or 0), at.path, labels=at.frame)
 
-    Nodes whose only edge is a loop form a component of their own; a label table never holds
-    more rows than there are nodes."""
-    base = ext(pattern.pred)
-    if base is None:
-        return FactStore()
+
+def _labelled(ctx: object, base: DataFrame) -> DataFrame:
+    """Labels of a relation's nodes.  Nodes whose only edge is a loop are a component of their own."""
     cut = lambda df, name: ctx.storage.write(df).frame
     lab = labels(base, cut)
     loops = base.where(F.col("c0") == F.col("c1")).select(F.col("c0").alias("node"), F.col("c0").alias("component"))
-    lab = ctx.storage.write(lab.unionByName(loops.join(lab, "node", "left_anti")).distinct()).frame
-    a, b = lab.select(F.col("node").alias("c0"), "component"), lab.select(F.col("node").alias("c1"), "component")
-    part = ctx.storage.write(a.join(b, "component").select("c0", "c1"))
+    return lab.unionByName(loops.join(lab, "node", "left_anti").distinct())
+
+
+def _ends(edges: DataFrame) -> DataFrame:
+    return edges.select(F.col("c0").alias("node")).unionByName(edges.select(F.col("c1").alias("node"))).distinct()
+
+
+def expand_labels(ctx: object, rules: list[Rule], pattern: Closure, ext: object) -> FactStore:
+    """The node's store as labels; a label table never holds more rows than there are nodes."""
+    base = ext(pattern.pred)
+    if base is None:
+        return FactStore()
+    part = label_part(ctx, _labelled(ctx, base))
     return FactStore({pattern.pred: Relation((part,))}) if part.rows else FactStore()
+
+
+def maintain_labels(ctx: object, pattern: Closure, before: FactStore, change: Change, ext: object) -> tuple[FactStore, dict[str, Part], dict[str, Part]]:
+    """The node's store after a change of its base relation, and the pairs it gained and lost.
+
+    Components that lose an edge are labelled again from the edges left in them; new edges
+    merge labels.  Pairs are written only where two nodes came together or apart."""
+    cut = lambda df: ctx.storage.write(df).frame
+    pred, base = pattern.pred, ext(pattern.pred)
+    old = next((p.labels for p in before.get(pred).parts if p.labels is not None), None)
+    if old is None and before.get(pred).rows:  # pairs read from a saved state: each node's least partner is its label
+        old = cut(before.get(pred).frame().groupBy(F.col("c0").alias("node")).agg(F.min("c1").alias("component")))
+    now = old
+    gone, come = change.minus.get(pred), change.plus.get(pred)
+    if now is not None and gone is not None and gone.rows:
+        hit = cut(now.join(_ends(gone.frame), "node", "left_semi").select("component").distinct())
+        inside = cut(now.join(hit, "component", "left_semi").select("node"))
+        rest = now.join(hit, "component", "left_anti")
+        if base is not None:
+            near = base.join(inside.select(F.col("node").alias("c0")), "c0", "left_semi").join(inside.select(F.col("node").alias("c1")), "c1", "left_semi")
+            rest = rest.unionByName(_labelled(ctx, cut(near.select("c0", "c1"))).select(*rest.columns))
+        now = cut(rest.select("node", "component"))
+    if come is not None and come.rows:
+        edges, ends = come.frame, _ends(come.frame)
+        known = ends.join(now, "node", "left") if now is not None else ends.withColumn("component", F.lit(None).cast(dict(ends.dtypes)["node"]))
+        known = cut(known.select("node", F.coalesce("component", "node").alias("component"), F.col("component").isNull().alias("new")))
+        side = lambda c: known.select(F.col("node").alias(c), F.col("component").alias(f"{c}_label"))
+        merged = labels(edges.join(side("c0"), "c0").join(side("c1"), "c1").select(F.col("c0_label").alias("c0"), F.col("c1_label").alias("c1")), lambda df, name: cut(df))
+        both = known.where("new").select("node", "component")
+        both = both if now is None else now.select("node", "component").unionByName(both)
+        root = merged.select(F.col("node").alias("component"), F.col("component").alias("root"))
+        now = both.join(root, "component", "left").select("node", F.coalesce("root", "component").alias("component"))
+    part = label_part(ctx, now) if now is not None else None
+    store = FactStore({pred: Relation((part,))}) if part is not None and part.rows else FactStore()
+    gained, lost = _moved(ctx, old, part.labels if store.relations else None)
+    return store, {pred: gained} if gained is not None and gained.rows else {}, {pred: lost} if lost is not None and lost.rows else {}
+
+
+def _moved(ctx: object, old: DataFrame | None, new: DataFrame | None) -> tuple[Part | None, Part | None]:
+    """Pairs that have one label now and had not, and the other way round."""
+    empty = (old if old is not None else new).limit(0) if old is not None or new is not None else None
+    if empty is None:
+        return None, None
+    a, b = (df if df is not None else empty for df in (old, new))
+    both = a.select("node", F.col("component").alias("was")).join(b.select("node", F.col("component").alias("now")), "node", "full")
+    both = ctx.storage.write(both).frame
+    moved = both.where(~F.col("was").eqNullSafe(F.col("now")))
+    out = []
+    for mine, other in (("now", "was"), ("was", "now")):
+        x = moved.where(F.col(mine).isNotNull()).select(F.col("node").alias("c0"), mine, F.col(other).alias("x_other"))
+        y = both.where(F.col(mine).isNotNull()).select(F.col("node").alias("c1"), mine, F.col(other).alias("y_other"))
+        # at least one of two nodes that came together (or apart) has another label than before
+        found = x.join(y, mine).where(~F.coalesce(F.col("x_other") == F.col("y_other"), F.lit(False))).select("c0", "c1")
+        out.append(ctx.storage.write(found.unionByName(found.select(F.col("c1").alias("c0"), F.col("c0").alias("c1"))).distinct()))
+    return out[0], out[1]

@@ -6,7 +6,7 @@ import copy
 import itertools
 import json
 import time
-from collections.abc import Iterable
+from collections.abc import Iterable, Iterator
 from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field, replace
 
@@ -20,9 +20,9 @@ from ..plans.compile import Compiler, column, union
 from ..plans.depgraph import HyperGraph, RuleGraph, condense, require_acyclic, stratify
 from ..plans.order import Stats
 from .delta import Change, Maintainer, diff
-from .fixpoint import Context, distinct_values, minus, run_node
+from .fixpoint import Context, Node, distinct_values, minus, run_node
 from .metrics import UpdateLog
-from .patterns import expand_labels, symmetric_transitive
+from .patterns import expand_labels, maintain_labels, symmetric_transitive
 from .store import EMPTY, FactStore, Relation, Storage, StoreBag
 
 EXPLICIT = "explicit"
@@ -65,6 +65,8 @@ class State:
     explicit: FactStore
     stores: dict[str, FactStore] = field(default_factory=dict)
     version: int = 0
+    #: Names of the stream batches that this version contains.
+    batches: frozenset[str] = frozenset()
 
     def bag(self) -> StoreBag:
         return StoreBag({EXPLICIT: self.explicit, **self.stores})
@@ -145,7 +147,6 @@ class Reasoner:
         self.storage = Storage(spark, self.config.cut)
         self.null_terms: dict[str, int] = {}
         self.log = UpdateLog("none")
-        self.batches: set[object] = set()
         rules = program if isinstance(program, Program) else Program({r.id: r for r in parse_rules(program)})
         self.declared: dict[str, list[str]] = dict(schemas or {})
         explicit = FactStore()
@@ -170,7 +171,7 @@ class Reasoner:
     def fork(self) -> Reasoner:
         """An independent engine on the same immutable state; no data is copied."""
         out = copy.copy(self)
-        out.types, out.declared, out.batches = dict(self.types), dict(self.declared), set(self.batches)
+        out.types, out.declared = dict(self.types), dict(self.declared)
         return out
 
     # loading
@@ -210,22 +211,29 @@ class Reasoner:
         bag, hidden = state.bag(), frozenset(own)
 
         def relation(pred: str) -> DataFrame | None:
+            if self.config.layout != "none" and self.config.bag != "merged":
+                return bag.ordered(pred, "c1" if self.config.layout == "c1" else "c0", self.storage, hidden)
             df = bag.relation(pred, hidden)
             if df is not None and self.config.bag == "merged":
                 df = self.storage.write(df).frame
-            if df is not None and self.config.layout in ("c0", "c1") and self.config.layout in df.columns:
-                df = df.repartition(self.config.layout).sortWithinPartitions(self.config.layout)
             return df
 
         return relation
 
-    def relation(self, pred: str) -> DataFrame:
-        """All visible facts of a predicate, explicit and derived."""
-        df = self.state.bag().relation(pred)
+    def relation(self, pred: str, by: str | None = None) -> DataFrame:
+        """All visible facts of a predicate, explicit and derived; with ``by`` from copies in the
+        order of that column, which the ``layout`` must keep."""
+        bag = self.state.bag()
+        df = bag.ordered(pred, by, self.storage) if by and self.config.layout in (by, "both") else bag.relation(pred)
         if df is None:
             return self._context(self.state, self.log).compiler.empty(pred)
         return df
 
+    def _looked_up(self, atom: object) -> DataFrame:
+        """The relation of an atom, in the order of its first constant argument."""
+        at = next((f"c{k}" for k, t in enumerate(atom.args[:2]) if isinstance(t, Const)), None)
+        return self.relation(atom.pred, at)
+
     def register_views(self) -> list[str]:
         names = self.state.bag().index
         for p in names:
@@ -237,41 +245,60 @@ class Reasoner:
         parts = parse_atoms(goal)
         rule = Rule("goal", replace(parts["positives"][0], pred="_goal"), **{k: tuple(v) for k, v in parts.items()})
         ctx = self._context(self.state, self.log)
-        got = ctx.compiler.bindings(rule, lambda k, a, n: self.relation(a.pred), ctx.stats)
+        got = ctx.compiler.bindings(rule, lambda k, a, n: self._looked_up(a), ctx.stats)
         return got.select(*[F.col(c).alias(c[2:]) for c in got.columns if c != "v__any"]).distinct()
 
     def explain(self, pred: str, *values: object) -> list[tuple[str, str]]:
-        """One proof of a fact: pairs of fact and the rule (or ``explicit``) that gives it."""
-        out: list[tuple[str, str]] = []
-        todo, seen = [(pred, tuple(values))], set()
-        ctx = self._context(self.state, self.log)
-        while todo:
-            p, vs = todo.pop()
-            if (p, vs) in seen:
+        """One proof of a fact: pairs of fact and the rule (or ``explicit``) that gives it, each
+        fact before those that it rests on; empty if the fact does not hold.
+
+        Bindings of the rules for a fact are walked one by one, without those whose body uses a
+        fact that still waits for its own proof, until one's body facts all have proofs."""
+        goal = (pred, tuple(values))
+        proved: dict[tuple, tuple[str, list[tuple]]] = {}
+        stack: list[list] = [[goal, self._ways(goal, {goal}), None]]  # fact, its ways, the way tried now
+        while stack:
+            fact, ways, way = stack[-1]
+            way = stack[-1][2] = way or next(ways, None)
+            if way is None:  # no way is left; whoever needed this fact goes on with another
+                stack.pop()
+                if stack:
+                    stack[-1][2] = None
                 continue
-            seen.add((p, vs))
-            text = f"{p}({', '.join(map(str, vs))})"
-            here = self.state.explicit.get(p).frame()
-            if here is not None and not here.where(_equals(vs)).isEmpty():
-                out.append((text, EXPLICIT))
-                continue
-            for r in (r for r in self.state.program if r.head.pred == p):
-                b = ctx.compiler.bindings(r, lambda k, a, n: self.relation(a.pred), ctx.stats)
-                for a, v in zip(r.head.args, vs, strict=True):
-                    if isinstance(a, Var) and column(a.name) in b.columns:
-                        b = b.where(F.col(column(a.name)) == F.lit(v))
-                # prefer a binding whose body facts are not yet on the path
-                for row in b.limit(50).collect():
-                    need = [(a.pred, tuple(t.value if isinstance(t, Const) else row[column(t.name)] for t in a.args)) for a in r.positives if all(not isinstance(t, Var) or t.name != "_" for t in a.args)]
-                    if not set(need) & (seen - set(map(tuple, ()))) or all(n not in seen for n in need):
-                        out.append((text, r.id))
-                        todo += need
-                        break
-                else:
-                    continue
-                break
+            missing = next((n for n in way[1] if n not in proved), None)
+            if missing is None:
+                proved[fact] = way
+                stack.pop()
+            else:
+                stack.append([missing, self._ways(missing, {missing, *(f for f, _, _ in stack)}), None])
+        out, todo, seen = [], [goal] if goal in proved else [], set()
+        while todo:
+            fact = todo.pop()
+            if fact not in seen:
+                seen.add(fact)
+                out.append((f"{fact[0]}({', '.join(map(str, fact[1]))})", proved[fact][0]))
+                todo += proved[fact][1]
         return out
 
+    def _ways(self, fact: tuple[str, tuple], path: set[tuple]) -> Iterator[tuple[str, list[tuple]]]:
+        """Rules that give a fact, with the body facts of each binding that uses none of ``path``."""
+        pred, values = fact
+        here = self.state.explicit.get(pred).frame()
+        if here is not None and not here.where(_equals(values)).isEmpty():
+            yield EXPLICIT, []
+        ctx = self._context(self.state, self.log)
+        for r in (r for r in self.state.program if r.head.pred == pred):
+            if any(isinstance(a, Const) and a.value != v for a, v in zip(r.head.args, values, strict=True)):
+                continue
+            b = ctx.compiler.bindings(r, lambda k, a, n: self.relation(a.pred), ctx.stats)
+            for a, v in zip(r.head.args, values, strict=True):
+                if isinstance(a, Var) and column(a.name) in b.columns:
+                    b = b.where(F.col(column(a.name)) == F.lit(v))
+            for row in b.toLocalIterator():
+                need = [(a.pred, tuple(t.value if isinstance(t, Const) else row[column(t.name)] for t in a.args)) for a in r.positives if all(not isinstance(t, Var) or t.name != "_" for t in a.args)]
+                if path.isdisjoint(need):
+                    yield r.id, need
+
     # materialisation
 
     def materialise(self) -> StoreBag:
@@ -315,8 +342,9 @@ class Reasoner:
         return run_node(ctx, rules, ext)
 
     def _by_stratum(self, state: State, log: UpdateLog) -> dict[str, FactStore]:
-        """Baseline: a stratum's rules are one unit, whatever their components."""
-        level = stratify(state.graph)
+        """Baseline: a stratum's rules are one unit, whatever their components.  Afterwards each
+        component gets what its own rules derive, so that later updates find their owner's facts."""
+        level, of = stratify(state.graph), state.hyper.node_of()
         stores: dict[str, FactStore] = {}
         for s in sorted(set(level.values())):
             rules = [state.program.rules[r] for r in sorted(level) if level[r] == s]
@@ -326,10 +354,17 @@ class Reasoner:
             own = run_node(ctx, [r for r in rules if not r.agg], ext)
             for r in groups:  # aggregates read complete lower strata only
                 own = FactStore(own.relations | run_node(ctx, [r], ext).relations)
-            of = state.hyper.node_of()
+            whole = Node(ctx, rules, ext, own)
             for pred, rel in own.relations.items():
-                node = min(of[r.id] for r in rules if r.head.pred == pred)
-                stores[node] = stores.get(node, FactStore()).put(pred, rel)
+                owners: dict[str, list[Rule]] = {}
+                for r in rules:
+                    if r.head.pred == pred:
+                        owners.setdefault(of[r.id], []).append(r)
+                for node, mine in owners.items():
+                    if len(owners) > 1:
+                        part = ctx.storage.write(union([whole.frame(r, whole.resolver()) for r in mine]).distinct())
+                        rel = Relation((part,)) if part.rows else EMPTY
+                    stores[node] = stores.get(node, FactStore()).put(pred, rel)
         return {n: stores.get(n, FactStore()) for n in state.hyper.nodes}
 
     # updates
@@ -346,11 +381,14 @@ class Reasoner:
     def delete_facts(self, pred: str, df: DataFrame) -> UpdateLog:
         return self.update(drop_facts={pred: df})
 
-    def update(self, add_rules: str | Iterable[Rule] = (), drop_rules: Iterable[str] = (), add_facts: dict[str, DataFrame] | None = None, drop_facts: dict[str, DataFrame] | None = None) -> UpdateLog:
+    def update(self, add_rules: str | Iterable[Rule] = (), drop_rules: Iterable[str] = (), add_facts: dict[str, DataFrame] | None = None, drop_facts: dict[str, DataFrame] | None = None, batch: str | None = None) -> UpdateLog:
         """One transaction: rules out, rules in, facts out and in; then every node that the
-        changes reach, once, in topological order."""
+        changes reach, once, in topological order.  The new version carries the name of the
+        ``batch``; one that a version already carries changes nothing."""
         began = time.perf_counter()
         old = self.state
+        if batch is not None and batch in old.batches:
+            return UpdateLog("repeated")
         log = UpdateLog("update")
         types, declared = dict(self.types), dict(self.declared)
         try:
@@ -358,6 +396,7 @@ class Reasoner:
             explicit, change = self._facts(old.explicit, add_facts or {}, drop_facts or {}, log)
             new = replace(new, explicit=explicit)
             state = self._revisit(old, new, dirty, removed, change, log)
+            state = replace(state, batches=old.batches | ({batch} if batch is not None else set()))
         except BaseException:
             self.types, self.declared = types, declared
             raise
@@ -469,6 +508,15 @@ class Reasoner:
                 log.skipped.append(n)
                 continue
             log.visited.append(n)
+            pattern = symmetric_transitive(list(rules.values())) if self.config.pattern_closure == "auto" and not (redo or n in dirty) and self.config.downstream != "redo" and sources == [n] else None
+            if pattern:
+                stores[n], gained, gone = maintain_labels(ctx, pattern, old.stores.get(n, FactStore()), change_in, ext_new)
+                for pred, part in gained.items():
+                    plus.setdefault(pred, []).append(part)
+                for pred, part in gone.items():
+                    lost.setdefault(pred, []).append(part)
+                log.deltas += [(n, p, gained[p].rows if p in gained else 0, gone[p].rows if p in gone else 0) for p in sorted({*gained, *gone})]
+                continue
             if redo or (n not in dirty and self.config.downstream == "redo"):
                 store = self._fresh(now, n, log)
             else:
@@ -558,7 +606,7 @@ class Reasoner:
 
     def save(self, path: str) -> None:
         """Write the state: relations in Parquet, and a manifest written last."""
-        manifest = {"version": self.state.version, "rules": [[r.id, r.text()] for r in self.state.program], "nodes": {n: sorted(rs) for n, rs in self.state.hyper.nodes.items()}, "types": self.types, "declared": self.declared, "batches": sorted(map(str, self.batches)), "relations": []}
+        manifest = {"version": self.state.version, "rules": [[r.id, r.text()] for r in self.state.program], "nodes": {n: sorted(rs) for n, rs in self.state.hyper.nodes.items()}, "types": self.types, "declared": self.declared, "batches": sorted(self.state.batches), "relations": []}
         base = f"{path}/v{self.state.version}"
         for n, s in self.state.bag().stores.items():
             for p, r in s.relations.items():
@@ -583,8 +631,7 @@ class Reasoner:
         graph = RuleGraph(rules)
         names = {frozenset(rs): n for n, rs in m["nodes"].items()}
         hyper = condense(graph, names)
-        out.state = State(rules, graph, hyper, stores.pop(EXPLICIT, FactStore()), {n: stores.get(n, FactStore()) for n in hyper.nodes}, m["version"])
-        out.batches = set(m["batches"])
+        out.state = State(rules, graph, hyper, stores.pop(EXPLICIT, FactStore()), {n: stores.get(n, FactStore()) for n in hyper.nodes}, m["version"], frozenset(m["batches"]))
         return out
 
     def vacuum(self) -> int:

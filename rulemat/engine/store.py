@@ -29,6 +29,7 @@ class Storage:
         if cut == "checkpoint" and spark.sparkContext.getCheckpointDir() is None:
             spark.sparkContext.setCheckpointDir(f"{self.root}/checkpoints")
         self.written = itertools.count(1)  # its steps are atomic, so nodes may run in threads
+        self._sorted: dict[tuple[int, str], Part] = {}
 
     def write(self, df: DataFrame) -> Part:
         """Materialise a frame and count its rows in the same job."""
@@ -41,8 +42,19 @@ class Storage:
         watched.write.parquet(path)
         return Part(self.spark.read.schema(df.schema).parquet(path), int(seen.get["n"]), path)
 
+    def sorted_by(self, part: Part, column: str) -> DataFrame:
+        """A part in the order of a column: written once, so that reads of ranges and single
+        values of the column skip most of its files."""
+        key = (id(part), column)
+        if key not in self._sorted:
+            copy = self.write(part.frame.repartitionByRange(column).sortWithinPartitions(column))
+            self._sorted[key] = Part(copy.frame, part.rows, copy.path, of=part)  # keeps the part, hence its id
+        return self._sorted[key].frame
+
     def vacuum(self, live: set[str]) -> int:
-        """Delete written parts that no live handle names."""
+        """Delete written parts that no live handle names, with their sorted copies."""
+        self._sorted = {k: c for k, c in self._sorted.items() if c.of.path is not None and c.of.path in live}
+        live = live | {c.path for c in self._sorted.values() if c.path}
         hpath = self.spark._jvm.org.apache.hadoop.fs.Path
         fs = hpath(self.root).getFileSystem(self.spark._jsc.hadoopConfiguration())
         if not fs.exists(hpath(self.root)):
@@ -55,9 +67,14 @@ class Storage:
 
 @dataclass(frozen=True, eq=False)
 class Part:
+    """Rows at rest.  A part with ``labels`` stands for all pairs of nodes that have the same
+    label: ``path`` holds the labels (node, component), and ``frame`` pairs them when read."""
+
     frame: DataFrame
     rows: int
     path: str | None
+    labels: DataFrame | None = None
+    of: Part | None = None
 
 
 @dataclass(frozen=True, eq=False)
@@ -134,7 +151,14 @@ class StoreBag:
     def rows(self, pred: str) -> int:
         return sum(self.stores[n].get(pred).rows for n in self.members(pred))
 
-    def layout(self, pred: str, by: str = "c0") -> DataFrame | None:
-        """The relation clustered by one column, as an index for joins on it."""
-        df = self.relation(pred)
-        return df.repartition(by).sortWithinPartitions(by) if df is not None else None
+    def ordered(self, pred: str, by: str, storage: Storage, without: frozenset[str] = frozenset()) -> DataFrame | None:
+        """The relation from copies of its parts in the order of one column; labels have no
+        copies, as their pairs are never stored."""
+        parts = [p for n in self.members(pred) if n not in without for p in self.stores[n].get(pred).parts if p.rows]
+        if not parts:
+            return None
+        frames = [p.frame if p.labels is not None or by not in p.frame.columns else storage.sorted_by(p, by) for p in parts]
+        out = frames[0]
+        for f in frames[1:]:
+            out = out.unionByName(f)
+        return out.distinct() if sum(n not in without for n in self.members(pred)) > 1 else out
