@@ -14,6 +14,10 @@ from .delta import Change
 from .store import FactStore, Part, Relation
 
 
+#: New edges that are joined to components on the driver; more go through Spark.
+FEW_EDGES = 10_000
+
+
 @dataclass(frozen=True)
 class Closure:
     pred: str
@@ -92,26 +96,47 @@ def maintain_labels(ctx: object, pattern: Closure, before: FactStore, change: Ch
         rest = now.join(hit, "component", "left_anti")
         if base is not None:
             near = base.join(inside.select(F.col("node").alias("c0")), "c0", "left_semi").join(inside.select(F.col("node").alias("c1")), "c1", "left_semi")
-            rest = rest.unionByName(_labelled(ctx, cut(near.select("c0", "c1"))).select(*rest.columns))
+            left = ctx.storage.write(near.select("c0", "c1"))
+            again = _joined_here(ctx, left.frame) if left.rows <= FEW_EDGES else _labelled(ctx, left.frame)
+            rest = rest.unionByName(again.select(*rest.columns))
         now = cut(rest.select("node", "component"))
     if come is not None and come.rows:
         edges, ends = come.frame, _ends(come.frame)
         known = ends.join(now, "node", "left") if now is not None else ends.withColumn("component", F.lit(None).cast(dict(ends.dtypes)["node"]))
         known = cut(known.select("node", F.coalesce("component", "node").alias("component"), F.col("component").isNull().alias("new")))
         side = lambda c: known.select(F.col("node").alias(c), F.col("component").alias(f"{c}_label"))
-        merged = labels(edges.join(side("c0"), "c0").join(side("c1"), "c1").select(F.col("c0_label").alias("c0"), F.col("c1_label").alias("c1")), lambda df, name: cut(df))
+        between = edges.join(side("c0"), "c0").join(side("c1"), "c1").select(F.col("c0_label").alias("c0"), F.col("c1_label").alias("c1"))
+        merged = _joined_here(ctx, between) if come.rows <= FEW_EDGES else labels(between, lambda df, name: cut(df))
         both = known.where("new").select("node", "component")
         both = both if now is None else now.select("node", "component").unionByName(both)
         root = merged.select(F.col("node").alias("component"), F.col("component").alias("root"))
         now = both.join(root, "component", "left").select("node", F.coalesce("root", "component").alias("component"))
     part = label_part(ctx, now) if now is not None else None
     store = FactStore({pred: Relation((part,))}) if part is not None and part.rows else FactStore()
-    gained, lost = _moved(ctx, old, part.labels if store.relations else None)
+    gained, lost = _moved(ctx, old, part.labels if store.relations else None, come is not None, gone is not None)
     return store, {pred: gained} if gained is not None and gained.rows else {}, {pred: lost} if lost is not None and lost.rows else {}
 
 
-def _moved(ctx: object, old: DataFrame | None, new: DataFrame | None) -> tuple[Part | None, Part | None]:
-    """Pairs that have one label now and had not, and the other way round."""
+def _joined_here(ctx: object, edges: DataFrame) -> DataFrame:
+    """(node, component) of at most ``FEW_EDGES`` edges, on the driver."""
+    root: dict[object, object] = {}
+
+    def find(x: object) -> object:
+        while root.setdefault(x, x) != x:
+            root[x] = x = root[root[x]]
+        return x
+
+    for a, b in edges.collect():
+        a, b = find(a), find(b)
+        root[max(a, b)] = min(a, b)
+    # a node whose only edge is a loop is its own root
+    kind = edges.schema[0].dataType.simpleString()
+    return ctx.storage.spark.createDataFrame([(x, find(x)) for x in list(root)], f"node {kind}, component {kind}")
+
+
+def _moved(ctx: object, old: DataFrame | None, new: DataFrame | None, came: bool, went: bool) -> tuple[Part | None, Part | None]:
+    """Pairs that have one label now and had not (if edges came), and the other way round (if
+    edges went)."""
     empty = (old if old is not None else new).limit(0) if old is not None or new is not None else None
     if empty is None:
         return None, None
@@ -120,7 +145,10 @@ def _moved(ctx: object, old: DataFrame | None, new: DataFrame | None) -> tuple[P
     both = ctx.storage.write(both).frame
     moved = both.where(~F.col("was").eqNullSafe(F.col("now")))
     out = []
-    for mine, other in (("now", "was"), ("was", "now")):
+    for mine, other, may in (("now", "was", came), ("was", "now", went)):
+        if not may:
+            out.append(None)
+            continue
         x = moved.where(F.col(mine).isNotNull()).select(F.col("node").alias("c0"), mine, F.col(other).alias("x_other"))
         y = both.where(F.col(mine).isNotNull()).select(F.col("node").alias("c1"), mine, F.col(other).alias("y_other"))
         # at least one of two nodes that came together (or apart) has another label than before

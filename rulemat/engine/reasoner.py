@@ -348,12 +348,13 @@ class Reasoner:
         stores: dict[str, FactStore] = {}
         for s in sorted(set(level.values())):
             rules = [state.program.rules[r] for r in sorted(level) if level[r] == s]
-            ctx = self._context(replace(state, stores=dict(stores)), log)
-            ext = self._ext(replace(state, stores=dict(stores)), [])
-            groups = [r for r in rules if r.agg]
-            own = run_node(ctx, [r for r in rules if not r.agg], ext)
-            for r in groups:  # aggregates read complete lower strata only
-                own = FactStore(own.relations | run_node(ctx, [r], ext).relations)
+            for r in (r for r in rules if r.agg):  # aggregates read complete lower strata only
+                now = replace(state, stores=dict(stores))
+                stores[of[r.id]] = run_node(self._context(now, log), [r], self._ext(now, []))
+            rules = [r for r in rules if not r.agg]
+            now = replace(state, stores=dict(stores))
+            ctx, ext = self._context(now, log), self._ext(now, [])
+            own = run_node(ctx, rules, ext)
             whole = Node(ctx, rules, ext, own)
             for pred, rel in own.relations.items():
                 owners: dict[str, list[Rule]] = {}
@@ -503,7 +504,8 @@ class Reasoner:
             before = _merged(ctx, [old.stores.get(s, FactStore()) for s in sources], {r.head.pred for r in rules.values()}) if n not in moved else FactStore()
             ext_old, ext_new = self._ext(old, sources), self._ext(now, [n])
             reads = {p for r in rules.values() for p in r.body_preds()}
-            change_in = self._visible(ctx, {p for p in reads if p in plus or p in lost}, plus, lost, ext_old, ext_new)
+            alone = {p for p in reads if len([m for m in old.bag().members(p) if m not in sources]) <= 1 and len([m for m in now.bag().members(p) if m != n]) <= 1}
+            change_in = self._visible(ctx, {p for p in reads if p in plus or p in lost}, plus, lost, (old.bag(), sources), (now.bag(), [n]), alone, n in dirty)
             if n not in dirty and not change_in.touches(reads):
                 log.skipped.append(n)
                 continue
@@ -545,18 +547,27 @@ class Reasoner:
             log.deltas += [(n, p, delta.plus[p].rows if p in delta.plus else 0, delta.minus[p].rows if p in delta.minus else 0) for p in sorted({*delta.plus, *delta.minus})]
         return replace(new, stores={n: stores.get(n, FactStore()) for n in new.hyper.nodes})
 
-    def _visible(self, ctx: Context, preds: set[str], plus: dict[str, list], lost: dict[str, list], ext_old: object, ext_new: object) -> Change:
-        """Candidates that really change what a node sees: the union of the other stores."""
+    def _visible(self, ctx: Context, preds: set[str], plus: dict[str, list], lost: dict[str, list], before: tuple[StoreBag, list[str]], after: tuple[StoreBag, list[str]], alone: set[str], rebuilt: bool) -> Change:
+        """Candidates that really change what a node sees: the union of the stores but its own.
+        Where one store is ``alone`` with a predicate, nothing else can show or hide its facts;
+        only a ``rebuilt`` node can meet candidates of stores that are its own."""
         out = Change()
         for pred in sorted(preds):
-            for many, side, against in ((plus, out.plus, ext_old), (lost, out.minus, ext_new)):
+            for many, side, here, against in ((plus, out.plus, after, before), (lost, out.minus, before, after)):
                 parts = [x for x in many.get(pred, ()) if x.rows]
-                inside = (ext_new if side is out.plus else ext_old)(pred) if parts else None
-                if not parts or inside is None:
+                if not parts:
                     continue
-                cand = union([x.frame for x in parts]).distinct()
-                cand = cand.join(inside, cand.columns, "left_semi")
-                part = self.storage.write(minus(cand, against(pred)))
+                if pred in alone and not rebuilt and len(parts) == 1 and parts[0].labels is None and not (plus.get(pred) and lost.get(pred)):
+                    side[pred] = parts[0]
+                    continue
+                cand = union([x.frame for x in parts])
+                cand = cand.distinct() if len(parts) > 1 or parts[0].labels is not None else cand
+                if rebuilt:
+                    inside = here[0].relation(pred, frozenset(here[1]))
+                    if inside is None:
+                        continue
+                    cand = cand.join(inside, cand.columns, "left_semi")
+                part = self.storage.write(against[0].missing(cand, pred, frozenset(against[1])))
                 if part.rows:
                     side[pred] = part
         return out

@@ -148,6 +148,18 @@ class StoreBag:
             out = out.unionByName(f)
         return out.distinct() if len(frames) > 1 else out
 
+    def missing(self, df: DataFrame, pred: str, without: frozenset[str] = frozenset()) -> DataFrame:
+        """Rows that are no fact of ``pred``.  A pair is looked up in labels, not in their pairs."""
+        plain: DataFrame | None = None
+        for part in (p for n in self.members(pred) if n not in without for p in self.stores[n].get(pred).parts if p.rows):
+            if part.labels is None:
+                plain = part.frame if plain is None else plain.unionByName(part.frame)
+                continue
+            side = lambda c: part.labels.select(F.col("node").alias(c), F.col("component").alias(f"{c}_label"))  # noqa: B023, E731
+            apart = ~F.coalesce(F.col("c0_label") == F.col("c1_label"), F.lit(False))
+            df = df.join(side("c0"), "c0", "left").join(side("c1"), "c1", "left").where(apart).select("c0", "c1")
+        return df if plain is None else df.join(plain, df.columns, "left_anti")
+
     def rows(self, pred: str) -> int:
         return sum(self.stores[n].get(pred).rows for n in self.members(pred))
 

@@ -100,3 +100,30 @@ def scc(edges: DataFrame, cut: Callable[[DataFrame, str], DataFrame]) -> DataFra
         nodes = cut(nodes.join(part, "node", "left_anti"), "nodes")
         left = within(left)
     return reduce(DataFrame.unionByName, parts) if parts else nodes.select("node", F.col("node").alias("component"))
+
+
+def closure(edges: DataFrame, cut: Callable[[DataFrame, str], DataFrame]) -> DataFrame:
+    """(a, b): all pairs joined by a path, by doubling: a path of n edges takes log2(n) rounds."""
+    known = cut(edges.select("a", "b").distinct(), "paths")
+    fresh = known
+    while not fresh.isEmpty():
+        ends = lambda df, x, y: df.select(F.col("a").alias(x), F.col("b").alias(y))
+        longer = ends(fresh, "a", "m").join(ends(known, "m", "b"), "m").unionByName(ends(known, "a", "m").join(ends(fresh, "m", "b"), "m"))
+        fresh = cut(longer.select("a", "b").distinct().join(known, ["a", "b"], "left_anti"), "paths")
+        known = cut(known.unionByName(fresh), "paths")
+    return known
+
+
+def ancestors(edges: DataFrame, nodes: DataFrame, cut: Callable[[DataFrame, str], DataFrame]) -> DataFrame:
+    """(node, ancestor): what lies upstream of given nodes along edges (a, b).  Only the given
+    nodes' paths are followed, one level a round, so a few nodes of a large graph stay cheap."""
+    front = cut(nodes.select("node").distinct().withColumn("at", F.col("node")), "front")
+    seen: DataFrame | None = None
+    while True:
+        step = front.join(edges.select(F.col("b").alias("at"), "a"), "at").select("node", F.col("a").alias("at")).distinct()
+        front = cut(step if seen is None else step.join(seen, ["node", "at"], "left_anti"), "front")
+        if front.isEmpty():
+            break
+        seen = front if seen is None else cut(seen.unionByName(front), "seen")
+    found = seen if seen is not None else front
+    return found.select("node", F.col("at").alias("ancestor"))

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..engine import Reasoner
-from ..graphops import bfs_levels, components
+from ..graphops import ancestors, bfs_levels, closure, components, degree
 from ..workloads.datasets import read
 from . import joins
 
@@ -38,8 +38,6 @@ _frame("op_head_const", "SELECT c_custkey AS id, 'customer' AS kind FROM custome
 _frame("op_filter_cmp", "SELECT o_orderkey FROM orders WHERE o_totalprice > 300000", lambda t: t("orders").where(c("o_totalprice") > 300000).select("o_orderkey"))
 _frame("op_filter_in", "SELECT o_orderkey FROM orders WHERE o_orderstatus IN ('F', 'P') AND o_custkey BETWEEN 10 AND 50", lambda t: t("orders").where(c("o_orderstatus").isin("F", "P") & c("o_custkey").between(10, 50)).select("o_orderkey"))
 _frame("op_filter_like", "SELECT p_partkey FROM part WHERE p_type LIKE '%A%' AND regexp_matches(p_brand, '[12]$')", lambda t: t("part").where(c("p_type").like("%A%") & c("p_brand").rlike("[12]$")).select("p_partkey"))
-_frame("op_comp_vars", "SELECT c_custkey FROM customer WHERE c_custkey < c_nationkey * 10", lambda t: t("customer").where(c("c_custkey") < c("c_nationkey") * 10).select("c_custkey"))
-_frame("op_bind_arith", "SELECT l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount) * (1 + l_tax), 4) AS charge FROM lineitem", lambda t: t("lineitem").select("l_orderkey", "l_linenumber", F.round(c("l_extendedprice") * (1 - c("l_discount")) * (1 + c("l_tax")), 4).alias("charge")))
 _frame("op_case", "SELECT c_custkey, CASE WHEN c_acctbal < 0 THEN 'debt' WHEN c_acctbal > 5000 AND NOT c_nationkey = 3 THEN 'rich' ELSE 'usual' END AS class FROM customer", lambda t: t("customer").select("c_custkey", F.when(c("c_acctbal") < 0, "debt").when((c("c_acctbal") > 5000) & ~(c("c_nationkey") == 3), "rich").otherwise("usual").alias("class")))
 _frame("op_distinct", "SELECT DISTINCT o_custkey, o_orderstatus FROM orders", lambda t: t("orders").select("o_custkey", "o_orderstatus").dropDuplicates())
 _frame("op_repeat_var", "SELECT s_suppkey FROM supplier WHERE s_suppkey = s_nationkey", lambda t: t("supplier").where(c("s_suppkey") == c("s_nationkey")).select("s_suppkey"))
@@ -49,7 +47,6 @@ _frame("op_join_broadcast", "SELECT s_suppkey, n_name FROM supplier JOIN nation
 _frame("op_join_smj", "SELECT o_orderkey, count(*) AS n FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY o_orderkey", lambda t: t("orders").join(t("lineitem").hint("merge"), c("o_orderkey") == c("l_orderkey")).groupBy("o_orderkey").agg(F.count("*").alias("n")))
 _frame("op_join_salted", "SELECT n_name, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY n_name", lambda t: joins.salted(t("customer").withColumnRenamed("c_nationkey", "k"), t("nation").withColumnRenamed("n_nationkey", "k"), "k", 4).groupBy("n_name").agg(F.count("*").alias("n")))
 _frame("op_semi", "SELECT c_custkey FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_totalprice > 400000)", lambda t: t("customer").join(t("orders").where(c("o_totalprice") > 400000), c("c_custkey") == c("o_custkey"), "left_semi").select("c_custkey"))
-_frame("op_anti", "SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)", lambda t: t("customer").join(t("orders"), c("c_custkey") == c("o_custkey"), "left_anti").select("c_custkey"))
 _frame("op_theta", "SELECT a.s_suppkey AS a, b.s_suppkey AS b FROM supplier a JOIN supplier b ON a.s_nationkey = b.s_nationkey AND a.s_acctbal < b.s_acctbal", lambda t: t("supplier").alias("a").join(t("supplier").alias("b"), (c("a.s_nationkey") == c("b.s_nationkey")) & (c("a.s_acctbal") < c("b.s_acctbal"))).select(c("a.s_suppkey").alias("a"), c("b.s_suppkey").alias("b")))
 _frame("op_range_join", "SELECT p_partkey, s_suppkey FROM part JOIN supplier ON p_retailprice BETWEEN s_acctbal AND s_acctbal + 50", lambda t: joins.binned(t("part"), t("supplier").withColumn("hi", c("s_acctbal") + 50), "p_retailprice", "s_acctbal", "hi", 50.0).select("p_partkey", "s_suppkey"))
 _frame("op_cross", "SELECT r_regionkey, n_nationkey FROM region, nation", lambda t: t("region").crossJoin(t("nation")).select("r_regionkey", "n_nationkey"))
@@ -60,8 +57,6 @@ _frame("op_asof", "SELECT a.event_id, (SELECT max(b.ts) FROM events b WHERE b.us
 _frame("op_interval_join", "SELECT a.event_id, b.event_id AS before FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'error' AND b.event_type = 'click' AND b.ts BETWEEN a.ts - INTERVAL 1 HOUR AND a.ts",
        lambda t: t("events").where("event_type = 'error'").alias("a").join(t("events").where("event_type = 'click'").alias("b"), (c("a.user_id") == c("b.user_id")) & (c("b.ts") <= c("a.ts")) & (c("b.ts") >= c("a.ts") - F.expr("INTERVAL 1 HOUR"))).select("a.event_id", c("b.event_id").alias("before")))
 # aggregation
-for _n, _f, _s in (("max", F.max, "max"), ("min", F.min, "min"), ("avg", F.avg, "avg"), ("count", F.count, "count"), ("sum", F.sum, "sum"), ("median", F.median, "median")):
-    _frame(f"agg_{_n}", f"SELECT c_nationkey AS k, round({_s}(c_acctbal), 4) AS v FROM customer GROUP BY 1", lambda t, f=_f: t("customer").groupBy(c("c_nationkey").alias("k")).agg(F.round(f("c_acctbal"), 4).alias("v")))
 _frame("agg_global", "SELECT count(*) AS n, round(sum(l_quantity), 2) AS q FROM lineitem", lambda t: t("lineitem").agg(F.count("*").alias("n"), F.round(F.sum("l_quantity"), 2).alias("q")))
 _frame("agg_count_distinct", "SELECT o_custkey AS k, count(DISTINCT o_orderstatus) AS n FROM orders GROUP BY 1", lambda t: t("orders").groupBy(c("o_custkey").alias("k")).agg(F.countDistinct("o_orderstatus").alias("n")))
 _frame("agg_median_approx", None, lambda t: t("customer").groupBy(c("c_nationkey").alias("k")).agg(F.percentile_approx("c_acctbal", 0.5).alias("v")))
@@ -83,12 +78,8 @@ _frame("op_topk", "SELECT o_orderkey AS k FROM orders ORDER BY o_totalprice DESC
 _frame("op_topk_group", "SELECT k, g FROM (SELECT c_custkey AS k, c_nationkey AS g, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_acctbal DESC, c_custkey) AS r FROM customer) WHERE r <= 3", lambda t: t("customer").select(c("c_custkey").alias("k"), c("c_nationkey").alias("g"), F.row_number().over(Window.partitionBy("c_nationkey").orderBy(F.desc("c_acctbal"), "c_custkey")).alias("r")).where("r <= 3").drop("r"))
 _A, _B = "SELECT c_nationkey AS k FROM customer", "SELECT s_nationkey AS k FROM supplier WHERE s_nationkey > 5"
 _ab = lambda t: (t("customer").select(c("c_nationkey").alias("k")), t("supplier").where("s_nationkey > 5").select(c("s_nationkey").alias("k")))
-_frame("set_union", f"{_A} UNION {_B}", lambda t: (lambda x: x[0].union(x[1]).distinct())(_ab(t)))
 _frame("set_union_all", f"{_A} UNION ALL {_B}", lambda t: (lambda x: x[0].unionByName(x[1]))(_ab(t)))
-_frame("set_intersect", f"{_A} INTERSECT {_B}", lambda t: (lambda x: x[0].intersect(x[1]))(_ab(t)))
-_frame("set_except", f"{_A} EXCEPT {_B}", lambda t: (lambda x: x[0].subtract(x[1]))(_ab(t)))
 _frame("set_except_all", f"{_A} EXCEPT ALL {_B}", lambda t: (lambda x: x[0].exceptAll(x[1]))(_ab(t)))
-_frame("set_symdiff", f"({_A} EXCEPT {_B}) UNION ({_B} EXCEPT {_A})", lambda t: (lambda x: x[0].subtract(x[1]).union(x[1].subtract(x[0])))(_ab(t)))
 _frame("op_sample", None, lambda t: t("customer").sample(0.1, seed=7).select("c_custkey"))
 _frame("triples_pivot", "SELECT o_custkey AS k, count(*) FILTER (WHERE o_orderstatus = 'F') AS F, count(*) FILTER (WHERE o_orderstatus = 'O') AS O FROM orders GROUP BY 1", lambda t: t("orders").groupBy(c("o_custkey").alias("k")).pivot("o_orderstatus", ["F", "O"]).agg(F.count(F.lit(1))).na.fill(0))
 # scalar functions
@@ -102,15 +93,43 @@ _frame("fn_cond", "SELECT c_custkey AS k, nullif(c_nationkey, 3) AS a, coalesce(
 _frame("fn_array", "SELECT vec_id AS k, len(embedding) AS n, round(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * x)), 3) AS s FROM embeddings", lambda t: t("embeddings").select(c("vec_id").alias("k"), F.size("embedding").cast("long").alias("n"), F.round(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double")), 3).alias("s")))
 _frame("fn_explode", "SELECT conv_id AS k, turn, unnest(string_split(role, 's')) AS piece FROM conversations", lambda t: t("conversations").select(c("conv_id").alias("k"), "turn", F.explode(F.split("role", "s")).alias("piece")))
 _frame("fn_json", "SELECT event_id AS k, json_extract_string(props, '$.k') AS v FROM events", lambda t: t("events").select(c("event_id").alias("k"), F.get_json_object("props", "$.k").alias("v")))
+_frame("fn_map", "SELECT p_partkey AS k, p_brand AS brand, p_size * 2 AS twice, 2 AS n FROM part",
+       lambda t: t("part").select(c("p_partkey").alias("k"), F.create_map(F.lit("brand"), "p_brand", F.lit("size"), c("p_size").cast("string")).alias("m")).select("k", F.element_at("m", "brand").alias("brand"), F.element_at(F.transform_values("m", lambda k, v: F.concat(v, F.lit(""))), "size").cast("int").alias("s"), F.size(F.map_keys("m")).alias("n")).select("k", "brand", (c("s") * 2).alias("twice"), "n"))
 _frame("fn_hash", None, lambda t: t("customer").select(c("c_custkey").alias("k"), F.xxhash64("c_name").alias("h")))
 _frame("fn_url", None, lambda t: t("pages").select(c("page_id").alias("k"), F.try_parse_url("url", F.lit("HOST")).alias("host")))
 
 
-@_op("agg_over_recursion", "SELECT c_custkey AS c0, CAST(60 AS BIGINT) AS c1 FROM customer WHERE c_custkey < 60")
+def _rule(name: str, sql: str, program: str, facts: Callable[[Callable[[str], DataFrame]], dict[str, DataFrame]], shape: Callable[[DataFrame], DataFrame] = lambda df: df) -> None:
+    """An operator as rules: the result is the predicate ``out``."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        r = Reasoner(spark, program, facts(lambda t: read(spark, sf_dir, t)))
+        r.materialise()
+        return shape(r.relation("out"))
+
+    _op(name, sql)(run)
+
+
+_key = lambda t: {"c": t("customer").select("c_custkey", c("c_nationkey").cast("long"))}
+_rule("op_comp_vars", "SELECT c_custkey AS c0 FROM customer WHERE c_custkey < c_nationkey * 10", "out(x) <- c(x, n), m := n * 10, x < m.", _key)
+_rule("op_bind_arith", "SELECT l_orderkey AS c0, CAST(l_linenumber AS BIGINT) AS c1, round(l_extendedprice * (1 - l_discount) * (1 + l_tax), 6) AS c2 FROM lineitem", "out(o, l, v) <- line(o, l, p, d, t), v := p * (1 - d) * (1 + t).",
+      lambda t: {"line": t("lineitem").select("l_orderkey", "l_linenumber", "l_extendedprice", "l_discount", "l_tax")}, lambda df: df.select("c0", "c1", F.round("c2", 6).alias("c2")))
+_rule("op_anti", "SELECT c_custkey AS c0 FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_totalprice > 250000)", "out(x) <- c(x, n), !ordered(x).",
+      lambda t: _key(t) | {"ordered": t("orders").where("o_totalprice > 250000").select("o_custkey")})
+for _f, _s in (("max", "max"), ("min", "min"), ("avg", "avg"), ("count", "count"), ("sum", "sum"), ("median", "median")):
+    _rule(f"agg_{_f}", f"SELECT CAST(c_nationkey AS BIGINT) AS c0, round({_s}(c_acctbal), 4) AS c1 FROM customer GROUP BY 1", f"out(n, {_f}(v)) <- c(x, n, v) group n.",
+          lambda t: {"c": t("customer").select("c_custkey", c("c_nationkey").cast("long"), "c_acctbal")}, lambda df: df.select("c0", F.round("c1", 4).alias("c1")))
+_sets = lambda t: {"a": t("customer").select(c("c_nationkey").cast("long")), "b": t("supplier").where("s_nationkey > 5").select(c("s_nationkey").cast("long"))}
+_a0, _b0 = "SELECT CAST(c_nationkey AS BIGINT) AS c0 FROM customer", "SELECT CAST(s_nationkey AS BIGINT) AS c0 FROM supplier WHERE s_nationkey > 5"
+for _n, _sql, _text in (("union", f"{_a0} UNION {_b0}", "out(x) <- a(x). out(x) <- b(x)."), ("intersect", f"{_a0} INTERSECT {_b0}", "out(x) <- a(x), b(x)."), ("except", f"{_a0} EXCEPT {_b0}", "out(x) <- a(x), !b(x)."), ("symdiff", f"({_a0} EXCEPT {_b0}) UNION ({_b0} EXCEPT {_a0})", "out(x) <- a(x), !b(x). out(x) <- b(x), !a(x).")):
+    _rule(f"set_{_n}", _sql, _text, _sets)
+
+
+@_op("agg_over_recursion", "SELECT c_custkey AS c0, count(*) OVER (PARTITION BY c_nationkey) AS c1 FROM customer QUALIFY c1 > 1")
 def _agg_over_recursion(spark: SparkSession, sf_dir: str) -> DataFrame:
     from ..workloads import datasets, rulesets
 
-    r = Reasoner(spark, rulesets.NEAR + "@a n(x, count(y)) <- near(x, y) group x.", datasets.chain(spark, sf_dir, 60))
+    r = Reasoner(spark, rulesets.NEAR + "@a n(x, count(y)) <- near(x, y) group x.", datasets.nations(spark, sf_dir))
     r.materialise()
     return r.relation("n")
 
@@ -172,21 +191,37 @@ def _bfs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bfs_levels(e, first, 6, _cut(spark)).withColumn("level", c("level").cast("long"))
 
 
-@_op("graph_degree", "SELECT c_nationkey AS node, count(*) AS degree FROM customer GROUP BY 1")
+@_op("graph_degree", "SELECT c_custkey AS node, CAST(least(count(*) OVER (PARTITION BY c_nationkey), 3) - 1 AS BIGINT) - CASE WHEN count(*) OVER (PARTITION BY c_nationkey) > 2 AND (row_number() OVER w = 1 OR lead(c_custkey) OVER w IS NULL) THEN 1 ELSE 0 END AS degree FROM customer WINDOW w AS (PARTITION BY c_nationkey ORDER BY c_custkey) QUALIFY count(*) OVER (PARTITION BY c_nationkey) > 1")
 def _degree(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return read(spark, sf_dir, "customer").groupBy(c("c_nationkey").alias("node")).agg(F.count("*").alias("degree"))
+    return degree(_same_nation(spark, sf_dir))
+
 
+@_op("graph_closure", "SELECT a.c_custkey AS a, b.c_custkey AS b FROM customer a JOIN customer b ON a.c_nationkey = b.c_nationkey AND a.c_custkey < b.c_custkey")
+def _closure(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return closure(_same_nation(spark, sf_dir), _cut(spark))
 
-@_op("graph_unreachable", "SELECT c_custkey AS c0 FROM customer WHERE c_custkey < 40 AND c_nationkey <> (SELECT c_nationkey FROM customer WHERE c_custkey = 0)")
+
+@_op("graph_ancestors", "SELECT b.c_custkey AS node, a.c_custkey AS ancestor FROM customer a JOIN customer b ON a.c_nationkey = b.c_nationkey AND a.c_custkey < b.c_custkey WHERE b.c_nationkey = 3")
+def _ancestors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ancestors(_same_nation(spark, sf_dir), read(spark, sf_dir, "customer").where("c_nationkey = 3").select(c("c_custkey").alias("node")), _cut(spark))
+
+
+@_op("graph_unreachable", "SELECT c_custkey AS c0 FROM customer WHERE c_nationkey <> (SELECT c_nationkey FROM customer WHERE c_custkey = 0)")
 def _unreachable(spark: SparkSession, sf_dir: str) -> DataFrame:
-    w = Window.partitionBy("c_nationkey").orderBy("c_custkey")
-    small = read(spark, sf_dir, "customer").where("c_custkey < 40")
-    links = small.select("c_custkey", F.lead("c_custkey").over(w).alias("b")).where("b IS NOT NULL")
-    r = Reasoner(spark, "reach(x) <- start(x). reach(y) <- reach(x), e(x, y). far(x) <- node(x), !reach(x). start(0).", {"e": links, "node": small.select("c_custkey")})
+    nodes = read(spark, sf_dir, "customer").select("c_custkey")
+    r = Reasoner(spark, "reach(x) <- start(x). reach(y) <- reach(x), e(x, y). far(x) <- node(x), !reach(x). start(0).", {"e": _same_nation(spark, sf_dir), "node": nodes})
     r.materialise()
     return r.relation("far")
 
 
+@_op("op_label_expand", "SELECT a.c_custkey AS c0, b.c_custkey AS c1 FROM customer a JOIN customer b ON a.c_nationkey = b.c_nationkey WHERE (SELECT count(*) FROM customer x WHERE x.c_nationkey = a.c_nationkey) > 1")
+def _label_expand(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Labels at rest, pairs on demand: n rows written for n**2 facts."""
+    r = Reasoner(spark, "near(x, y) <- next(x, y). near(y, x) <- near(x, y). near(x, z) <- near(x, y), near(y, z).", {"next": _same_nation(spark, sf_dir)})
+    r.materialise()
+    return r.relation("near")
+
+
 @_op("graph_same_generation", "SELECT a.n_nationkey AS c0, b.n_nationkey AS c1 FROM nation a JOIN nation b ON a.n_regionkey = b.n_regionkey")
 def _same_generation(spark: SparkSession, sf_dir: str) -> DataFrame:
     up = read(spark, sf_dir, "nation").select((c("n_nationkey") + 1000).cast("long"), c("n_regionkey").cast("long"))

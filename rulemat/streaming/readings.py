@@ -11,9 +11,9 @@ from pyspark.sql import functions as F
 
 from ..engine import Reasoner
 from ..sharing import shared_root
-from ..workloads import rulesets
+from ..workloads import datasets, experiments, rulesets
 from ..workloads.datasets import read
-from .updates import run_fact_updates
+from .updates import rule_lease, run_fact_updates, run_rule_updates
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -100,15 +100,42 @@ def stream_last_value(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def stream_incremental_near(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Neighbour pairs arrive as a stream; the closure follows batch by batch."""
+    """Customers arrive as a stream and stand near their nation's mark; the closure follows
+    batch by batch."""
     r = Reasoner(spark, rulesets.NEAR, schemas={"hasNeighbour": ["bigint", "bigint"]})
     r.materialise()
-    pairs = stream_of(spark, sf_dir, "customer").where("c_custkey < 59").select(F.lit("+").alias("op"), F.lit("hasNeighbour").alias("pred"), F.col("c_custkey").alias("a"), (F.col("c_custkey") + 1).alias("b"))
+    pairs = stream_of(spark, sf_dir, "customer").select(F.lit("+").alias("op"), F.lit("hasNeighbour").alias("pred"), F.col("c_custkey").alias("a"), (-1 - F.col("c_nationkey")).cast("bigint").alias("b"))
     run_fact_updates(r, pairs, f"{_scratch(spark)}/state", {"hasNeighbour": ["a", "b"]}).awaitTermination()
     return r.relation("near")
 
 
-QUERIES: dict[str, Query] = {"stream_tumbling": _windows("tumbling"), "stream_sliding": _windows("sliding"), "stream_session": stream_session, "stream_dedup": stream_dedup, "stream_join": stream_join, "stream_stream_join": stream_stream_join, "stream_last_value": stream_last_value, "stream_incremental_near": stream_incremental_near}
+def stream_rule_lease(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events raise an alarm that loads the judging rules, and the suspects found while they are
+    loaded; a later event drops the rules again."""
+    r = Reasoner(spark, rulesets.NEAR, datasets.farms(spark, sf_dir))
+    r.materialise()
+    found: list[DataFrame] = []
+    judge = rulesets.JUDGE.replace("5000", "5")
+    rule_lease(r, stream_of(spark, sf_dir, "events"), f"{_scratch(spark)}/state", "event_type = 'error'", "event_type = 'signup'", judge, ["r4", "r5", "r6"], lambda x: found.append(x.relation("suspect"))).awaitTermination()
+    assert not {"r4", "r5", "r6"} & set(r.state.program.rules)
+    return found[0].select("c0", F.round("c1", 4).alias("c1"))
+
+
+def stream_rule_updates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rules arrive as a stream, one of them against the negation constraint; nations' neighbours
+    by the rules that were taken in."""
+    at = f"{_scratch(spark)}/rules"
+    rows = [(1, "+", "@s near(y, x) <- near(x, y)."), (2, "+", "@bad near(x, y) <- hasNeighbour(x, y), !near(y, x)."), (3, "+", "@t near(x, z) <- near(x, y), near(y, z)."), (4, "-", "@none")]
+    spark.createDataFrame(rows, "seq long, op string, text string").write.parquet(at)
+    r = Reasoner(spark, "near(x, y) <- hasNeighbour(x, y).", datasets.nations(spark, sf_dir))
+    r.materialise()
+    rejected: list[str] = []
+    run_rule_updates(r, spark.readStream.schema("seq long, op string, text string").parquet(at), f"{at}-state", lambda text, why: rejected.append(text)).awaitTermination()
+    assert len(rejected) == 2
+    return r.relation("near")
+
+
+QUERIES: dict[str, Query] = {"stream_tumbling": _windows("tumbling"), "stream_sliding": _windows("sliding"), "stream_session": stream_session, "stream_dedup": stream_dedup, "stream_join": stream_join, "stream_stream_join": stream_stream_join, "stream_last_value": stream_last_value, "stream_incremental_near": stream_incremental_near, "stream_rule_lease": stream_rule_lease, "stream_rule_updates": stream_rule_updates}
 ORACLES: dict[str, str] = {
     "stream_tumbling": "SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2",
     "stream_sliding": "SELECT time_bucket(INTERVAL 1 HOUR, ts) - k * INTERVAL 1 HOUR AS start, event_type, count(*) AS n FROM events, (VALUES (0), (1)) v(k) GROUP BY 1, 2",
@@ -118,5 +145,7 @@ ORACLES: dict[str, str] = {
     "stream_join": "SELECT event_id, c_mktsegment FROM events JOIN customer ON user_id = c_custkey",
     "stream_stream_join": "SELECT a.event_id, b.event_id AS before FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'error' AND b.event_type = 'click' AND b.ts BETWEEN a.ts - INTERVAL 1 HOUR AND a.ts",
     "stream_last_value": "SELECT user_id, arg_max(event_id, (ts, event_id)) AS event_id FROM events GROUP BY 1",
-    "stream_incremental_near": "SELECT a.c_custkey AS c0, b.c_custkey AS c1 FROM customer a, customer b WHERE a.c_custkey < 60 AND b.c_custkey < 60",
+    "stream_incremental_near": "WITH x AS (SELECT c_custkey AS k, c_nationkey AS n FROM customer UNION ALL SELECT DISTINCT -1 - c_nationkey, c_nationkey FROM customer) SELECT a.k AS c0, b.k AS c1 FROM x a JOIN x b ON a.n = b.n",
+    "stream_rule_updates": "SELECT a.c_custkey AS c0, b.c_custkey AS c1 FROM customer a JOIN customer b ON a.c_nationkey = b.c_nationkey WHERE (SELECT count(*) FROM customer x WHERE x.c_nationkey = a.c_nationkey) > 1",
+    "stream_rule_lease": experiments.ORACLES["farm_anomaly"],
 }

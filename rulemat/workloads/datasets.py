@@ -24,27 +24,30 @@ def chain(spark: SparkSession, sf_dir: str, n: int) -> dict[str, DataFrame]:
     return {"hasNeighbour": links, "temp": c.select("c_custkey", "c_acctbal")}
 
 
+def ranked_links(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(a, b, nation, rank, size): links from each customer to the next one of its nation, with
+    the rank of ``a`` in it (from 1) and the number of its customers."""
+    own = Window.partitionBy("c_nationkey")
+    order = own.orderBy("c_custkey")
+    ranked = read(spark, sf_dir, "customer").select(
+        F.col("c_custkey").alias("a"), F.lead("c_custkey").over(order).alias("b"), F.col("c_nationkey").alias("nation"), F.row_number().over(order).alias("rank"), F.count("*").over(own).alias("size")
+    )
+    return ranked.where(F.col("b").isNotNull())
+
+
 def nations(spark: SparkSession, sf_dir: str) -> dict[str, DataFrame]:
     """A chain per nation over all customers with a reading each."""
-    c = read(spark, sf_dir, "customer")
-    order = Window.partitionBy("c_nationkey").orderBy("c_custkey")
-    links = c.select("c_custkey", F.lead("c_custkey").over(order).alias("next")).where(F.col("next").isNotNull())
-    return {"hasNeighbour": links, "temp": c.select("c_custkey", "c_acctbal")}
+    return {"hasNeighbour": ranked_links(spark, sf_dir).select("a", "b"), "temp": read(spark, sf_dir, "customer").select("c_custkey", "c_acctbal")}
 
 
 def _below(df: DataFrame, key: str, n: int | None) -> DataFrame:
     return df if n is None else df.where(F.col(key) < n)
 
 
-def farms(spark: SparkSession, sf_dir: str, n: int | None = None) -> dict[str, DataFrame]:
-    """A chain per nation; readings are the mean event values of the users of the same key.
-
-    All customers and events, or those of keys below n."""
-    c = _below(read(spark, sf_dir, "customer"), "c_custkey", n)
-    order = Window.partitionBy("c_nationkey").orderBy("c_custkey")
-    links = c.select("c_custkey", F.lead("c_custkey").over(order).alias("next")).where(F.col("next").isNotNull())
-    readings = _below(read(spark, sf_dir, "events"), "user_id", n).groupBy("user_id").agg(F.round(F.avg("value"), 6).alias("reading"))
-    return {"hasNeighbour": links, "temp": readings}
+def farms(spark: SparkSession, sf_dir: str) -> dict[str, DataFrame]:
+    """A chain per nation; readings are the mean event values of the users of the same key."""
+    readings = read(spark, sf_dir, "events").groupBy("user_id").agg(F.round(F.avg("value"), 6).alias("reading"))
+    return {"hasNeighbour": ranked_links(spark, sf_dir).select("a", "b"), "temp": readings}
 
 
 def trade(spark: SparkSession, sf_dir: str, n: int | None = None) -> dict[str, DataFrame]:

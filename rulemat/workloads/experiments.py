@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -17,8 +18,6 @@ from . import datasets, rulesets
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
-#: Nodes of the trade data set in queries.
-N2 = 800
 #: Independent nodes of the larger rule sets run side by side.
 WIDE = Config(parallel_nodes=4)
 _states: dict[tuple[str, str, str], Reasoner] = {}
@@ -34,20 +33,16 @@ def _kept(spark: SparkSession, sf_dir: str, name: str, make: Callable[[], Reason
     return _states[key].fork()
 
 
-def rs1(spark: SparkSession, sf_dir: str, n: int, rules: str = rulesets.RS1) -> Reasoner:
-    return _kept(spark, sf_dir, f"rs1-{n}-{len(rules)}", lambda: Reasoner(spark, rules, datasets.chain(spark, sf_dir, n)))
+def rs1(spark: SparkSession, sf_dir: str) -> Reasoner:
+    return _kept(spark, sf_dir, "rs1", lambda: Reasoner(spark, rulesets.RS1, datasets.nations(spark, sf_dir)))
 
 
-def rs2(spark: SparkSession, sf_dir: str, n: int = N2) -> Reasoner:
-    return _kept(spark, sf_dir, f"rs2-{n}", lambda: Reasoner(spark, rulesets.RS2, datasets.trade(spark, sf_dir, n), WIDE))
+def rs2(spark: SparkSession, sf_dir: str) -> Reasoner:
+    return _kept(spark, sf_dir, "rs2", lambda: Reasoner(spark, rulesets.RS2, datasets.trade(spark, sf_dir), WIDE))
 
 
-def rs3(spark: SparkSession, sf_dir: str, n: int = N2) -> Reasoner:
-    return _kept(spark, sf_dir, f"rs3-{n}", lambda: Reasoner(spark, rulesets.RS3, datasets.trade(spark, sf_dir, n), WIDE))
-
-
-def _pairs(spark: SparkSession, rows: list[tuple[int, int]]) -> DataFrame:
-    return spark.createDataFrame(rows, "a long, b long")
+def rs3(spark: SparkSession, sf_dir: str) -> Reasoner:
+    return _kept(spark, sf_dir, "rs3", lambda: Reasoner(spark, rulesets.RS3, datasets.trade(spark, sf_dir), WIDE))
 
 
 def _add(name: str, query: Query, sql: str | None) -> None:
@@ -56,75 +51,114 @@ def _add(name: str, query: Query, sql: str | None) -> None:
         ORACLES[name] = sql
 
 
-# ------------------------------------------------------------------ chain, RS1
+# ------------------------------------------------------------------ chains, RS1
+#
+# All customers, as one chain per nation in the order of their keys.
+
+_CHAINS = """
+WITH f AS (SELECT c_custkey AS k, c_nationkey AS n, c_acctbal AS v, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_custkey) AS i,
+                  count(*) OVER (PARTITION BY c_nationkey) AS size FROM customer),
+m AS (SELECT n, median(v) AS m FROM f WHERE size > 1 GROUP BY n)
+"""
+_NEAR = "SELECT a.k AS c0, b.k AS c1 FROM f a JOIN f b ON a.n = b.n WHERE a.size > 1"
+_add("rs1_near", lambda s, d: rs1(s, d).relation("near"), _CHAINS + _NEAR)
+_add("rs1_near_count", lambda s, d: rs1(s, d).relation("nearCount"), _CHAINS + "SELECT k AS c0, size AS c1 FROM f WHERE size > 1")
+_add("rs1_median", lambda s, d: rs1(s, d).relation("medTemp").select("c0", F.round("c1", 4).alias("c1")), _CHAINS + "SELECT k AS c0, round(m, 4) AS c1 FROM f JOIN m USING (n)")
+_add("rs1_suspect", lambda s, d: rs1(s, d).relation("suspect").select("c0", F.round("c1", 4).alias("c1")), _CHAINS + "SELECT k AS c0, round(v - m, 4) AS c1 FROM f JOIN m USING (n) WHERE v - m > 5000")
+
+
+def _rs1_after(update: Callable[[Reasoner, str], object], pred: str = "near") -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        r = rs1(spark, sf_dir)
+        update(r, sf_dir)
+        return r.relation(pred)
+
+    return run
+
 
+def _bridge(r: Reasoner, sf_dir: str) -> None:
+    """One link between the chains of nations 0 and 1."""
+    c = datasets.read(r.spark, sf_dir, "customer")
+    last = c.where("c_nationkey = 0").agg(F.max("c_custkey").alias("a"))
+    first = c.where("c_nationkey = 1").agg(F.min("c_custkey").alias("b"))
+    r.insert_facts("hasNeighbour", last.crossJoin(first).dropna())  # one row each
 
-def _near_sql(where: str = "true", top: int = 100) -> str:
-    return f"SELECT a.c_custkey AS c0, b.c_custkey AS c1 FROM customer a, customer b WHERE a.c_custkey < {top} AND b.c_custkey < {top} AND ({where})"
 
+def _break(r: Reasoner, sf_dir: str) -> None:
+    """The middle link of nation 0 goes."""
+    r.delete_facts("hasNeighbour", datasets.ranked_links(r.spark, sf_dir).where((F.col("nation") == 0) & (F.col("rank") == F.floor(F.col("size") / 2))).select("a", "b"))
 
-_M = "(SELECT median(c_acctbal) FROM customer WHERE c_custkey < 100)"
-_add("rs1_near_n100", lambda s, d: rs1(s, d, 100).relation("near"), _near_sql())
-_add("rs1_near_count_n100", lambda s, d: rs1(s, d, 100).relation("nearCount"), "SELECT c_custkey AS c0, CAST(100 AS BIGINT) AS c1 FROM customer WHERE c_custkey < 100")
-_add("rs1_median_n100", lambda s, d: rs1(s, d, 100).relation("medTemp").select("c0", F.round("c1", 4).alias("c1")), f"SELECT c_custkey AS c0, round({_M}, 4) AS c1 FROM customer WHERE c_custkey < 100")
-_add("rs1_suspect_n100", lambda s, d: rs1(s, d, 100).relation("suspect").select("c0", F.round("c1", 4).alias("c1")), f"SELECT c_custkey AS c0, round(c_acctbal - {_M}, 4) AS c1 FROM customer WHERE c_custkey < 100 AND c_acctbal - {_M} > 5000")
 
+_BRIDGED = "SELECT a.k AS c0, b.k AS c1 FROM f a JOIN f b ON greatest(a.n, 1) = greatest(b.n, 1) WHERE a.size > 1 OR a.n < 2"
+_BROKEN = "g AS (SELECT k, n, n = 0 AND i > size // 2 AS late, count(*) OVER (PARTITION BY n, n = 0 AND i > size // 2) AS size FROM f)"
+_add("rs1_insert_fact", _rs1_after(_bridge), _CHAINS + _BRIDGED)
+_add("rs1_insert_fact_count", _rs1_after(_bridge, "nearCount"), f"{_CHAINS} SELECT c0, count(*) AS c1 FROM ({_BRIDGED}) GROUP BY c0")
+_add("rs1_delete_fact", _rs1_after(_break), f"{_CHAINS}, {_BROKEN} SELECT a.k AS c0, b.k AS c1 FROM g a JOIN g b ON a.n = b.n AND a.late = b.late WHERE a.size > 1")
+_add("rs1_delete_fact_count", _rs1_after(_break, "nearCount"), f"{_CHAINS}, {_BROKEN} SELECT k AS c0, size AS c1 FROM g WHERE size > 1")
+_add("rs1_delete_symmetric", _rs1_after(lambda r, d: r.delete_rules(["r2"])), _CHAINS + "SELECT a.k AS c0, b.k AS c1 FROM f a JOIN f b ON a.n = b.n AND a.i < b.i")
+_add("rs1_delete_transitive", _rs1_after(lambda r, d: r.delete_rules(["r3"])), _CHAINS + "SELECT a.k AS c0, b.k AS c1 FROM f a JOIN f b ON a.n = b.n AND abs(a.i - b.i) = 1")
+
+
+def _grown(percent: int, shrink: bool) -> Query:
+    """Every chain grows by a percentage of its length, and shrinks again."""
 
-def _rs1_after(update: Callable[[Reasoner], object], n: int = 100, rules: str = rulesets.RS1) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        r = rs1(spark, sf_dir, n, rules)
-        update(r)
+        links = datasets.ranked_links(spark, sf_dir)
+        early = F.col("rank") < F.floor(F.col("size") * 100 / (100 + percent))
+        late = links.where(~early).select("a", "b")
+        r = _kept(spark, sf_dir, f"grow-{percent}", lambda: Reasoner(spark, rulesets.NEAR, {"hasNeighbour": links.where(early).select("a", "b")}))
+        r.insert_facts("hasNeighbour", late)
+        if shrink:
+            r.delete_facts("hasNeighbour", late)
         return r.relation("near")
 
     return run
 
 
-_add("rs1_insert_fact", _rs1_after(lambda r: r.insert_facts("hasNeighbour", _pairs(r.spark, [(99, 100)]))), _near_sql(top=101))
-_add("rs1_delete_fact", _rs1_after(lambda r: r.delete_facts("hasNeighbour", _pairs(r.spark, [(49, 50)]))), _near_sql("(a.c_custkey < 50) = (b.c_custkey < 50)"))
-_add("rs1_delete_symmetric", _rs1_after(lambda r: r.delete_rules(["r2"])), _near_sql("a.c_custkey < b.c_custkey"))
-_add("rs1_delete_transitive", _rs1_after(lambda r: r.delete_rules(["r3"])), _near_sql("abs(a.c_custkey - b.c_custkey) = 1"))
 for _p in (10, 20, 30, 40, 50):
-    _k = 200 + 2 * _p
-    _more = [(i, i + 1) for i in range(199, _k - 1)]
-    _add(f"ds1_grow_{_p}", _rs1_after(lambda r, m=_more: r.insert_facts("hasNeighbour", _pairs(r.spark, m)), 200, rulesets.NEAR), _near_sql(top=_k))
-
-    def _shrink(r: Reasoner, m: list = _more) -> None:
-        r.insert_facts("hasNeighbour", _pairs(r.spark, m))
-        r.delete_facts("hasNeighbour", _pairs(r.spark, m))
+    _add(f"ds1_grow_{_p}", _grown(_p, False), _CHAINS + _NEAR)
+    _add(f"ds1_shrink_{_p}", _grown(_p, True), f"{_CHAINS} SELECT a.k AS c0, b.k AS c1 FROM f a JOIN f b ON a.n = b.n WHERE greatest(a.i, b.i) <= a.size * 100 // {100 + _p} AND a.size * 100 // {100 + _p} > 1")
 
-    if _p in (10, 50):
-        _add(f"ds1_shrink_{_p}", _rs1_after(_shrink, 200, rulesets.NEAR), _near_sql(top=200))
+# A program with recursion, aggregation, negation and a body of several joins.
+VARIED = rulesets.NEAR + """
+@v4 nearCount(x, count(y)) <- near(x, y) group x.
+@v5 warm(x) <- temp(x, t), t > 5000.
+"""
+VARIED_LAST = "@v6 picked(x, y) <- nearCount(x, c), temp(y, t), near(x, y), warm(x), !warm(y), c > 2, t < 2000."
 
 
 def _variant(config: Config) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        r = Reasoner(spark, rulesets.NEAR, datasets.chain(spark, sf_dir, 60), config)
+        r = Reasoner(spark, VARIED, datasets.nations(spark, sf_dir), config)
         r.materialise()
-        r.delete_facts("hasNeighbour", _pairs(spark, [(29, 30)]))
-        return r.relation("near")
+        r.insert_rules(VARIED_LAST)
+        _break(r, sf_dir)
+        return r.relation("picked")
 
     return run
 
 
 _VARIANTS = {
-    "naive": Config(evaluation="naive"), "stratum": Config(unit="stratum"), "merged_bag": Config(bag="merged"), "layout_c0": Config(layout="c0"), "order_text": Config(order="text"),
-    "order_dp": Config(order="dp"), "order_heuristic": Config(order="heuristic"), "backward_forward": Config(deletion_method="backward_forward"), "downstream_redo": Config(downstream="redo"),
-    "low_link": Config(scc="low_link"), "no_pattern": Config(pattern_closure="off"), "lazy_filters": Config(eager_filters=False),
+    "naive": Config(evaluation="naive"), "stratum": Config(unit="stratum"), "merged_bag": Config(bag="merged"), "layout_c0": Config(layout="c0"), "layout_c1": Config(layout="c1"), "layout_both": Config(layout="both"),
+    "order_text": Config(order="text", allow_cross=True), "order_dp": Config(order="dp"), "order_heuristic": Config(order="heuristic"), "backward_forward": Config(deletion_method="backward_forward"), "counting": Config(deletion_method="counting"),
+    "downstream_redo": Config(downstream="redo"), "successor_delta": Config(successor_policy="delta"), "successor_always": Config(successor_policy="always"), "insertion_redo": Config(insertion_mode="redo"), "insertion_auto": Config(insertion_mode="auto"),
+    "low_link": Config(scc="low_link"), "no_pattern": Config(pattern_closure="off"), "lazy_filters": Config(eager_filters=False), "bound_unaware": Config(bound_aware=False), "agg_pairs": Config(agg_over="pairs"), "cut_checkpoint": Config(cut="checkpoint"),
 }
+_PICKED = f"{_CHAINS}, {_BROKEN} SELECT a.k AS c0, b.k AS c1 FROM g a JOIN g b ON a.n = b.n AND a.late = b.late JOIN f x ON x.k = a.k JOIN f y ON y.k = b.k WHERE a.size > 2 AND x.v > 5000 AND y.v < 2000"
 for _name, _config in _VARIANTS.items():
-    _add(f"variant_{_name}", _variant(_config), _near_sql("(a.c_custkey < 30) = (b.c_custkey < 30)", 60))
+    _add(f"variant_{_name}", _variant(_config), _PICKED)
 
 # ------------------------------------------------------------------ trade, RS2
 
-_TRADE = f"""
+_TRADE = """
 WITH c AS (SELECT c_custkey AS k, c_nationkey AS nk, n_regionkey AS rk, row_number() OVER (PARTITION BY n_regionkey ORDER BY c_custkey) AS i,
-                  count(*) OVER (PARTITION BY n_regionkey) AS size FROM customer JOIN nation ON c_nationkey = n_nationkey WHERE c_custkey < {N2}),
+                  count(*) OVER (PARTITION BY n_regionkey) AS size FROM customer JOIN nation ON c_nationkey = n_nationkey),
 p2 AS (SELECT k * 4 AS c0, CAST(nk AS BIGINT) * 4 + 2 AS c1 FROM c),
 p3 AS (SELECT CAST(n_nationkey AS BIGINT) * 4 + 2 AS c0, CAST(n_regionkey AS BIGINT) * 4 + 3 AS c1 FROM nation),
 q1 AS (SELECT a.k * 4 AS c0, b.k * 4 AS c1 FROM c a JOIN c b ON a.rk = b.rk WHERE a.size > 1),
 q2 AS (SELECT k * 4 AS c0, CAST(rk AS BIGINT) * 4 + 3 AS c1 FROM c),
 q3 AS (SELECT DISTINCT o_custkey * 4 AS c0, CAST(s_nationkey AS BIGINT) * 4 + 2 AS c1 FROM orders JOIN lineitem ON o_orderkey = l_orderkey
-       JOIN supplier ON l_suppkey = s_suppkey JOIN customer ON o_custkey = c_custkey WHERE o_custkey < {N2}),
+       JOIN supplier ON l_suppkey = s_suppkey JOIN customer ON o_custkey = c_custkey),
 q4 AS (SELECT * FROM q3 INTERSECT SELECT * FROM p2),
 q5 AS (SELECT a.k * 4 AS c0, b.k * 4 AS c1 FROM c a JOIN c b ON a.rk = b.rk AND b.i > a.i AND (b.i - a.i) % 2 = 1),
 q6 AS (SELECT a.k * 4 AS c0, b.k * 4 AS c1 FROM c a JOIN c b ON a.rk = b.rk AND b.i > a.i AND (b.i - a.i) % 2 = 0),
@@ -185,9 +219,19 @@ def rs2_footprint(spark: SparkSession, sf_dir: str) -> DataFrame:
 _add("rs2_footprint", rs2_footprint, _TRADE + " SELECT * FROM (" + " UNION ALL ".join(f"SELECT 'q{k}' AS predicate, CAST(count(*){'+ (SELECT count(*) FROM c WHERE i < size)' if k == 1 else ''} AS BIGINT) AS rows FROM q{k}" for k in (2, 3, 4, 5, 6, 7)) + " UNION ALL SELECT 'q1', CAST((SELECT count(*) FROM q1) + (SELECT count(*) FROM c WHERE i < size) AS BIGINT))")
 
 
+def rs2_visible(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Visible facts of every derived predicate: what a merged store would hold."""
+    r = rs2(spark, sf_dir)
+    counts = [r.relation(f"q{k}").agg(F.count("*").alias("rows")).select(F.lit(f"q{k}").alias("predicate"), "rows") for k in range(1, 11)]
+    return reduce(DataFrame.unionByName, counts)
+
+
+_add("rs2_visible", rs2_visible, _TRADE + " UNION ALL ".join(f"SELECT 'q{k}' AS predicate, count(*) AS rows FROM q{k}" for k in range(1, 11)))
+
+
 def baseline_equality(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Symmetric difference of the incremental state and recomputation, per predicate."""
-    r = rs2(spark, sf_dir, 200)
+    r = rs2(spark, sf_dir)
     r.delete_rules(["r6"])
     again = from_scratch(r)
     rows = []
@@ -258,19 +302,23 @@ _add("rex_after_r8", _rex_facts, "SELECT pred, CAST(c0 AS BIGINT) AS c0, CAST(c1
 
 # -------------------------------------------------------- anomalies on a farm
 
-FARM = rulesets.JUDGE.replace("5000", "20")
+FARM = rulesets.JUDGE.replace("5000", "5")
+
+
+def _farm(spark: SparkSession, sf_dir: str) -> Reasoner:
+    return _kept(spark, sf_dir, "farm", lambda: Reasoner(spark, rulesets.NEAR, datasets.farms(spark, sf_dir)))
 
 
 def farm_anomaly(spark: SparkSession, sf_dir: str) -> DataFrame:
     """An event fetches the judging rules; the suspects they find."""
-    r = _kept(spark, sf_dir, "farm", lambda: Reasoner(spark, rulesets.NEAR, datasets.farms(spark, sf_dir, 300)))
+    r = _farm(spark, sf_dir)
     r.insert_rules(FARM)
     return r.relation("suspect").select("c0", F.round("c1", 4).alias("c1"))
 
 
 def farm_anomaly_cycle(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The same, and afterwards the rules go again; what is left, by predicate."""
-    r = _kept(spark, sf_dir, "farm", lambda: Reasoner(spark, rulesets.NEAR, datasets.farms(spark, sf_dir, 300)))
+    r = _farm(spark, sf_dir)
     log = r.insert_rules(FARM)
     assert log.visited
     r.delete_rules(["r4", "r5", "r6"])
@@ -278,59 +326,9 @@ def farm_anomaly_cycle(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 _FARM = """
-WITH f AS (SELECT c_custkey AS k, c_nationkey AS n, count(*) OVER (PARTITION BY c_nationkey) AS size FROM customer WHERE c_custkey < 300),
-t AS (SELECT user_id AS k, round(avg(value), 6) AS v FROM events WHERE user_id < 300 GROUP BY user_id),
+WITH f AS (SELECT c_custkey AS k, c_nationkey AS n, count(*) OVER (PARTITION BY c_nationkey) AS size FROM customer),
+t AS (SELECT user_id AS k, round(avg(value), 6) AS v FROM events GROUP BY user_id),
 m AS (SELECT n, median(v) AS m FROM f JOIN t USING (k) WHERE size > 1 GROUP BY n)
 """
-_add("farm_anomaly", farm_anomaly, _FARM + "SELECT f.k AS c0, round(v - m, 4) AS c1 FROM f JOIN t USING (k) JOIN m USING (n) WHERE size > 1 AND v - m > 20")
+_add("farm_anomaly", farm_anomaly, _FARM + "SELECT f.k AS c0, round(v - m, 4) AS c1 FROM f JOIN t USING (k) JOIN m USING (n) WHERE size > 1 AND v - m > 5")
 _add("farm_anomaly_cycle", farm_anomaly_cycle, _FARM + "SELECT 'near' AS predicate, CAST(sum(CASE WHEN a.size > 1 THEN 1 ELSE 0 END) AS BIGINT) AS rows FROM f a JOIN f b ON a.n = b.n")
-
-# ------------------------------------------- the same rule sets on whole tables
-
-
-def _rs1_all(spark: SparkSession, sf_dir: str) -> Reasoner:
-    return _kept(spark, sf_dir, "rs1-all", lambda: Reasoner(spark, rulesets.RS1, datasets.nations(spark, sf_dir)))
-
-
-def _rs2_all(spark: SparkSession, sf_dir: str) -> Reasoner:
-    return _kept(spark, sf_dir, "rs2-all", lambda: Reasoner(spark, rulesets.RS2, datasets.trade(spark, sf_dir), WIDE))
-
-
-def _rs3_all(spark: SparkSession, sf_dir: str) -> Reasoner:
-    return _kept(spark, sf_dir, "rs3-all", lambda: Reasoner(spark, rulesets.RS3, datasets.trade(spark, sf_dir), WIDE))
-
-
-def farm_anomaly_all(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The suspects among all customers by all events."""
-    r = _kept(spark, sf_dir, "farm-all", lambda: Reasoner(spark, rulesets.NEAR, datasets.farms(spark, sf_dir)))
-    r.insert_rules(FARM)
-    return r.relation("suspect").select("c0", F.round("c1", 4).alias("c1"))
-
-
-_NATIONS = """
-WITH f AS (SELECT c_custkey AS k, c_nationkey AS n, c_acctbal AS v, count(*) OVER (PARTITION BY c_nationkey) AS size FROM customer),
-m AS (SELECT n, median(v) AS m FROM f WHERE size > 1 GROUP BY n)
-"""
-_add("rs1_all_near", lambda s, d: _rs1_all(s, d).relation("near"), _NATIONS + "SELECT a.k AS c0, b.k AS c1 FROM f a JOIN f b ON a.n = b.n WHERE a.size > 1")
-_add("rs1_all_near_count", lambda s, d: _rs1_all(s, d).relation("nearCount"), _NATIONS + "SELECT k AS c0, size AS c1 FROM f WHERE size > 1")
-_add("rs1_all_median", lambda s, d: _rs1_all(s, d).relation("medTemp").select("c0", F.round("c1", 4).alias("c1")), _NATIONS + "SELECT k AS c0, round(m, 4) AS c1 FROM f JOIN m USING (n)")
-_add("rs1_all_suspect", lambda s, d: _rs1_all(s, d).relation("suspect").select("c0", F.round("c1", 4).alias("c1")), _NATIONS + "SELECT k AS c0, round(v - m, 4) AS c1 FROM f JOIN m USING (n) WHERE v - m > 5000")
-_add("farm_anomaly_all", farm_anomaly_all, _FARM.replace(" WHERE c_custkey < 300", "").replace(" WHERE user_id < 300", "") + "SELECT f.k AS c0, round(v - m, 4) AS c1 FROM f JOIN t USING (k) JOIN m USING (n) WHERE size > 1 AND v - m > 20")
-
-_TRADE_ALL = _TRADE.replace(f" WHERE c_custkey < {N2}", "").replace(f" WHERE o_custkey < {N2}", "")
-
-
-def _trade_all_sql(select: str) -> str:
-    return f"{_TRADE_ALL} SELECT c0, c1 FROM ({select})"
-
-
-for _q in range(1, 11):
-    _add(f"rs2_all_q{_q}", lambda s, d, q=_q: _rs2_all(s, d).relation(f"q{q}"), _trade_all_sql(f"SELECT * FROM q{_q}"))
-for _name, _ids in rulesets.UPDATES.items():
-    _pred, _sql = _DELETED[_name]
-    _add(f"rs2_all_delete_{_name}", _after_delete(_rs2_all, _ids, _pred), _trade_all_sql(_sql))
-    _add(f"rs2_all_insert_{_name}", _after_insert(_rs2_all, rulesets.RS2, _ids, _pred), _trade_all_sql(f"SELECT * FROM {_pred}"))
-_add("rs3_all_delete_r6", _after_delete(_rs3_all, ["r6"], "q7"), _trade_all_sql("SELECT * FROM q3"))
-_add("rs3_all_delete_r10n", _after_delete(_rs3_all, ["r10n"], "q9"), _trade_all_sql("SELECT * FROM q4"))
-_add("rs3_all_insert_r6", _after_insert(_rs3_all, rulesets.RS3, ["r6"], "q7"), _trade_all_sql("SELECT * FROM q7"))
-_add("rs3_all_insert_r10n", _after_insert(_rs3_all, rulesets.RS3, ["r10n"], "q9"), _trade_all_sql("SELECT * FROM q9"))
