@@ -67,9 +67,9 @@ def _kinds() -> np.ndarray:
 class Encoder:
     """Encodes slices of texts; keeps the ids of words it has seen, up to a bound."""
 
-    MAX_WORDS = 400_000
-    MAX_POOL = 1 << 24
-    MAX_PIECES = 100_000
+    MAX_WORDS = 1_500_000
+    MAX_POOL = 1 << 25
+    MAX_PIECES = 250_000
     _own: dict[str, Encoder] = {}
 
     def __init__(self, path: str):
@@ -101,11 +101,11 @@ class Encoder:
     def clear(self) -> None:
         self.pieces: dict[str, tuple[int, ...]] = {}
         self.keys = np.zeros(0, U64)  # sorted
-        self.place = np.zeros(0, np.int64)  # of a known word's bytes in the pool, and their number
-        self.size = np.zeros(0, np.int64)
+        self.place = np.zeros(0, np.int32)  # of a known word's bytes in the pool, and their number
+        self.size = np.zeros(0, np.int32)
         self.pool = np.zeros(8, np.uint8)  # ends in eight zeros
-        self.at = np.zeros(0, np.int64)
-        self.count = np.zeros(0, np.int64)
+        self.at = np.zeros(0, np.int32)
+        self.count = np.zeros(0, np.int32)
         self.ids = np.zeros(0, np.uint32)
 
     def _whole(self, texts: list[str]) -> list[tuple[int, ...]]:
@@ -183,7 +183,7 @@ class Encoder:
         inside = where < len(self.keys)
         known[inside] = self.keys[where[inside]] == uniq[inside]
         if not known.all():
-            if len(self.keys) > self.MAX_WORDS or len(self.pool) > self.MAX_POOL:
+            if len(self.keys) > self.MAX_WORDS or len(self.pool) > self.MAX_POOL or len(self.ids) > self.MAX_POOL:
                 self.clear()
                 known[:], where[:] = False, 0
             new = sample[~known]
@@ -195,7 +195,7 @@ class Encoder:
             got = self._whole([t.bytes_of(k).decode() for k in range(t.n)])
             n = np.fromiter(map(len, got), np.int64, len(got))
             return np.fromiter((i for x in got for i in x), np.uint32, int(n.sum())), n
-        n = self.count[slot]
+        n = self.count[slot].astype(np.int64)
         stop = np.cumsum(n)
         pick = np.repeat(self.at[slot] - (stop - n), n) + np.arange(int(stop[-1]))
         return self.ids[pick], np.bincount(doc, weights=n, minlength=t.n).astype(np.int64)
@@ -377,7 +377,7 @@ def stage_ids(docs: DataFrame, path: str, dtype: type, parts: int | None = None)
         total = 0
         for batch in batches:
             key, valid = int_column(batch.column(0))
-            for t in slices(batch.column(1), 4 * SLICE_BYTES):
+            for t in slices(batch.column(1), 8 * SLICE_BYTES):
                 ids, n = enc.encode(t)
                 full = np.empty(len(ids) + t.n, dtype)
                 stop = np.cumsum(n + 1)
