@@ -43,6 +43,27 @@ def lean_heap() -> None:
         mallopt(-8, 2)  # M_ARENA_MAX
 
 
+def trim_heap() -> None:
+    """Give small freed blocks back as well."""
+    lean_heap()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
+def resting(work: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """``work`` for ``mapInArrow``: its worker, which may wait idle through many stages, holds no
+    freed memory after a task."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from work(batches)
+        finally:
+            trim_heap()
+
+    return run
+
+
 #: Documents in an Arrow batch: whole texts travel, so the default of 10,000 rows would hold
 #: tens of MB in the JVM and again in each Python worker.
 BATCH_ROWS = 1000
@@ -353,7 +374,7 @@ def exchange(df: DataFrame, produce: Callable[[Iterator[pa.RecordBatch]], Iterat
             rows = np.concatenate(held)
             yield from packed_batches(combine(rows) if combine else rows, deal, buckets)
 
-    return dealt(df.mapInArrow(send, PACKED), dtype, consume, schema)
+    return dealt(df.mapInArrow(resting(send), PACKED), dtype, consume, schema)
 
 
 def dealt(packed: DataFrame, dtype: list[tuple[str, str]], consume: Callable[[np.ndarray], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
@@ -377,7 +398,7 @@ def dealt(packed: DataFrame, dtype: list[tuple[str, str]], consume: Callable[[np
             held = []
             yield from consume(rows)
 
-    return packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(receive, schema)
+    return packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(resting(receive), schema)
 
 
 def groups(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -430,7 +451,7 @@ def maybe_in(df: DataFrame, key: str, bitmap: np.ndarray, bits: int, outside: bo
         for batch in batches:
             yield batch.filter(pa.array(in_bitmap(int_column(batch.column(at))[0], shared.value, bits) ^ outside))
 
-    return df.mapInArrow(run, df.schema)
+    return df.mapInArrow(resting(run), df.schema)
 
 
 # ------------------------------------------------------------------ whole rows

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ALNUM, exchange, groups, hash_bitmap, in_bitmap, int_column, mix, persisted, record, runs, slices, word_hashes
+from .common import ALNUM, exchange, groups, hash_bitmap, in_bitmap, int_column, mix, persisted, record, resting, runs, slices, word_hashes
 
 U64 = np.uint64
 WINDOW = 10
@@ -89,7 +89,7 @@ def test_fingerprints(bench: DataFrame, window: int = WINDOW, gram: int = GRAM)
                     own = h[first[d] : first[d + 1]]
                     yield pa.RecordBatch.from_arrays([pa.array(_short_key(own, len(own)).view(np.int64)), pa.array([len(own)], pa.int32()), ids.slice(t.first + int(d), 1), _blobs(own[None, :])], names=["hash", "size", "item_id", "context"])
 
-    return bench.select(F.col("item_id").cast("long").alias("item_id"), "text").mapInArrow(run, _TEST)
+    return bench.select(F.col("item_id").cast("long").alias("item_id"), "text").mapInArrow(resting(run), _TEST)
 
 
 _FOUND = [("rid", "i8"), ("doc", "i8"), ("valid", "?"), ("words", "i8"), ("item", "i8"), ("item_valid", "?"), ("start", "i4"), ("end", "i4")]
@@ -138,7 +138,7 @@ def decontaminate(docs: DataFrame, bench: DataFrame, window: int = WINDOW, gram:
                         yield rows(rid.take(own), ids.take(own), pa.nulls(len(at), pa.int64()), pa.array(g.view(np.int64)), size, pa.array((at - first[doc[at]]).astype(np.int32)), _blobs(ctx))
 
     # written once: row numbers stay, and rows that are in no join never share a key
-    found = persisted(docs.select(F.monotonically_increasing_id().alias("row_id"), F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(scan, schema), "found")
+    found = persisted(docs.select(F.monotonically_increasing_id().alias("row_id"), F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(resting(scan), schema), "found")
     columns = ["row_id", "doc_id", "n_words", "size", "pos", "around", "item_id", "context"]
     hits = found.where(F.col("hash").isNotNull()).join(prints.select("hash", "size", "item_id", "context"), ["hash", "size"]).select(*columns)
     rows = found.where(F.col("hash").isNull()).select(*columns[:-2], F.lit(None).cast("long").alias("item_id"), F.lit(None).cast("binary").alias("context"))

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import LOWER, NOT_SPACE, Texts, pair_name, persisted, slices, span_hashes
+from .common import LOWER, NOT_SPACE, Texts, pair_name, persisted, resting, slices, span_hashes
 
 
 def split_lines(t: Texts) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -68,7 +68,7 @@ def line_hashes(docs: DataFrame, min_chars: int) -> DataFrame:
                 new[1:] = (doc[1:] != doc[:-1]) | (h1[1:] != h1[:-1]) | (h2[1:] != h2[:-1])
                 yield pa.RecordBatch.from_arrays([ids.take(pa.array(doc[new] + t.first)), pa.array(h1[new].view(np.int64)), pa.array(h2[new].view(np.int64))], names=["doc_id", "h1", "h2"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, h1 long, h2 long")
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(resting(run), "doc_id long, h1 long, h2 long")
 
 
 def dedup_lines(docs: DataFrame, min_chars: int = 20, min_docs: int = 3) -> DataFrame:
@@ -103,7 +103,7 @@ def dedup_lines(docs: DataFrame, min_chars: int = 20, min_docs: int = 3) -> Data
                         texts.append(t.bytes_of(d))
                 yield pa.RecordBatch.from_arrays([ids.slice(t.first, t.n), pa.array(n_lines, pa.int64()), pa.array(n_dropped, pa.int64()), pa.array(texts, pa.binary()).cast(pa.string())], names=["doc_id", "n_lines", "n_dropped", "text"])
 
-    return joined.mapInArrow(run, "doc_id long, n_lines long, n_dropped long, text string")
+    return joined.mapInArrow(resting(run), "doc_id long, n_lines long, n_dropped long, text string")
 
 
 def line_digests(docs: DataFrame) -> DataFrame:

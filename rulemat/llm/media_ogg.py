@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import lean_heap
+from .common import lean_heap, resting
 
 RATE = 8000
 PACKET = 4096
@@ -177,7 +177,7 @@ def encode_media(docs: DataFrame) -> DataFrame:
                 part = texts.slice(k, step)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(k, step), pa.array([write_media((x.as_py() or b"")) for x in part.cast(pa.binary())], pa.binary())], names=["doc_id", "media"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, media binary")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(resting(run), "doc_id long, media binary")
 
 
 _FEATURES = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
@@ -198,7 +198,7 @@ def decode_media(media: DataFrame) -> DataFrame:
             kinds = [pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))], names=[x.split()[0] for x in _FEATURES.split(", ")])
 
-    return media.select("doc_id", "media").mapInArrow(run, _FEATURES)
+    return media.select("doc_id", "media").mapInArrow(resting(run), _FEATURES)
 
 
 def media_digests(docs: DataFrame) -> DataFrame:

@@ -38,7 +38,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..graphops import components
-from .common import NOT_SPACE, Texts, doc_shingles, exchange, groups, hash_bitmap, in_bitmap, int_column, keyed_documents, mix, persisted, record, slices, word_hashes
+from .common import NOT_SPACE, Texts, doc_shingles, exchange, groups, hash_bitmap, in_bitmap, int_column, keyed_documents, mix, persisted, record, resting, slices, word_hashes
 
 U64 = np.uint64
 #: Most entries of the list of frequent grams.
@@ -89,7 +89,7 @@ def frequent_grams(keyed: DataFrame, width: int) -> np.ndarray:
         if held:
             yield flush()
 
-    counted = keyed.select("text").mapInArrow(run, "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n")).where(F.col("n") >= LEAST_FREQUENT)
+    counted = keyed.select("text").mapInArrow(resting(run), "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n")).where(F.col("n") >= LEAST_FREQUENT)
     # bounded by MAX_FREQUENT rows of two longs
     top = counted.orderBy(F.desc("n"), "gram").limit(MAX_FREQUENT).toArrow()
     return np.asarray(top["gram"]).view(U64)[::-1].copy()
@@ -135,7 +135,7 @@ def _sets(keyed: DataFrame, width: int, percent: int, frequent: np.ndarray) -> D
                 cols = [keys[t.first : t.first + t.n][k], n[k], s1[k].view(np.int64), s2[k].view(np.int64), g[k].view(np.int64)]
                 yield pa.RecordBatch.from_arrays([*map(pa.array, cols), pa.array([prefix[i] for i in k], pa.binary()), *(pa.array(np.ascontiguousarray(sketch[k, i])) for i in range(_SKETCH))], names=[c.split()[0] for c in schema.split(", ")])
 
-    return keyed.select("key", "text").mapInArrow(run, schema)
+    return keyed.select("key", "text").mapInArrow(resting(run), schema)
 
 
 _POST = [("gram", "u8"), ("gid", "i8"), ("n", "u4"), ("pos", "u4")]
@@ -277,7 +277,7 @@ def verify(keyed: DataFrame, pairs: DataFrame, width: int, percent: int) -> Data
                 at = np.searchsorted(doc, np.arange(t.n + 1))
                 yield pa.RecordBatch.from_arrays([pa.array(keys[k[t.first : t.first + t.n]]), pa.array([h[a:b].tobytes() for a, b in zip(at, at[1:], strict=False)], pa.binary())], names=["key", "grams"])
 
-    sets = keyed.select("key", "text").mapInArrow(make, "key long, grams binary")
+    sets = keyed.select("key", "text").mapInArrow(resting(make), "key long, grams binary")
     rows = needs.join(sets, "key").select("lead", "portion", "key", "grams").withColumn("member", F.col("key") != F.col("lead"))
     rows = rows.repartition("lead", "portion").sortWithinPartitions("lead", "portion", "member")
 
@@ -297,7 +297,7 @@ def verify(keyed: DataFrame, pairs: DataFrame, width: int, percent: int) -> Data
                         b.append(who)
             yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
 
-    return rows.mapInArrow(compare, "a long, b long")
+    return rows.mapInArrow(resting(compare), "a long, b long")
 
 
 def jaccard_components(docs: DataFrame, width: int = 4, percent: int = 85) -> DataFrame:

@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import PACKED, Texts, bucket_count, dealt, exchange, groups, hash_bitmap, int_column, keyed_documents, maybe_in, mix, packed_batches, pair_name, persisted, record, slices, span_hashes
+from .common import PACKED, Texts, bucket_count, dealt, exchange, groups, hash_bitmap, int_column, keyed_documents, maybe_in, mix, packed_batches, pair_name, persisted, record, resting, slices, span_hashes
 
 U64 = np.uint64
 LENGTH = 100
@@ -258,7 +258,7 @@ def dedup_strings(docs: DataFrame) -> DataFrame:
                 spans = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(count)]), pa.int32()), flat)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(t.first, t.n), pa.array(size), pa.array(removed), spans, pa.array(rest, pa.binary())], names=["doc_id", "n_bytes", "n_removed", "spans", "kept"])
 
-    return joined.unionByName(untouched).mapInArrow(cut, schema)
+    return joined.unionByName(untouched).mapInArrow(resting(cut), schema)
 
 
 def span_digests(docs: DataFrame) -> DataFrame:

@@ -29,7 +29,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import BYTE_MASK, NOT_SPACE, SLICE_BYTES, Texts, discard, int_column, persisted, pieces, shared_dir, shuffle_width, slices, span_hashes, unaligned, words
+from .common import BYTE_MASK, NOT_SPACE, SLICE_BYTES, Texts, discard, int_column, persisted, pieces, resting, shared_dir, shuffle_width, slices, span_hashes, trim_heap, unaligned, words
 
 U64 = np.uint64
 SCALE_BITS = 20
@@ -98,8 +98,15 @@ class Encoder:
             cls._own[path] = cls(path)
         return cls._own[path]
 
+    @classmethod
+    def drop(cls) -> None:
+        """Free what a worker that encoded keeps; the stages after encoding have no use for it."""
+        if cls._own:
+            cls._own.clear()
+            trim_heap()
+
     def clear(self) -> None:
-        self.pieces: dict[str, tuple[int, ...]] = {}
+        self.pieces: dict[str, bytes] = {}  # ids of a piece as 32-bit integers
         self.keys = np.zeros(0, U64)  # sorted
         self.place = np.zeros(0, np.int32)  # of a known word's bytes in the pool, and their number
         self.size = np.zeros(0, np.int32)
@@ -108,12 +115,12 @@ class Encoder:
         self.count = np.zeros(0, np.int32)
         self.ids = np.zeros(0, np.uint32)
 
-    def _whole(self, texts: list[str]) -> list[tuple[int, ...]]:
-        return [tuple(e.ids) for e in self.full.encode_batch_fast(texts, add_special_tokens=False)]
+    def _whole(self, texts: list[str]) -> list[bytes]:
+        return [np.array(e.ids, np.uint32).tobytes() for e in self.full.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _new_words(self, ws: list[bytes]) -> list[tuple[int, ...]]:
+    def _new_words(self, ws: list[bytes]) -> list[bytes]:
         texts = [w.decode() for w in ws]
-        out: list[tuple[int, ...] | None] = [None] * len(texts)
+        out: list[bytes | None] = [None] * len(texts)
         points = np.frombuffer("".join(texts).encode("utf-32-le"), np.uint32)
         lens = np.fromiter(map(len, texts), np.int64, len(texts))
         first = np.concatenate([[0], np.cumsum(lens)])
@@ -137,13 +144,13 @@ class Encoder:
         fresh = list({p for p, o in zip(pieces, owner, strict=True) if p not in self.pieces and plain[o]})
         if fresh:
             mapped = " ".join([p if p.isascii() else p.encode().decode("latin1").translate(self.alphabet) for p in fresh])
-            ids = np.array(self.bpe.encode_batch_fast([mapped], add_special_tokens=False)[0].ids, np.int64)
-            stops = (np.flatnonzero(self.ends[ids]) + 1).tolist()
+            ids = np.array(self.bpe.encode_batch_fast([mapped], add_special_tokens=False)[0].ids, np.uint32)
+            stops = (4 * (np.flatnonzero(self.ends[ids]) + 1)).tolist()
             assert len(stops) == len(fresh)
-            ids = ids.tolist()
+            ids = ids.tobytes()
             start = 0
             for p, e in zip(fresh, stops, strict=True):
-                self.pieces[p] = tuple(ids[start:e])
+                self.pieces[p] = ids[start:e]
                 start = e
         for p, o in zip(pieces, owner, strict=True):
             if plain[o]:
@@ -165,12 +172,12 @@ class Encoder:
     def _learn(self, where: np.ndarray, keys: np.ndarray, ws: list[bytes]) -> None:
         """Put words in at their places among the sorted keys."""
         got = self._new_words(ws)
-        n = np.fromiter(map(len, got), np.int64, len(got))
+        n = np.fromiter(map(len, got), np.int64, len(got)) >> 2
         size = np.fromiter(map(len, ws), np.int64, len(ws))
         self.keys = np.insert(self.keys, where, keys)
         self.at, self.count = np.insert(self.at, where, len(self.ids) + np.cumsum(n) - n), np.insert(self.count, where, n)
         self.place, self.size = np.insert(self.place, where, len(self.pool) - 8 + np.cumsum(size) - size), np.insert(self.size, where, size)
-        self.ids = np.concatenate([self.ids, np.fromiter((i for x in got for i in x), np.uint32, int(n.sum()))])
+        self.ids = np.concatenate([self.ids, np.frombuffer(b"".join(got), np.uint32)])
         self.pool = np.concatenate([self.pool[:-8], np.frombuffer(b"".join(ws) + bytes(8), np.uint8)])
 
     def _encode(self, t: Texts) -> tuple[np.ndarray, np.ndarray]:
@@ -193,8 +200,7 @@ class Encoder:
         slot = where[back]
         if not self._same(values, starts, ends, slot):  # two words share a hash: take the plain way
             got = self._whole([t.bytes_of(k).decode() for k in range(t.n)])
-            n = np.fromiter(map(len, got), np.int64, len(got))
-            return np.fromiter((i for x in got for i in x), np.uint32, int(n.sum())), n
+            return np.frombuffer(b"".join(got), np.uint32), np.fromiter(map(len, got), np.int64, len(got)) >> 2
         n = self.count[slot].astype(np.int64)
         stop = np.cumsum(n)
         pick = np.repeat(self.at[slot] - (stop - n), n) + np.arange(int(stop[-1]))
@@ -394,6 +400,7 @@ def stage_ids(docs: DataFrame, path: str, dtype: type, parts: int | None = None)
             yield from flush()
 
     def settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        Encoder.drop()
         z, zc = zstandard.ZstdDecompressor(), zstandard.ZstdCompressor(level=1)
         now, held = None, []
 
@@ -424,8 +431,8 @@ def stage_ids(docs: DataFrame, path: str, dtype: type, parts: int | None = None)
         if held:
             yield from lay(now)
 
-    sent = docs.mapInArrow(send, "part int, k binary, v binary, d binary, n binary, ids binary")
-    return sent.repartitionById(ranges.count, "part").sortWithinPartitions("part").mapInArrow(settle, _STAGED)
+    sent = docs.mapInArrow(resting(send), "part int, k binary, v binary, d binary, n binary, ids binary")
+    return sent.repartitionById(ranges.count, "part").sortWithinPartitions("part").mapInArrow(resting(settle), _STAGED)
 
 
 def write_ids(docs: DataFrame, out_dir: str, path: str | None = None) -> DataFrame:
@@ -436,6 +443,7 @@ def write_ids(docs: DataFrame, out_dir: str, path: str | None = None) -> DataFra
     staged = persisted(stage_ids(docs, path, dtype), "token-ids")
 
     def tally(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        Encoder.drop()
         z, counts = zstandard.ZstdDecompressor(), np.zeros(0, np.int64)
         for batch in batches:
             for blob in batch.column(0).to_pylist():
@@ -447,7 +455,7 @@ def write_ids(docs: DataFrame, out_dir: str, path: str | None = None) -> DataFra
         yield pa.RecordBatch.from_arrays([pa.array(seen, pa.int64()), pa.array(counts[seen], pa.int64())], names=["id", "n"])
 
     # one row per id of the vocabulary: its size bounds what comes to the driver
-    got = staged.select("ids").mapInArrow(tally, "id long, n long").groupBy("id").agg(F.sum("n").alias("n")).toPandas()
+    got = staged.select("ids").mapInArrow(resting(tally), "id long, n long").groupBy("id").agg(F.sum("n").alias("n")).toPandas()
     counts = np.zeros(int(got["id"].max()) + 1 if len(got) else 1, np.int64)
     counts[got["id"].to_numpy(np.int64)] = got["n"].to_numpy(np.int64)
     freq = scaled(counts)
@@ -455,6 +463,7 @@ def write_ids(docs: DataFrame, out_dir: str, path: str | None = None) -> DataFra
     spark.createDataFrame([(int(i), int(freq[i])) for i in seen], "id long, freq long").coalesce(1).write.parquet(f"{out_dir}/table")
 
     def code(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        Encoder.drop()
         coder, z = Coder(freq), zstandard.ZstdDecompressor()
         kinds = {"part": pa.int32(), "seq": pa.int32(), "lanes": pa.int32(), "mark_steps": pa.list_(pa.int32()), "mark_words": pa.list_(pa.int32())}
         for batch in batches:
@@ -463,7 +472,7 @@ def write_ids(docs: DataFrame, out_dir: str, path: str | None = None) -> DataFra
                 row |= block
                 yield pa.RecordBatch.from_arrays([pa.array([row[c.split()[0]]], kinds.get(c.split()[0])) for c in _BLOCK.split(", ")], names=[c.split()[0] for c in _BLOCK.split(", ")])
 
-    staged.mapInArrow(code, _BLOCK).write.option("compression", "uncompressed").parquet(f"{out_dir}/blocks")
+    staged.mapInArrow(resting(code), _BLOCK).write.option("compression", "uncompressed").parquet(f"{out_dir}/blocks")
     discard(staged)
     return spark.read.schema(_BLOCK).parquet(f"{out_dir}/blocks")
 
@@ -482,6 +491,7 @@ def read_ids(spark: SparkSession, out_dir: str, with_ids: bool = False) -> DataF
     schema = "doc_id long, start long, n_tokens long, ids_crc32 long" + ", ids binary" * with_ids
 
     def decode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        Encoder.drop()
         coder = Coder(freq)
         for batch in batches:
             for row in batch.to_pylist():
@@ -493,7 +503,7 @@ def read_ids(spark: SparkSession, out_dir: str, with_ids: bool = False) -> DataF
                 cols = [pa.array(np.frombuffer(row["doc_ids"], np.int64), mask=np.frombuffer(row["null_ids"], bool)), pa.array(base[row["part"]] + row["before"] + stop - lens), pa.array(lens), pa.array([zlib.crc32(c) for c in cuts], pa.int64())]
                 yield pa.RecordBatch.from_arrays([*cols, *[pa.array([bytes(c) for c in cuts], pa.binary())] * with_ids], names=[c.split()[0] for c in schema.split(", ")])
 
-    return blocks.mapInArrow(decode, schema)
+    return blocks.mapInArrow(resting(decode), schema)
 
 
 def token_ids(docs: DataFrame, path: str | None = None) -> DataFrame:

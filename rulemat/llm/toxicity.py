@@ -35,7 +35,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import ALNUM, BYTE_MASK, SLICE_BYTES, Texts, discard, fresh_name, groups, int_column, mix, persisted, pieces, shuffle_width, slices, span_hashes, unaligned, words
+from .common import ALNUM, BYTE_MASK, SLICE_BYTES, Texts, discard, fresh_name, groups, int_column, mix, persisted, pieces, resting, shuffle_width, slices, span_hashes, unaligned, words
 
 U64 = np.uint64
 MAX_LABELLED = 2500
@@ -152,7 +152,7 @@ def labelled(docs: DataFrame, known: DataFrame) -> DataFrame:
             pick = pa.array(k)
             yield pa.RecordBatch.from_arrays([batch.column(0).take(pick), pa.array(y[at[k]].astype(np.int32)), batch.column(1).take(pick)], names=["doc_id", "y", "text"])
 
-    return docs.mapInArrow(run, "doc_id long, y int, text string")
+    return docs.mapInArrow(resting(run), "doc_id long, y int, text string")
 
 
 def _counts(rows: DataFrame, keys: np.ndarray | None = None) -> DataFrame:
@@ -178,7 +178,7 @@ def _counts(rows: DataFrame, keys: np.ndarray | None = None) -> DataFrame:
         if n:
             yield flush()
 
-    return rows.select("text").mapInArrow(run, "h long, n long").groupBy("h").agg(F.sum("n").alias("n"))
+    return rows.select("text").mapInArrow(resting(run), "h long, n long").groupBy("h").agg(F.sum("n").alias("n"))
 
 
 @dataclass
@@ -246,7 +246,7 @@ def vote_patterns(docs: DataFrame, voters: np.ndarray) -> DataFrame:
                 seen, n = np.unique(np.packbits(votes, axis=1), axis=0, return_counts=True)
                 yield pa.RecordBatch.from_arrays([pa.array([r.tobytes() for r in seen], pa.binary()), pa.array(n)], names=["votes", "n"])
 
-    return docs.select("text").mapInArrow(run, "votes binary, n long").groupBy("votes").agg(F.sum("n").alias("n"))
+    return docs.select("text").mapInArrow(resting(run), "votes binary, n long").groupBy("votes").agg(F.sum("n").alias("n"))
 
 
 def _unpacked(batch: pa.RecordBatch, width: int) -> tuple[np.ndarray, np.ndarray]:
@@ -268,7 +268,7 @@ def label_model(patterns: DataFrame, width: int, start: LabelModel, rounds: int
                 total += np.concatenate([p @ v, (n - p) @ v, [p.sum(), n.sum()]])
             yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], names=["sums"])
 
-        got = sum((np.frombuffer(r[0]) for r in patterns.mapInArrow(sums, "sums binary").collect()), np.zeros(2 * width + 2))
+        got = sum((np.frombuffer(r[0]) for r in patterns.mapInArrow(resting(sums), "sums binary").collect()), np.zeros(2 * width + 2))
         fired, quiet, (toxic, all_) = got[:width], got[width:-2], got[-2:]
         model = LabelModel(
             float(np.clip((toxic + ANCHOR * start.prior) / (all_ + ANCHOR), 1e-4, 0.95)),
@@ -296,7 +296,7 @@ def _shares(patterns: DataFrame, width: int, model: LabelModel) -> np.ndarray:
         yield pa.RecordBatch.from_arrays([pa.array(i), pa.array(j), pa.array(total[i, j])], names=["i", "j", "s"])
 
     cov = np.zeros((width, width))  # a few hundred voters at most
-    for r in patterns.mapInArrow(pairs, "i long, j long, s double").groupBy("i", "j").agg(F.sum("s").alias("s")).collect():
+    for r in patterns.mapInArrow(resting(pairs), "i long, j long, s double").groupBy("i", "j").agg(F.sum("s").alias("s")).collect():
         cov[r["i"], r["j"]] = r["s"]
     dev = np.sqrt(np.maximum(np.diag(cov), 1e-9))
     corr = np.clip(cov / dev[:, None] / dev, 0, 1)
@@ -369,7 +369,7 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
                 bits = np.packbits(votes, axis=1)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(t.first, t.n), pa.array([slot[a:b].astype(np.int32).tobytes() for a, b in zip(cut, cut[1:], strict=False)], pa.binary()), pa.array([r.tobytes() for r in bits], pa.binary())], names=["y", "features", "votes"])
 
-    sample = rows.join(F.broadcast(ids), F.col("doc_id") == F.col("label_id")).select("y", "text").mapInArrow(look, "y int, features binary, votes binary").toArrow()
+    sample = rows.join(F.broadcast(ids), F.col("doc_id") == F.col("label_id")).select("y", "text").mapInArrow(resting(look), "y int, features binary, votes binary").toArrow()
     y, n = sample["y"].to_numpy().astype(float), len(sample)
     blobs = sample["features"].to_pylist()
     own = np.repeat(np.arange(n), [len(b) // 4 for b in blobs])
@@ -410,7 +410,7 @@ def score(docs: DataFrame, model: Model, column: str = "toxic_score") -> DataFra
             parts = [score_texts(t, small) for t in slices(batch.column(at))]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(np.concatenate(parts) if parts else [], pa.float64())], names=[*batch.schema.names, column])
 
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(resting(run), schema)
 
 
 def toxicity_digests(docs: DataFrame, labels: DataFrame) -> DataFrame:
