@@ -6,7 +6,7 @@ import pyarrow as pa
 import pytest
 
 from rulemat import graphops, slices
-from rulemat.engine import Reasoner
+from rulemat.engine import Reasoner, patterns
 from rulemat.workloads import rulesets
 
 
@@ -91,3 +91,37 @@ def test_a_long_chain_takes_few_jobs(spark):
     spark.sparkContext.setJobGroup("", "")
     assert r.relation("near").count() == 3001**2
     assert jobs < 40  # over 100 before
+
+
+def test_aggregates_along_chains_make_no_pairs(spark, monkeypatch):
+    """Both directions, ties, nodes without and with several readings, loose ends."""
+    links = [(k, k + 1) for k in range(30)] + [(100, 101), (103, 102), (102, 104)]
+    temps = [(k, float(k * 7 % 5)) for k in range(1, 30, 2)] + [(9, 50.0), (9, -50.0), (101, 1.0), (103, float("inf")), (102, 2.0)]
+    rules = "near(x, y) <- e(x, y). near(x, z) <- near(x, y), near(y, z). @a n(x, count(y)) <- near(x, y) group x. @b b(y, count(x)) <- near(x, y) group y. @m m(x, median(t)) <- near(x, y), temp(y, t) group x. @w w(y, median(t)) <- near(x, y), temp(x, t) group y."
+    monkeypatch.setattr(patterns, "ranked_pairs", lambda a, b, n, pairs: spark.createDataFrame([], "a long, b long"))  # pairs come from nowhere else
+    r = Reasoner(spark, rules, {"e": spark.createDataFrame(links, "a long, b long"), "temp": spark.createDataFrame(temps, "a long, t double")})
+    r.materialise()
+    after = dict(links)
+    pairs = set()
+    for x in after:
+        y = x
+        while y in after:
+            y = after[y]
+            pairs.add((x, y))
+
+    def groups(side, value):
+        out = {}
+        for p in pairs:
+            for t in value(p[1 - side]):
+                out.setdefault(p[side], []).append(t)
+        return out
+
+    heat = lambda k: [t for j, t in temps if j == k]
+    spoken = lambda found: {k: str(v) for k, v in found.items()}
+
+    def middle(v):
+        v = sorted(v)
+        return (v[(len(v) - 1) // 2] + v[len(v) // 2]) / 2
+
+    for pred, side, value, fn in (("n", 0, lambda k: [k], len), ("b", 1, lambda k: [k], len), ("m", 0, heat, middle), ("w", 1, heat, middle)):
+        assert spoken(dict(map(tuple, r.relation(pred).collect()))) == spoken({k: fn(v) for k, v in groups(side, value).items()}), pred
