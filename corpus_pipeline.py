@@ -43,7 +43,7 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def write_token_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Write the mixture's token ids and return its index as read back from the files."""
-    return token_ids.token_ids(docs)
+    return token_ids.token_ids(docs, lean=True)  # the executors' heaps are full from the stages before
 
 
 STAGES = [

@@ -70,11 +70,15 @@ class Encoder:
     MAX_WORDS = 1_500_000
     MAX_POOL = 1 << 25
     MAX_PIECES = 250_000
+    #: The same for a lean encoder.
+    LEAN_WORDS, LEAN_PIECES = 400_000, 80_000
     _own: dict[str, Encoder] = {}
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, lean: bool = False):
         import os
 
+        self.max_words, self.max_pieces = (self.LEAN_WORDS, self.LEAN_PIECES) if lean else (self.MAX_WORDS, self.MAX_PIECES)
+
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer, pre_tokenizers
 
@@ -98,6 +102,12 @@ class Encoder:
             cls._own[path] = cls(path)
         return cls._own[path]
 
+    @classmethod
+    def lent(cls, path: str, lean: bool) -> Encoder:
+        """The worker's encoder, or a lean one that ends with the task: Spark deals tasks over all
+        workers that wait, so else each of them, not only those at work, comes to hold caches."""
+        return cls(path, lean=True) if lean else cls.of(path)
+
     @classmethod
     def drop(cls) -> None:
         """Free what a worker that encoded keeps; the stages after encoding have no use for it."""
@@ -139,7 +149,7 @@ class Encoder:
         joined = "".join(texts)
         owner = own[np.array(bounds[:-1], np.int64)].tolist() if len(points) else []
         pieces = [joined[a:b].lower() for a, b in zip(bounds, bounds[1:], strict=False)]
-        if len(self.pieces) > self.MAX_PIECES:
+        if len(self.pieces) > self.max_pieces:
             self.pieces = {}
         fresh = list({p for p, o in zip(pieces, owner, strict=True) if p not in self.pieces and plain[o]})
         if fresh:
@@ -190,7 +200,7 @@ class Encoder:
         inside = where < len(self.keys)
         known[inside] = self.keys[where[inside]] == uniq[inside]
         if not known.all():
-            if len(self.keys) > self.MAX_WORDS or len(self.pool) > self.MAX_POOL or len(self.ids) > self.MAX_POOL:
+            if len(self.keys) > self.max_words or len(self.pool) > self.MAX_POOL or len(self.ids) > self.MAX_POOL:
                 self.clear()
                 known[:], where[:] = False, 0
             new = sample[~known]
@@ -351,16 +361,18 @@ def _width(path: str) -> type:
     return np.uint16 if Tokenizer.from_file(path).get_vocab_size() <= 1 << 16 else np.uint32
 
 
-def stage_ids(docs: DataFrame, path: str, dtype: type, parts: int | None = None) -> DataFrame:
+def stage_ids(docs: DataFrame, path: str, dtype: type, parts: int | None = None, lean: bool = False) -> DataFrame:
     """Encode all texts and lay the ids down in ascending doc_id order, packed by about a
-    million ids.  Ranges of doc_id go to one task each; a task sends its ids compressed."""
+    million ids.  Ranges of doc_id go to one task each; a task sends its ids compressed.
+    ``lean``: smaller slices, and no cache outlives its task, for more CPU time."""
     spark = docs.sparkSession
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     parts = parts or max(8, shuffle_width(spark))
     ranges = Ranges(docs, parts)
+    slice_bytes, flush_ids = (2 * SLICE_BYTES, BLOCK_IDS) if lean else (8 * SLICE_BYTES, 4 * BLOCK_IDS)
 
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc, z = Encoder.of(path), zstandard.ZstdCompressor(level=1)
+        enc, z = Encoder.lent(path, lean), zstandard.ZstdCompressor(level=1)
         held: list[tuple[np.ndarray, ...]] = []
 
         def flush() -> Iterator[pa.RecordBatch]:
@@ -383,7 +395,7 @@ def stage_ids(docs: DataFrame, path: str, dtype: type, parts: int | None = None)
         total = 0
         for batch in batches:
             key, valid = int_column(batch.column(0))
-            for t in slices(batch.column(1), 8 * SLICE_BYTES):
+            for t in slices(batch.column(1), slice_bytes):
                 ids, n = enc.encode(t)
                 full = np.empty(len(ids) + t.n, dtype)
                 stop = np.cumsum(n + 1)
@@ -393,7 +405,7 @@ def stage_ids(docs: DataFrame, path: str, dtype: type, parts: int | None = None)
                 digest = span_hashes(t.data, t.offs[:-1], t.offs[1:])  # orders rows that repeat a doc_id
                 held.append((key[t.first : t.first + t.n], valid[t.first : t.first + t.n], digest, n + 1, full))
                 total += len(full)
-                if total >= 4 * BLOCK_IDS:
+                if total >= flush_ids:
                     yield from flush()
                     held, total = [], 0
         if held:
@@ -435,12 +447,12 @@ def stage_ids(docs: DataFrame, path: str, dtype: type, parts: int | None = None)
     return sent.repartitionById(ranges.count, "part").sortWithinPartitions("part").mapInArrow(resting(settle), _STAGED)
 
 
-def write_ids(docs: DataFrame, out_dir: str, path: str | None = None) -> DataFrame:
+def write_ids(docs: DataFrame, out_dir: str, path: str | None = None, lean: bool = False) -> DataFrame:
     """Write the corpus in the block format below ``out_dir`` (``blocks`` and ``table``)."""
     spark = docs.sparkSession
     path = path or vocabulary()
     dtype = _width(path)
-    staged = persisted(stage_ids(docs, path, dtype), "token-ids")
+    staged = persisted(stage_ids(docs, path, dtype, lean=lean), "token-ids")
 
     def tally(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         Encoder.drop()
@@ -506,10 +518,10 @@ def read_ids(spark: SparkSession, out_dir: str, with_ids: bool = False) -> DataF
     return blocks.mapInArrow(resting(decode), schema)
 
 
-def token_ids(docs: DataFrame, path: str | None = None) -> DataFrame:
+def token_ids(docs: DataFrame, path: str | None = None, lean: bool = False) -> DataFrame:
     """Write the ids of ``docs`` to the shared folder and read every document back."""
     out_dir = shared_dir(docs.sparkSession, "ids")
-    write_ids(docs, out_dir, path)
+    write_ids(docs, out_dir, path, lean)
     return read_ids(docs.sparkSession, out_dir)
 
 

@@ -12,6 +12,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from rulemat.llm import chat_format, decontaminate, line_dedup, media_ogg, mixing, ngram_join, secret_scan, suffix_dedup, token_ids, toxicity
+from rulemat.llm.common import Texts
 from rulemat.llm.queries import ORACLES, QUERIES
 
 LOW = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
@@ -134,6 +135,24 @@ def test_token_ids(docs, spark, tmp_path):
     assert token_ids.token_ids(empty(docs)).count() == 0
 
 
+def test_lean_token_ids(docs, monkeypatch):
+    """A lean encoder ends with its task, is bounded more narrowly and gives the same ids."""
+    token_ids.Encoder.drop()
+    path = token_ids.vocabulary()
+    enc = token_ids.Encoder.lent(path, lean=True)
+    assert not token_ids.Encoder._own and enc.max_words < token_ids.Encoder.MAX_WORDS
+    monkeypatch.setattr(token_ids.Encoder, "LEAN_WORDS", 3)
+    monkeypatch.setattr(token_ids.Encoder, "LEAN_PIECES", 2)
+    tight, wide = token_ids.Encoder(path, lean=True), token_ids.Encoder(path)
+    for i in range(0, len(TEXTS), 2):
+        raw = [(t or "").encode() for _, t in TEXTS[i : i + 2]]
+        t = Texts(np.frombuffer(b"".join(raw), np.uint8), np.cumsum([0, *map(len, raw)]))
+        for a, b in zip(tight.encode(t), wide.encode(t), strict=True):
+            assert (a == b).all()
+    assert len(tight.keys) < len(wide.keys)
+    assert sorted(token_ids.token_ids(docs, lean=True).collect(), key=str) == sorted(token_ids.token_ids(docs).collect(), key=str)
+
+
 @pytest.mark.parametrize("n", [0, 1, 4095, 4097, 600_001])
 def test_numeral_system(n):
     ids = np.random.default_rng(n).zipf(1.3, n) % 5000
