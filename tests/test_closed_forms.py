@@ -96,3 +96,34 @@ def test_reach_along_a_long_chain_takes_few_rounds(spark):
     r.materialise()
     assert facts(r, "reach") == {(k,) for k in (*range(100), 200)}
     assert r.log.counts["rounds"] < 30  # 100 before
+
+
+def written(monkeypatch):
+    n, write = [0], Storage.write
+    monkeypatch.setattr(Storage, "write", lambda self, df: (n.__setitem__(0, n[0] + 1), write(self, df))[1])
+    return n
+
+
+@pytest.mark.parametrize("slice_rows", [10**6, 0])
+def test_a_change_of_many_edges_is_labelled_in_one_pass(spark, monkeypatch, slice_rows):
+    """The same facts and differences whether all edges are one slice or only the touched ones are
+    followed; in the first case an update writes its change and the labels, and nothing else."""
+    monkeypatch.setattr("rulemat.engine.patterns.FEW_EDGES", 2)
+    monkeypatch.setattr("rulemat.engine.patterns.SLICE", slice_rows)
+    r = Reasoner(spark, rulesets.NEAR, {"hasNeighbour": links(spark, 0, 9)})
+    r.materialise()
+    n = written(monkeypatch)
+    late = links(spark, 9, 14).unionByName(chain(spark, (30, 31), (40, 40)))
+    r.insert_facts("hasNeighbour", late)
+    assert slice_rows == 0 or n[0] == 2
+    assert ("near", 15 * 15 - 100 + 4 + 1, 0) in {d[1:] for d in r.log.deltas}
+    assert facts(r, "near") == facts(plain(r), "near")
+    n[0] = 0
+    r.delete_facts("hasNeighbour", late)
+    assert slice_rows == 0 or n[0] == 3
+    assert ("near", 0, 15 * 15 - 100 + 4 + 1) in {d[1:] for d in r.log.deltas}
+    assert facts(r, "near") == facts(plain(r), "near") == {(a, b) for a in range(10) for b in range(10)}
+    r.delete_facts("hasNeighbour", links(spark, 0, 9))
+    assert facts(r, "near") == set()
+    r.insert_facts("hasNeighbour", links(spark, 0, 4))
+    assert facts(r, "near") == {(a, b) for a in range(5) for b in range(5)}
