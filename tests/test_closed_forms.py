@@ -127,3 +127,15 @@ def test_a_change_of_many_edges_is_labelled_in_one_pass(spark, monkeypatch, slic
     assert facts(r, "near") == set()
     r.insert_facts("hasNeighbour", links(spark, 0, 4))
     assert facts(r, "near") == {(a, b) for a in range(5) for b in range(5)}
+
+
+def test_a_symmetric_node_is_written_once(spark, monkeypatch):
+    """What is left when the transitive rule goes: links both ways, from one write."""
+    r = Reasoner(spark, rulesets.NEAR, {"hasNeighbour": links(spark, 0, 9).unionByName(chain(spark, (3, 2), (5, 5)))})
+    r.materialise()
+    n = written(monkeypatch)
+    r.delete_rules(["r3"])
+    assert n[0] == 1
+    assert facts(r, "near") == {(a, b) for k in range(9) for a, b in ((k, k + 1), (k + 1, k))} | {(5, 5)}
+    r.delete_facts("hasNeighbour", chain(spark, (3, 2), (5, 5), (7, 8)))
+    assert facts(r, "near") == {(a, b) for k in range(9) if k != 7 for a, b in ((k, k + 1), (k + 1, k))}
