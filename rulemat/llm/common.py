@@ -105,6 +105,15 @@ def discard(*frames: DataFrame) -> None:
             jpath.getFileSystem(spark._jsc.hadoopConfiguration()).delete(jpath, True)
 
 
+def rest_executors(spark: SparkSession) -> None:
+    """Make every executor's JVM give back the heap that earlier jobs filled.  By itself it grows
+    up to its limit and keeps that, beside the Python workers; a collection on request shrinks it
+    to what is in use.  One task a core reaches all executors that wait for work."""
+    cores = spark.sparkContext.defaultParallelism
+    collected = F.java_method(F.lit("java.lang.System"), F.lit("gc")).alias("collected")
+    spark.range(0, cores, 1, cores).select(collected).write.format("noop").mode("overwrite").save()
+
+
 def shuffle_width(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 

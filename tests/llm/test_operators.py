@@ -381,3 +381,16 @@ def test_very_long_texts(spark):
     got = {r.doc_id: r for r in token_ids.token_ids(docs.where("doc_id <> 4")).collect()}
     ids = np.array([*full.encode(long, add_special_tokens=False).ids, 1], "<u4")
     assert (got[2].start, got[2].n_tokens, got[2].ids_crc32) == (len(ids), len(ids), zlib.crc32(ids.tobytes()))
+
+
+def test_stages_begin_on_rested_executors(spark, sf, docs):
+    """The heap that earlier work filled is given back before each stage of the pipeline."""
+    import corpus_pipeline as p
+
+    assert all(stage.__wrapped__ for _, stage in p.STAGES)
+    runtime = spark._jvm.java.lang.Runtime.getRuntime()
+    garbage = spark._jvm.java.nio.ByteBuffer.allocate(1_200_000_000)
+    before = runtime.totalMemory()
+    spark.sparkContext._gateway.detach(garbage)
+    assert p.rested(lambda s, d, _: d)(spark, docs, sf) is docs
+    assert runtime.totalMemory() < before - 600_000_000
