@@ -129,6 +129,20 @@ def test_a_change_of_many_edges_is_labelled_in_one_pass(spark, monkeypatch, slic
     assert facts(r, "near") == {(a, b) for a in range(5) for b in range(5)}
 
 
+def test_a_thousand_changes_are_labelled_in_one_pass(spark, monkeypatch):
+    """Fewer edges than ``FEW_EDGES`` changed, but enough that following them takes more jobs."""
+    r = Reasoner(spark, rulesets.NEAR, {"hasNeighbour": links(spark, 0, 9)})
+    r.materialise()
+    n = written(monkeypatch)
+    late = spark.range(1200).selectExpr("100 + 2 * id AS a", "101 + 2 * id AS b").unionByName(links(spark, 9, 11).toDF("a", "b"))
+    r.insert_facts("hasNeighbour", late)
+    assert n[0] == 2 and r.log.deltas[-1][1:] == ("near", 4800 + 144 - 100, 0)
+    assert facts(r, "near") == {(a, b) for a in range(12) for b in range(12)} | {(100 + 2 * k + x, 100 + 2 * k + y) for k in range(1200) for x in (0, 1) for y in (0, 1)}
+    n[0] = 0
+    r.delete_facts("hasNeighbour", late)
+    assert n[0] == 3 and facts(r, "near") == {(a, b) for a in range(10) for b in range(10)}
+
+
 def test_a_symmetric_node_is_written_once(spark, monkeypatch):
     """What is left when the transitive rule goes: links both ways, from one write."""
     r = Reasoner(spark, rulesets.NEAR, {"hasNeighbour": links(spark, 0, 9).unionByName(chain(spark, (3, 2), (5, 5)))})
