@@ -143,6 +143,22 @@ def test_a_thousand_changes_are_labelled_in_one_pass(spark, monkeypatch):
     assert n[0] == 3 and facts(r, "near") == {(a, b) for a in range(10) for b in range(10)}
 
 
+def test_all_pairs_of_labels_come_from_arrays(spark, monkeypatch):
+    """A reader of all facts gets the same ones, without a join of nodes with nodes."""
+    monkeypatch.setattr("rulemat.graphops.PAIRS_A_TASK", 20)
+    r = Reasoner(spark, rulesets.NEAR, {"hasNeighbour": links(spark, 0, 9).unionByName(chain(spark, (20, 21), (30, 30)))})
+    r.materialise()
+    r.delete_facts("hasNeighbour", chain(spark, (4, 5)))
+    whole = r.relation("near", whole=True)
+    assert "explode(nodes" in whole._jdf.queryExecution().toString()
+    rows = [tuple(x) for x in whole.collect()]
+    assert whole.columns == r.relation("near").columns and len(rows) == len(set(rows)) == 25 + 25 + 4 + 1 and set(rows) == facts(r, "near")
+    monkeypatch.setattr("rulemat.graphops.BROADCAST_ROWS", 3)
+    r.insert_facts("hasNeighbour", chain(spark, (4, 5)))
+    assert {tuple(x) for x in r.relation("near", whole=True).collect()} == facts(r, "near") and r.relation("near", whole=True).count() == 105
+    assert r.relation("hasNeighbour", whole=True).count() == 12 - 1
+
+
 def test_a_symmetric_node_is_written_once(spark, monkeypatch):
     """What is left when the transitive rule goes: links both ways, from one write."""
     r = Reasoner(spark, rulesets.NEAR, {"hasNeighbour": links(spark, 0, 9).unionByName(chain(spark, (3, 2), (5, 5)))})
