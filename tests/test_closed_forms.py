@@ -6,6 +6,7 @@ from pyspark.sql import functions as F
 from rulemat.engine import Config, Reasoner
 from rulemat.engine.baselines import equal_state, from_scratch
 from rulemat.engine.store import Storage
+from rulemat.graphops import closure
 from rulemat.workloads import rulesets
 
 N = 40
@@ -169,3 +170,43 @@ def test_a_symmetric_node_is_written_once(spark, monkeypatch):
     assert facts(r, "near") == {(a, b) for k in range(9) for a, b in ((k, k + 1), (k + 1, k))} | {(5, 5)}
     r.delete_facts("hasNeighbour", chain(spark, (3, 2), (5, 5), (7, 8)))
     assert facts(r, "near") == {(a, b) for k in range(9) if k != 7 for a, b in ((k, k + 1), (k + 1, k))}
+
+
+def stored(df, at):
+    """Bytes a pair of a file of all pairs."""
+    df.write.parquet(str(at))
+    return sum(f.stat().st_size for f in at.glob("*.parquet")) / df.sparkSession.read.parquet(str(at)).count()
+
+
+@pytest.mark.parametrize("broadcast", [2_000_000, 3])
+def test_all_pairs_are_made_run_by_run(spark, monkeypatch, broadcast):
+    """The same pairs, of labels and of chains, with components of less, just and more than a run."""
+    monkeypatch.setattr("rulemat.graphops.TILE", 4)
+    monkeypatch.setattr("rulemat.graphops.PAIRS_A_TASK", 50)
+    monkeypatch.setattr("rulemat.graphops.BROADCAST_ROWS", broadcast)
+    sizes = (14, 9, 4, 3, 2)
+    groups = [[100 * k + (7 * j) % 97 for j in range(n)] for k, n in enumerate(sizes)]
+    edges = chain(spark, *((a, b) for g in groups for a, b in zip(g, g[1:])))
+    r = Reasoner(spark, rulesets.NEAR, {"hasNeighbour": edges})
+    r.materialise()
+    rows = [tuple(x) for x in r.relation("near", whole=True).collect()]
+    assert len(rows) == sum(n * n for n in sizes) and set(rows) == {(a, b) for g in groups for a in g for b in g}
+    ordered = {(a, b) for g in groups for k, a in enumerate(g) for b in g[k + 1 :]}
+    r.delete_rules(["r2"])
+    whole = r.relation("near", whole=True)
+    assert "explode(nodes" in whole._jdf.queryExecution().toString()
+    rows = [tuple(x) for x in whole.collect()]
+    assert whole.columns == ["c0", "c1"] and len(rows) == len(ordered) and set(rows) == ordered == facts(r, "near")
+    rows = [tuple(x) for x in closure(edges, lambda df, name: r.storage.write(df).frame).collect()]
+    assert len(rows) == len(ordered) and set(rows) == ordered
+
+
+def test_all_pairs_take_little_disk(spark, tmp_path):
+    """A file of all pairs repeats nodes where a writer can tell; nodes beside nodes take 2 to 4 bytes a pair."""
+    edges = spark.range(3000).selectExpr("id * 7919 % 104729 AS a", "(id + 1) * 7919 % 104729 AS b")
+    r = Reasoner(spark, rulesets.NEAR, {"hasNeighbour": edges})
+    r.materialise()
+    assert stored(r.relation("near", whole=True), tmp_path / "labels") < 0.4
+    r.delete_rules(["r2"])
+    assert stored(r.relation("near", whole=True), tmp_path / "ranks") < 0.4
+    assert stored(closure(edges, lambda df, name: r.storage.write(df).frame), tmp_path / "closure") < 0.4
